@@ -29,7 +29,7 @@ from rotahash.llm.bytesops import SPACE, runs, slices
 from rotahash.llm.durable import durable
 
 WEIGHTS = (5.0, 2.0, 1.0)
-ROWS_PER_RANGE = 4_000
+ROWS_PER_RANGE, MAX_RANGES = 1_000, 1 << 16  # the tables of ranges stay small, and a range fits a task at any size
 
 
 def sized(docs: DataFrame, keep: tuple[str, ...] = ("doc_id", "source")) -> DataFrame:
@@ -67,7 +67,7 @@ def targets(sizes: list[tuple[str | None, int]], weights: tuple[float, ...] = WE
 
 
 def _ranges(rows: int) -> int:
-    return 1 << max(0, math.ceil(math.log2(max(1, rows / ROWS_PER_RANGE))))
+    return min(MAX_RANGES, 1 << max(0, math.ceil(math.log2(max(1, rows / ROWS_PER_RANGE)))))
 
 
 def mix(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = 3.0, seed: int = 7) -> DataFrame:

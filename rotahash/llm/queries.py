@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rotahash.llm import decontaminate, mixing, tokenfiles, toxicity
+from rotahash.llm import decontaminate, jaccard_join, mixing, tokenfiles, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -18,6 +18,10 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.jaccard_join(table(spark, sf_dir, "documents"))
+
+
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix(mixing.sized(table(spark, sf_dir, "documents")))
     return mixed.select("doc_id", "size", "source_size", "target", "taken")
@@ -36,7 +40,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "p_quality", "p_toxic", F.col("rejected").alias("toxic"))
 
 
-QUERIES = {f.__name__: f for f in (op4_mixing, op5_decontaminate, op9_tokenfiles, op10_toxicity)}
+QUERIES = {f.__name__: f for f in (op3_jaccard_join, op4_mixing, op5_decontaminate, op9_tokenfiles, op10_toxicity)}
 
 #: Sizes and targets of op4, cut and encoding aside, are plain SQL; the rest is tested against brute force.
 ORACLE_SQL: dict[str, str] = {}
