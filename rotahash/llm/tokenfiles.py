@@ -9,9 +9,8 @@ memory map. A second small file lists doc_id and token count of each document of
 A file is written under a name of its attempt and then renamed, so repeated or speculative attempts
 leave the same whole file. Files go to the folder in spark.checkpoint.dir or to a given folder.
 
-Texts are cut at places where the pre-tokenizer always cuts too (a space between a character that is no
-white space and a letter); each distinct piece is encoded once a cache generation. Ids are those of the
-whole text; a test compares them.
+Texts are cut at places where the pre-tokenizer always cuts too; each distinct piece is encoded once a
+cache generation by the tokenizers library. Ids are those of the whole text; a test compares them.
 
 Defined results: null text is empty and has just the end id; rows with equal doc_id are separate and
 ordered by their text; an empty table has no files and no rows.
@@ -31,15 +30,30 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rotahash.llm.bytesops import U, Windows, slices
 from rotahash.llm.durable import durable, new_folder, partitions
 
 LENGTH, END_ID = 1024, 2
-CACHE = 400_000
-FLUSH = 256
+CACHE, SLICE = 3_000_000, 1 << 22
+
+
+_START = np.zeros(256, bool)
+_START[[*range(65, 91), *range(97, 123)]] = True
+_DIGIT = np.zeros(256, bool)
+_DIGIT[48:58] = True
+_SOLID = np.zeros(256, bool)
+_SOLID[33:127] = True
 
 
 class Encoder:
-    """tokenizers with a bounded cache of pieces."""
+    """tokenizers behind a cache of pieces, kept as sorted hashes and one array of ids; ``CACHE`` bounds its entries."""
+
+    _own: dict[str, Encoder] = {}
+
+    @classmethod
+    def of(cls, path: str) -> Encoder:
+        """The encoder of this worker process."""
+        return cls._own.get(path) or cls._own.setdefault(path, cls(path))
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -48,55 +62,110 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.width = np.uint16 if self.tokenizer.get_vocab_size() <= 1 << 16 else np.uint32
+        self.line = self._ids("\n")
         self.clear()
 
+    def _ids(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
+
     def clear(self) -> None:
-        self.place: dict[str, int] = {}
+        self.keys, self.entry = np.zeros(0, U), np.zeros(0, np.int64)
         self.ids, self.at = np.zeros(0, self.width), np.zeros(1, np.int64)
 
     @staticmethod
-    def pieces(text: str) -> list[str]:
-        """The text cut before each ' x' whose x is a letter and whose predecessor is no white space."""
-        out, open_ = [], ""
-        for k, word in enumerate(text.split(" ")):
-            if k:
-                if word[:1].isalpha() and word[0] < "ɐ" and open_ and not open_[-1].isspace():
-                    out.append(open_)
-                    open_ = " " + word
-                else:
-                    open_ = f"{open_} {word}"
-            else:
-                open_ = word
-        if open_:
-            out.append(open_)
-        return out
-
-    def batch(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts, each with the end id, and their offsets."""
-        if len(self.place) > CACHE:
+    def cuts(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Starts of the pieces, and which pieces may be encoded next to each other with a line feed between.
+
+        A piece begins at a text's start, at a space between a solid character and a letter, at ASCII
+        punctuation after a letter, and at and after a line feed between solid characters. Solid: printable ASCII or a Latin-1 letter.
+        """
+        n = len(data)
+        pad = np.concatenate([data, np.zeros(2, np.uint8)])
+        latin = np.zeros(n + 2, bool)  # lead byte of a Latin-1 letter
+        latin[:n] = (pad[:n] == 0xC3) & (pad[1 : n + 1] >= 0x80) & (pad[1 : n + 1] != 0x97) & (pad[1 : n + 1] != 0xB7)
+        solid_end = _SOLID[data]  # the last byte of a solid character
+        solid_end[1:] |= latin[: n - 1]
+        letter, solid = _START[pad] | latin, _SOLID[pad] | latin
+        before = np.concatenate([[False], solid_end[:-1]])
+        cut = np.zeros(n + 1, bool)
+        cut[:n] = before & (data == 32) & letter[1 : n + 1]
+        letter_end = _START[data]
+        letter_end[1:] |= latin[: n - 1]
+        cut[1:n] |= letter_end[:-1] & (_SOLID & ~_START & ~_DIGIT)[data[1:]]
+        feed = before & (data == 10) & solid[1 : n + 1]
+        border = np.zeros(n + 1, bool)
+        border[at] = True
+        feed[:-1] &= ~border[1:n]
+        feed &= ~border[:n]
+        cut[:n] &= ~np.append(border[1:n], True) if n else False
+        cut[:n] |= feed
+        cut[1:] |= feed
+        cut |= border
+        start = np.flatnonzero(cut[:n])
+        end = np.append(start[1:], n)
+        plain = solid_end[end - 1] & (solid[start] | ((data[start] == 32) & letter[start + 1]))
+        lines = np.concatenate([[0], np.cumsum(data == 10)])
+        return start, plain & (lines[end] == lines[start])
+
+    def _fresh(self, data: np.ndarray, start: np.ndarray, end: np.ndarray, plain: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of pieces, one after another, their counts, and the order taken: the plain ones joined by line feeds, the others one by one."""
+        ids, counts, order, alone = [], [], [], [np.flatnonzero(~plain)]
+        joined = np.flatnonzero(plain)
+        for lo in range(0, len(joined), 4096):
+            own = joined[lo : lo + 4096]
+            size = end[own] - start[own] + 1
+            to = np.cumsum(size)
+            at = np.repeat(start[own] - (to - size), size) + np.arange(to[-1])
+            text = data[np.minimum(at, len(data) - 1)]
+            text[to - 1] = 10
+            got = np.asarray(self._ids(text[:-1].tobytes().decode()), self.width)
+            line = np.flatnonzero(got == self.line[0]) if len(self.line) == 1 else np.zeros(0, np.int64)
+            if len(line) != len(own) - 1:
+                alone.append(own)
+                continue
+            ids.append(np.delete(got, line))
+            counts.append(np.diff(np.concatenate([[-1], line, [len(got)]])) - 1)
+            order.append(own)
+        rest = np.concatenate(alone)
+        if len(rest):
+            got = [e.ids for e in self.tokenizer.encode_batch_fast([data[s:e].tobytes().decode() for s, e in zip(start[rest].tolist(), end[rest].tolist(), strict=True)], add_special_tokens=False)]
+            ids.append(np.fromiter((i for x in got for i in x), self.width))
+            counts.append(np.array([len(x) for x in got]))
+            order.append(rest)
+        return np.concatenate(ids), np.concatenate(counts), np.concatenate(order)
+
+    def batch(self, data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the texts of a buffer, each with the end id, and their offsets."""
+        if len(self.keys) > CACHE:
             self.clear()
-        place, keys, counts, fresh = self.place, [], [], []
-        for text in texts:
-            own = self.pieces(text)
-            counts.append(len(own))
-            for p in own:
-                k = place.get(p)
-                if k is None:
-                    k = place[p] = len(place)
-                    fresh.append(p)
-                keys.append(k)
-        if fresh:
-            new = [e.ids for e in self.tokenizer.encode_batch_fast(fresh, add_special_tokens=False)]
-            self.ids = np.concatenate([self.ids, *(np.asarray(x, self.width) for x in new)])
-            self.at = np.concatenate([self.at, self.at[-1] + np.cumsum([len(x) for x in new])])
-        end = len(self.at) - 1  # one more piece: the end id
-        ids, at = np.append(self.ids, self.width(END_ID)), np.append(self.at, self.at[-1] + 1)
-        ends = np.cumsum(counts) if counts else np.zeros(0, np.int64)
-        keys = np.insert(np.array(keys, np.int64), ends, end)
-        length = at[keys + 1] - at[keys]
+        rows = len(at) - 1
+        if len(data):
+            start, plain = self.cuts(data, at)
+            end = np.append(start[1:], len(data))
+            keys, first, which = np.unique(Windows(data).hash(start, end), return_index=True, return_inverse=True)
+            place = np.searchsorted(self.keys, keys)
+            known = place < len(self.keys)
+            known[known] = self.keys[place[known]] == keys[known]
+            new = np.flatnonzero(~known)
+            if len(new):
+                own = first[new]
+                ids, counts, order = self._fresh(data, start[own], end[own], plain[own])
+                entry = np.empty(len(new), np.int64)
+                entry[order] = len(self.at) - 1 + np.arange(len(new))
+                self.ids, self.at = np.concatenate([self.ids, ids]), np.concatenate([self.at, self.at[-1] + np.cumsum(counts)])
+                self.keys, self.entry = np.insert(self.keys, place[new], keys[new]), np.insert(self.entry, place[new], entry)
+                place = np.searchsorted(self.keys, keys)
+            piece = self.entry[place][which]
+            ends = np.searchsorted(start, at[1:])  # pieces up to each text's end
+        else:
+            piece, ends = np.zeros(0, np.int64), np.zeros(rows, np.int64)
+        end_id = len(self.at) - 1  # one more entry: the end id
+        ids, offsets = np.append(self.ids, self.width(END_ID)), np.append(self.at, self.at[-1] + 1)
+        piece = np.insert(piece, ends, end_id)
+        length = offsets[piece + 1] - offsets[piece]
         to = np.cumsum(length)
-        flat = ids[np.repeat(at[keys] - (to - length), length) + np.arange(to[-1] if len(to) else 0)]
-        return flat, np.concatenate([[0], to[ends + np.arange(len(ends))]]) if len(ends) else np.zeros(1, np.int64)
+        flat = ids[np.repeat(offsets[piece] - (to - length), length) + np.arange(to[-1] if len(to) else 0)]
+        return flat, np.concatenate([[0], to[ends + np.arange(rows)]])
 
 
 def _open(folder: str) -> tuple[pafs.FileSystem, str]:
@@ -109,26 +178,25 @@ def write(docs: DataFrame, tokenizer: str, folder: str | None = None, length: in
     """Writes the files and returns their folder and a manifest (part, n_docs, n_tokens), one row per file."""
     spark = docs.sparkSession
     folder = folder or new_folder(spark, "tokens")
-    ordered = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(partitions(spark), F.col("doc_id").asc_nulls_first(), "text").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    ordered = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(partitions(spark), F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
 
     def save(batches):
         part, encoder, files, tmp = TaskContext.get().partitionId(), None, [], uuid.uuid4().hex
         rest, docs_, tokens, out, index = None, 0, 0, None, None
         fs, root = _open(folder)
         for b in batches:
-            for lo in range(0, b.num_rows, FLUSH):
-                piece = b.slice(lo, FLUSH)
+            for lo, hi, data, rows in slices(b.column("text"), SLICE):
                 if encoder is None:
-                    encoder = Encoder(tokenizer)
+                    encoder = Encoder.of(tokenizer)
                     kind = pa.from_numpy_dtype(encoder.width)
                     fs.create_dir(root, recursive=True)
                     files = [fs.open_output_stream(f"{root}/_{tmp}-{x}") for x in ("ids", "docs")]
                     out = ipc.new_file(files[0], _schema(kind, length))
                     index = ipc.new_file(files[1], pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64())]))
                     rest = np.zeros(0, encoder.width)
-                flat, at = encoder.batch(piece.column("text").to_pylist())
-                index.write_batch(pa.record_batch([piece.column("doc_id"), pa.array(np.diff(at))], names=["doc_id", "n_tokens"]))
-                docs_, tokens, rest = docs_ + piece.num_rows, tokens + len(flat), np.concatenate([rest, flat])
+                flat, at = encoder.batch(data, rows)
+                index.write_batch(pa.record_batch([b.column("doc_id").slice(lo, hi - lo), pa.array(np.diff(at))], names=["doc_id", "n_tokens"]))
+                docs_, tokens, rest = docs_ + hi - lo, tokens + len(flat), np.concatenate([rest, flat])
                 whole = len(rest) // length * length
                 if whole:
                     out.write_batch(_batch(rest[:whole], np.ones(whole, bool), length, kind))
