@@ -132,3 +132,20 @@ def binary_rows(values: np.ndarray, at: np.ndarray) -> pa.Array:
     """One binary cell a row with the row's values."""
     size = values.dtype.itemsize
     return pa.Array.from_buffers(pa.large_binary(), len(at) - 1, [None, pa.py_buffer(np.ascontiguousarray(at * size, np.int64)), pa.py_buffer(np.ascontiguousarray(values))]).cast(pa.binary())
+
+
+def pack(columns, layout) -> bytes:
+    """Columns of numbers, one after another, as one compressed cell."""
+    n = len(columns[0])
+    return n.to_bytes(8, "little") + pa.compress(b"".join(np.ascontiguousarray(c, t).tobytes() for c, (_, t) in zip(columns, layout, strict=True)), "zstd", asbytes=True)
+
+
+def unpack(cells: list[bytes], layout) -> list[np.ndarray]:
+    width, parts = sum(np.dtype(t).itemsize for _, t in layout), [[np.zeros(0, t)] for _, t in layout]
+    for cell in cells:
+        n, at = int.from_bytes(cell[:8], "little"), 0
+        data = pa.decompress(cell[8:], n * width, "zstd", asbytes=True)
+        for part, (_, t) in zip(parts, layout, strict=True):
+            part.append(np.frombuffer(data, t, n, at))
+            at += n * np.dtype(t).itemsize
+    return [np.concatenate(p) for p in parts]

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rotahash.llm import decontaminate, jaccard_join, mixing, suffix_dedup, tokenfiles, toxicity
+from rotahash.llm import decontaminate, jaccard_join, lm_scoring, mixing, suffix_dedup, tokenfiles, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -22,6 +22,10 @@ def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.deduplicate(table(spark, sf_dir, "documents"))
 
 
+def op2_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.score(table(spark, sf_dir, "documents"))
+
+
 def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.jaccard_join(table(spark, sf_dir, "documents"))
 
@@ -44,7 +48,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "p_quality", "p_toxic", F.col("rejected").alias("toxic"))
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op3_jaccard_join, op4_mixing, op5_decontaminate, op9_tokenfiles, op10_toxicity)}
+QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_lm_scoring, op3_jaccard_join, op4_mixing, op5_decontaminate, op9_tokenfiles, op10_toxicity)}
 
 #: Sizes and targets of op4, cut and encoding aside, are plain SQL; the rest is tested against brute force.
 ORACLE_SQL: dict[str, str] = {}
