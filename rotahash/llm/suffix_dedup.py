@@ -28,17 +28,19 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rotahash.llm.bytesops import U, Windows, mix, raw, slices
+from rotahash.llm.bytesops import U, Windows, lean, mix, pack, raw, slices, unpack
 from rotahash.llm.durable import durable, partitions
 
 LENGTH, GRAM, CROWD = 100, 32, 64
-FLUSH, SHARD, CHUNK = 1 << 20, 1 << 18, 1 << 22
+FLUSH, SHARD, CHUNK = 1 << 19, 1 << 18, 1 << 22
 PLACE = U((1 << 24) - 1)
-#: Of one stretch in a packed cell: hashes of anchor and bytes, document, first start, number of starts, distance from the first start to the anchor.
-STRETCH = (("anchor", np.uint64), ("bytes", np.uint64), ("doc", np.int64), ("start", np.int32), ("count", np.uint8), ("ahead", np.uint8))
+#: Of one stretch in a packed cell: hashes of anchor (within its bucket) and bytes, document, first start, number of starts.
+STRETCH = (("anchor", np.uint32), ("bytes", np.uint64), ("doc", np.int64), ("start", np.int32), ("count", np.uint8))
+RANGE = (("key", np.int64), ("doc", np.int64), ("start", np.int32), ("count", np.int32))
 
 
 def _least(values: np.ndarray, width: int) -> np.ndarray:
@@ -51,10 +53,10 @@ def _least(values: np.ndarray, width: int) -> np.ndarray:
 
 
 def stretches(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Row, first start in the buffer, number of starts, anchor's place and the hashes of anchor and bytes, of every stretch."""
+    """Row, first start in the buffer, number of starts, and the hashes of anchor and bytes, of every stretch."""
     n = len(data)
     if n < LENGTH:
-        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.int64, U, U))
+        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, U, U))
     windows = Windows(data)
     place = np.arange(n - GRAM + 1)
     grams = windows.hash(place, place + GRAM)
@@ -69,7 +71,7 @@ def stretches(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
     first = np.flatnonzero(new)
     length = np.diff(np.append(first, len(start)))
     lo, anchor, row = start[first], anchor[first], row[first]
-    return row, lo, length, anchor, grams[anchor], mix(windows.hash(lo, lo + length + LENGTH - 1) ^ (anchor - lo).astype(U))
+    return row, lo, length, grams[anchor], mix(windows.hash(lo, lo + length + LENGTH - 1) ^ (anchor - lo).astype(U))
 
 
 def _pieces(column):
@@ -92,24 +94,30 @@ def _firsts(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple
     return order, new
 
 
-def _batch(kind: int, doc, start, count, anchor=None, cells=None) -> pa.RecordBatch:
-    n = len(doc)
-    null = np.ones(n, bool)
-    return pa.RecordBatch.from_arrays(
-        [
-            pa.array(np.full(n, kind, np.int32)),
-            pa.array(np.zeros(n, np.int64) if anchor is None else anchor, mask=null if anchor is None else None),
-            pa.array(np.asarray(doc, np.int64)),
-            pa.array(np.asarray(start, np.int64)),
-            pa.array(np.asarray(count, np.int64)),
-            pa.array(cells if cells is not None else [None] * n, pa.binary()),
-        ],
-        ["kind", "key", "doc", "start", "count", "cell"],
-    )
+ROWS = "kind int, key long, other long, doc long, start long, count long, cell binary"
+MARKED, PACKED, BOUNDARY, CROWDED, HASHED = range(5)
+NAMES = ("kind", "key", "other", "doc", "start", "count", "cell")
 
 
-ROWS = "kind int, key long, doc long, start long, count long, cell binary"
-MARKED, PACKED, BOUNDARY, CROWDED, HASHED = range(5)
+def _batch(kind: int, n: int, **columns) -> pa.RecordBatch:
+    """Rows of one kind; columns that are not given are null."""
+    kinds = (pa.int32(), *[pa.int64()] * 5, pa.binary())
+    own = {"kind": np.full(n, kind, np.int32)} | columns
+    return pa.RecordBatch.from_arrays([pa.array(own[c], t) if c in own else pa.nulls(n, t) for c, t in zip(NAMES, kinds, strict=True)], names=list(NAMES))
+
+
+def _cells(kind: int, cells: list[bytes], keys: np.ndarray | None = None):
+    for i in range(0, len(cells), 64):
+        own = cells[i : i + 64]
+        yield _batch(kind, len(own), cell=own, key=(np.zeros(len(own), np.int64) if keys is None else keys[i : i + 64]))
+
+
+def _ranges(kind: int, doc, start, count, key=None):
+    """One packed row of ranges."""
+    if len(doc):
+        order = np.lexsort((start, doc))
+        columns = [np.zeros(len(doc), np.int64) if key is None else key, doc, start, count]
+        yield from _cells(kind, [pack([c[order] for c in columns], RANGE)])
 
 
 def _merge_runs(doc, start, count):
@@ -131,192 +139,180 @@ def _string_hashes(data: np.ndarray, lo: np.ndarray, count: np.ndarray) -> tuple
 
 
 def _scan(docs: DataFrame, buckets: int) -> DataFrame:
-    """Step 1: packed stretches by bucket of their anchor, what the task can mark by itself, and crowded anchors' strings."""
+    """Step 1: packed stretches by bucket of their anchor, what the task can mark by itself, and crowded anchors with their strings."""
 
     def scan(batches):
-        held, size = [], 0
+        held, buffers, size = [], [], 0
 
         def flush():
-            nonlocal held, size
+            nonlocal size
             if not held:
                 return
-            anchor, content, doc, start, count, ahead, text = (np.concatenate([h[i] for h in held]) for i in range(7))
-            held, size = [], 0
-            order, new = _firsts([anchor, content], doc, start)
+            bucket, anchor, content, doc, start, count, buffer, place = (np.concatenate([h[i] for h in held]) for i in range(8))
+            held.clear()
+            size = 0
+            order, new = _firsts([bucket, anchor, content], doc, start)
             again = order[~new]
-            if len(again):
-                yield _batch(MARKED, *_merge_runs(doc[again], start[again], count[again]))
+            yield from _ranges(MARKED, *_merge_runs(doc[again], start[again], count[again]))
             keep = order[new]
-            key = anchor[keep]
-            first = np.ones(len(key), bool)
-            first[1:] = key[1:] != key[:-1]
-            at = np.flatnonzero(first)
+            key = (bucket[keep] << 32) | anchor[keep].astype(np.int64)
+            at = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
             many = np.diff(np.append(at, len(key)))
-            crowd = np.repeat(many > CROWD, many)
-            if crowd.any():
-                yield _batch(CROWDED, *(np.zeros(int((many > CROWD).sum()), np.int64),) * 3, key[at[many > CROWD]].view(np.int64))
-                yield from crowded(doc[keep[crowd]], start[keep[crowd]], count[keep[crowd]], text[keep[crowd]])
-            keep, key = keep[~crowd], key[~crowd]
-            bucket = (mix(key) % U(buckets)).astype(np.int64)
-            order = np.argsort(bucket, kind="stable")
-            keep, bucket = keep[order], bucket[order]
-            at = np.searchsorted(bucket, np.arange(buckets + 1))
-            cols = [a[keep] for a in (anchor, content, doc, start, count, ahead)]
-            cells, keys = [], []
-            for b in np.flatnonzero(np.diff(at)):
-                part = slice(at[b], at[b + 1])
-                cells.append(b"".join(c[part].astype(t).tobytes() for c, (_, t) in zip(cols, STRETCH, strict=True)))
-                keys.append(b)
-            for i in range(0, len(keys), 64):
-                k = np.array(keys[i : i + 64], np.int64)
-                yield _batch(PACKED, *(np.zeros(len(k), np.int64),) * 3, k, cells[i : i + 64])
+            if (many > CROWD).any():
+                hot = key[at[many > CROWD]]
+                yield _batch(CROWDED, len(hot), key=hot >> 32, other=hot & 0xFFFFFFFF)
+                crowd = np.repeat(many > CROWD, many)
+                own, keep = keep[crowd], keep[~crowd]
+                for k in np.unique(buffer[own]):
+                    i = own[buffer[own] == k]
+                    which, string, a, b = _string_hashes(buffers[k], place[i], count[i])
+                    d, s = doc[i][which], (start[i] - place[i])[which] + string
+                    order, new = _firsts([a, b], d, s)
+                    yield from _ranges(MARKED, *_merge_runs(d[order[~new]], s[order[~new]], np.ones(int((~new).sum()), np.int64)))
+                    j = order[new]
+                    yield _batch(HASHED, len(j), key=a[j].view(np.int64), other=b[j].view(np.int64), doc=d[j], start=s[j])
+            at = np.searchsorted(bucket[keep], np.arange(buckets + 1))
+            full = np.flatnonzero(np.diff(at))
+            cells = [pack([c[keep[at[k] : at[k + 1]]] for c in (anchor, content, doc, start, count)], STRETCH) for k in full]
+            yield from _cells(PACKED, cells, full.astype(np.int64))
             buffers.clear()
 
-        buffers: list[np.ndarray] = []
-
-        def crowded(doc, start, count, text):
-            for t in np.unique(text):
-                own = text == t
-                data, base = buffers[t >> 40], (t & ((1 << 40) - 1))
-                which, at, a, b = _string_hashes(data[base:], start[own], count[own])
-                d = doc[own][which]
-                order, new = _firsts([a, b], d, at)
-                again = order[~new]
-                if len(again):
-                    yield _batch(MARKED, *_merge_runs(d[again], at[again], np.ones(len(again), np.int64)))
-                keep = order[new]
-                yield _batch(HASHED, d[keep], at[keep], b[keep].view(np.int64), a[keep].view(np.int64))
-
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
             for lo, data, at, base in _pieces(batch.column("text")):
-                row, start, count, anchor, gram, content = stretches(data, at)
+                row, start, count, gram, content = stretches(data, at)
+                held.append(((gram % U(buckets)).astype(np.int64), (gram >> U(32)).astype(np.uint32), content, ids[lo + row], start - at[row] + base, count, np.full(len(row), len(buffers)), start))
                 buffers.append(data)
-                text = (len(buffers) - 1 << 40) + at[row] if not base else np.full(len(row), len(buffers) - 1 << 40)
-                held.append((gram, content, ids[lo + row], (start - at[row] + base), count, anchor - start, text - base))
                 size += len(row)
                 if size >= FLUSH:
                     yield from flush()
         yield from flush()
 
-    return docs.select("doc_id", F.col("text")).where("doc_id is not null").mapInArrow(scan, ROWS)
+    return docs.select("doc_id", "text").where("doc_id is not null").mapInArrow(lean(scan), ROWS)
 
 
-def _meet(packed: DataFrame, crowded: DataFrame) -> DataFrame:
-    """Step 2, by bucket: marks of equal stretches, boundary stretches, and strings of anchors that are crowded elsewhere."""
+def _meet(scanned: DataFrame) -> DataFrame:
+    """Step 2, by bucket: marks of equal stretches, boundary stretches, and those of anchors that are crowded in another task; other rows pass."""
 
     def meet(table):
-        cells = [c.as_py() for c in table.column("cell") if c.is_valid]
-        parts = []
-        for cell in cells:
-            n, at, cols = len(cell) // sum(np.dtype(t).itemsize for _, t in STRETCH), 0, []
-            for _, t in STRETCH:
-                cols.append(np.frombuffer(cell, t, n, at))
-                at += n * np.dtype(t).itemsize
-            parts.append(cols)
-        if not parts:
-            return _batch(MARKED, *(np.zeros(0, np.int64),) * 3)
-        anchor, content, doc, start, count, ahead = (np.concatenate([p[i] for p in parts]) for i in range(6))
-        del parts, cells
-        hot = np.unique(table.column("crowd").drop_null().to_numpy()).view(U)
-        order, new = _firsts([anchor, content], doc, start)
-        again = order[~new]
-        keep = order[new]
-        key = anchor[keep]
-        first = np.ones(len(key), bool)
-        first[1:] = key[1:] != key[:-1]
-        many = np.diff(np.append(np.flatnonzero(first), len(key)))
-        several = np.repeat(many > 1, many)
-        is_hot = np.isin(key, hot)
-        out = [pa.Table.from_batches([_batch(MARKED, doc[again], start[again], count[again])])]
-        for kind, mask in ((BOUNDARY, several & ~is_hot), (CROWDED, is_hot)):
-            k = keep[mask]
-            out.append(pa.Table.from_batches([_batch(kind, doc[k], start[k], count[k], anchor[k].view(np.int64))]))
+        table = table.select(NAMES)
+        kind = table.column("kind").to_numpy()
+        cells = table.column("cell").filter(pa.array(kind == PACKED)).to_pylist()
+        out = [table.filter(pa.array((kind == MARKED) | (kind == HASHED)))]
+        if cells:
+            bucket = table.column("key").filter(pa.array(kind == PACKED))[0].as_py()
+            hot = table.column("other").filter(pa.array(kind == CROWDED)).to_numpy()
+            anchor, content, doc, start, count = unpack(cells, STRETCH)
+            order, new = _firsts([anchor, content], doc, start)
+            again, keep = order[~new], order[new]
+            key = anchor[keep].astype(np.int64)
+            many = np.diff(np.append(np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])), len(key)))
+            several, crowd = np.repeat(many > 1, many), np.isin(key, hot)
+            key |= np.int64(bucket) << 32
+            for what, i, k in ((MARKED, again, None), (BOUNDARY, keep[several & ~crowd], key[several & ~crowd]), (CROWDED, keep[crowd], key[crowd])):
+                out += [pa.Table.from_batches([b]) for b in _ranges(what, doc[i], start[i], count[i], k)]
         return pa.concat_tables(out)
 
-    rows = packed.select(F.col("key").alias("bucket"), "cell", F.lit(None).cast("long").alias("crowd")).unionByName(crowded.select("bucket", F.lit(None).cast("binary").alias("cell"), F.col("key").alias("crowd")))
-    return rows.groupBy("bucket").applyInArrow(meet, ROWS)
+    #: rows of kinds that pass go where they are spread evenly
+    deal = F.when(F.col("kind").isin(PACKED, CROWDED), F.col("key")).otherwise(-1 - F.pmod(F.xxhash64("key", "other", "cell"), F.lit(partitions(scanned.sparkSession))))
+    return scanned.withColumn("bucket", deal).groupBy("bucket").applyInArrow(lean(meet), ROWS)
 
 
 def transform(text: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Suffix order, predecessor's row and preceding symbol (0: the border of a string) of the strings of ``text``; ends: their ends.
+    """Suffix order, predecessor's row and preceding symbol (-1: the border of a string) of the strings of ``text``; ends: their ends.
 
     A border sorts below every byte, and borders sort in the order of the strings.
     """
-    n, m = len(text), len(ends)
-    symbol = np.zeros(n + m, np.int64)
-    border = ends + np.arange(m)
-    inside = np.ones(n + m, bool)
+    border = ends + np.arange(len(ends))
+    size = len(text) + len(ends)
+    symbol = np.zeros(size + 7, np.int64)
+    inside = np.ones(size, bool)
     inside[border] = False
-    symbol[inside] = text.astype(np.int64) + 1
-    size = n + m
-    until = border[np.searchsorted(border, np.arange(size))] - np.arange(size)  # symbols before the next border
+    symbol[:size][inside] = text.astype(np.int64) + 1
+    until = np.repeat(border, np.diff(np.concatenate([[-1], border]))) - np.arange(size)  # symbols before the next border
     key = np.zeros(size, np.int64)
-    padded = np.concatenate([symbol, np.zeros(7, np.int64)])
     for j in range(7):
-        key = (key << 9) | np.where(until >= j, padded[j : j + size], 0)
-    h = 7
-    order = np.argsort(key, kind="stable")
-    sorted_key, alone = key[order], until[order] < h
-    while True:
-        new = np.ones(size, bool)
-        new[1:] = (sorted_key[1:] != sorted_key[:-1]) | alone[1:] | alone[:-1]
-        group = np.cumsum(new)
-        rank = np.empty(size, np.int64)
-        rank[order] = group
-        if group[-1] == size:
-            break
-        follow = np.zeros(size, np.int64)
-        follow[: size - h] = rank[h:] if h < size else 0
-        key = rank * (size + 1) + follow
-        order = np.argsort(key, kind="stable")
-        sorted_key, alone, h = key[order], np.zeros(size, bool), 2 * h
-    rank -= 1
-    before = np.concatenate([[size - 1], np.arange(size - 1)])
-    return order, rank[before][order], symbol[before][order]
+        key = (key << 9) | np.where(until >= j, symbol[j : j + size], 0)
+    order = np.argsort(key)
+    short = np.flatnonzero(until[order] < 7)  # equal keys that hold a border are in the order of the strings
+    order[short] = order[short][np.lexsort((order[short], key[order[short]]))]
+    key = key[order]
+    head = np.ones(size, bool)
+    head[1:] = key[1:] != key[:-1]
+    head[short] = True
+    rank = np.empty(size, np.int64)
+    rank[order] = np.maximum.accumulate(np.where(head, np.arange(size), 0))
+    tied, h = np.flatnonzero(~(head & np.append(head[1:], True))), 7
+    while len(tied):  # prefix doubling of the suffixes that are still tied
+        own = order[tied]
+        key = rank[own] * size + rank[own + h]
+        sort = np.argsort(key)
+        own, key = own[sort], key[sort]
+        order[tied] = own
+        head = np.ones(len(tied), bool)
+        head[1:] = key[1:] != key[:-1]
+        rank[own] = np.maximum.accumulate(np.where(head, tied, 0))
+        tied, h = tied[~(head & np.append(head[1:], True))], 2 * h
+    before = order - 1
+    return order, rank[before], symbol[:size][before] - 1
 
 
 def merge(texts: list[tuple[np.ndarray, np.ndarray]], depth: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """Places (in all texts joined) of the suffixes that share ``depth`` symbols with another, and their blocks, from the shards' transforms."""
-    places, lf, symbols, heads, rows, base = [], [], [], [], 0, 0
+    """Places (in all texts joined) of the suffixes that share ``depth`` symbols with another, and their blocks, from the shards' transforms.
+
+    A round puts ``step`` symbols before every suffix at once: the symbols and rows of ``step``
+    predecessors are read off the shards' transforms beforehand.
+    """
+    places, lf, symbols, rows, base = [], [], [], 0, 0
     for text, ends in texts:
         order, back, symbol = transform(text, ends)
         border = ends + np.arange(len(ends))
-        shift = np.searchsorted(border, np.arange(len(order)))  # borders before each symbol
-        places.append(np.where(np.isin(order, border), -1, order - shift[order] + base))
+        strings = np.repeat(np.arange(len(ends)), np.diff(np.concatenate([[-1], border])))
+        places.append(order - strings[order] + base)
         lf.append(back + rows)
         symbols.append(symbol)
         rows, base = rows + len(order), base + len(text)
     places, lf, symbols = np.concatenate(places), np.concatenate(lf), np.concatenate(symbols)
-    symbols = (symbols - 1).astype(np.int16)  # -1: border
-    now, block = np.arange(rows), np.zeros(rows, np.int64)
-    for _ in range(depth):
-        symbol = symbols[now]
-        inner = symbol >= 0  # a border begins no repeated string: it is settled
-        now, block, symbol = lf[now[inner]], block[inner], symbol[inner].astype(np.uint8)
+    step = 4 if depth % 4 == 0 else 1
+    code, last, valid = np.zeros(rows, np.int64), np.arange(rows), np.ones(rows, bool)
+    for j in range(step):  # the farthest symbol is the most significant
+        valid &= symbols[last] >= 0
+        code |= np.maximum(symbols[last], 0) << (8 * j)
+        last = lf[last]
+    known, code = np.unique(code, return_inverse=True)
+    code = code.astype(np.uint16 if len(known) <= 1 << 16 else np.int64)
+    now, block = np.arange(rows), np.zeros(rows, np.int32)
+    for _ in range(depth // step):
+        inner = valid[now]  # a border begins no repeated string: it is settled
+        now, block = now[inner], block[inner]
+        symbol = code[now]
         order = np.argsort(symbol, kind="stable")
-        now, block, symbol = now[order], block[order], symbol[order]
+        symbol, block = symbol[order], block[order]
         new = np.ones(len(now), bool)
         new[1:] = (symbol[1:] != symbol[:-1]) | (block[1:] != block[:-1])
-        last = np.ones(len(now), bool)
-        last[:-1] = new[1:]
-        block = np.cumsum(new)
-        open_ = ~(new & last)
-        now, block = now[open_], block[open_]
+        end = np.append(new[1:], True)
+        open_ = ~(new & end)  # a suffix alone in its block is settled
+        block = np.cumsum(new, dtype=np.int32)[open_]
+        now = last[now[order[open_]]]
         if not len(now):
             break
     return places[now], block
 
 
-def _boundaries(rows: DataFrame) -> DataFrame:
-    """Step 3: (doc, start, count) of the strings in boundary stretches that also start earlier."""
+def _boundaries(fetched: DataFrame) -> DataFrame:
+    """Step 3: marks of the strings in boundary stretches that also start earlier; other rows pass."""
 
     def compare(batches):
         rest = None
         for b in batches:
-            t = pa.Table.from_batches([b]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([b])])
+            boundary = pa.array(b.column("kind").to_numpy() == BOUNDARY)
+            yield b.filter(pa.compute.invert(boundary))
+            t = pa.Table.from_batches([b.filter(boundary)])
+            if not t.num_rows:
+                continue
+            t = t if rest is None else pa.concat_tables([rest, t])
             keys = t.column("key").to_numpy()
-            cut = int(np.searchsorted(keys, keys[-1])) if t.num_rows else 0
+            cut = int(np.searchsorted(keys, keys[-1]))
             if cut and t.nbytes > SHARD:
                 yield from merged(t.slice(0, cut))
                 t = t.slice(cut)
@@ -327,30 +323,35 @@ def _boundaries(rows: DataFrame) -> DataFrame:
     def merged(t):
         data, at = raw(t.column("cell"))
         doc, start = t.column("doc").to_numpy(), t.column("start").to_numpy()
-        shards, lo = [], 0
-        step = max(SHARD // 4, len(data) // 8)
+        shards, lo, step = [], 0, max(SHARD // 4, len(data) // 8)
         while lo < len(doc):  # whole stretches, in shards of a like size
             hi = max(lo + 1, int(np.searchsorted(at, at[lo] + step, "right")) - 1)
             shards.append((data[at[lo] : at[hi]], at[lo + 1 : hi + 1] - at[lo]))
             lo = hi
         place, block = merge(shards)
-        if not len(place):
-            return
         own = np.searchsorted(at, place, "right") - 1
         d, s = doc[own], start[own] + place - at[own]
-        order = np.lexsort((s, d, block))
-        again = np.zeros(len(order), bool)
-        again[1:] = block[order][1:] == block[order][:-1]
-        hit = order[again]
-        yield _batch(MARKED, *_merge_runs(d[hit], s[hit], np.ones(len(hit), np.int64)))
+        order, new = _firsts([block], d, s)
+        hit = order[~new]
+        yield from _ranges(MARKED, *_merge_runs(d[hit], s[hit], np.ones(len(hit), np.int64)))
+
+    spark = fetched.sparkSession
+    return fetched.repartition(partitions(spark), "key").sortWithinPartitions("key").mapInArrow(lean(compare), ROWS)
 
-    spark = rows.sparkSession
-    return rows.repartition(partitions(spark), "key").sortWithinPartitions("key").mapInArrow(compare, ROWS)
+
+def _unpacked(rows: DataFrame) -> DataFrame:
+    def open_(batches):
+        for b in batches:
+            for kind, cell in zip(b.column("kind").to_numpy(), b.column("cell").to_pylist(), strict=True):
+                key, doc, start, count = unpack([cell], RANGE)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), kind)), *(pa.array(c) for c in (key, doc, start, count))], ["kind", "key", "doc", "start", "count"])
+
+    return rows.select("kind", "cell").mapInArrow(open_, "kind int, key long, doc long, start int, count int")
 
 
 def _fetch(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     """The wanted stretches with their bytes; crowded ones as hashed strings."""
-    per_doc = wanted.groupBy("doc").agg(F.collect_list(F.struct("kind", "key", "start", "count")).alias("want"))
+    per_doc = _unpacked(wanted).groupBy("doc").agg(F.collect_list(F.struct("kind", "key", "start", "count")).alias("want"))
     joined = docs.select("doc_id", "text").join(per_doc, F.col("doc_id") == F.col("doc")).select("doc", "text", "want")
 
     def fetch(batches):
@@ -367,38 +368,24 @@ def _fetch(docs: DataFrame, wanted: DataFrame) -> DataFrame:
                 cells = [data[i : i + c + LENGTH - 1].tobytes() for i, c in zip(begin[k].tolist(), count[k].tolist(), strict=True)]
                 for i in range(0, len(k), 4096):
                     j = k[i : i + 4096]
-                    yield _batch(BOUNDARY, doc[j], start[j], count[j], key[j], cells[i : i + 4096])
+                    yield _batch(BOUNDARY, len(j), key=key[j], doc=doc[j], start=start[j].astype(np.int64), count=count[j].astype(np.int64), cell=cells[i : i + 4096])
                 k = np.flatnonzero((kind == CROWDED) & whole)
                 if len(k):
                     which, place, a, c = _string_hashes(data, begin[k], count[k])
-                    yield _batch(HASHED, doc[k][which], place - at[row[k]][which], c.view(np.int64), a.view(np.int64))
+                    yield _batch(HASHED, len(which), key=a.view(np.int64), other=c.view(np.int64), doc=doc[k][which], start=place - at[row[k]][which])
 
-    return joined.mapInArrow(fetch, ROWS)
+    return joined.mapInArrow(lean(fetch), ROWS)
 
 
 def marked(docs: DataFrame) -> DataFrame:
     """(doc, start, count): starts of strings that also start earlier, as ranges."""
-    buckets = partitions(docs.sparkSession)
-    scanned = durable(_scan(docs, buckets))
-    packed = scanned.where(F.col("kind") == PACKED)
-    crowd = scanned.where(F.col("kind") == CROWDED).select("key").distinct()
-
-    def bucket(batches):
-        for b in batches:
-            key = b.column("key").to_numpy()
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array((mix(key.view(U)) % U(buckets)).astype(np.int64))], ["key", "bucket"])
-
-    met = durable(_meet(packed, crowd.mapInArrow(bucket, "key long, bucket long")))
-    fetched = durable(_fetch(docs, met.where(F.col("kind").isin(BOUNDARY, CROWDED))))
-    merged = _boundaries(fetched.where(F.col("kind") == BOUNDARY))
-    strings = scanned.where(F.col("kind") == HASHED).unionByName(fetched.where(F.col("kind") == HASHED)).select("key", F.col("count").alias("other"), "doc", "start")
+    met = durable(_meet(_scan(docs, partitions(docs.sparkSession))))
+    merged = durable(_boundaries(_fetch(docs, met.where(F.col("kind").isin(BOUNDARY, CROWDED)))))
+    strings = met.where(F.col("kind") == HASHED).unionByName(merged.where(F.col("kind") == HASHED)).select("key", "other", "doc", "start")
     first = strings.groupBy("key", "other").agg(F.min(F.struct("doc", "start")).alias("first"), F.count("*").alias("n")).where("n > 1")
     repeated = strings.join(first.drop("n"), ["key", "other"]).where(F.struct("doc", "start") > F.col("first"))
-    out = [scanned.where(F.col("kind") == MARKED), met.where(F.col("kind") == MARKED), merged]
-    ranges = repeated.select("doc", "start", F.lit(1).cast("long").alias("count"))
-    for x in out:
-        ranges = ranges.unionByName(x.select("doc", "start", "count"))
-    return ranges
+    ranges = _unpacked(met.unionByName(merged).where(F.col("kind") == MARKED)).select("doc", "start", "count")
+    return ranges.unionByName(repeated.select("doc", F.col("start").cast("int").alias("start"), F.lit(1).alias("count")))
 
 
 def deduplicate(docs: DataFrame, text: bool = False) -> DataFrame:
@@ -437,4 +424,4 @@ def deduplicate(docs: DataFrame, text: bool = False) -> DataFrame:
                     names += ["spans", "kept"]
                 yield pa.RecordBatch.from_arrays(out, names)
 
-    return joined.mapInArrow(cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + extra)
+    return joined.mapInArrow(lean(cut), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + extra)
