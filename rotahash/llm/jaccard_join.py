@@ -111,7 +111,7 @@ def _tiled(met: DataFrame) -> DataFrame:
     return rows.select(F.xxhash64("run", "bucket", a, b).alias("tile"), F.when(F.col("_own") == F.col("_other"), 2).otherwise((F.col("_own") > F.col("_other")).cast("int")).alias("side"), "run", "id", "paths")
 
 
-def _groups(batches, columns):
+def _groups(batches):
     """Whole tiles of a stream sorted by tile, some at a time: (tables of numpy columns)."""
     rest = None
     for b in batches:
@@ -159,7 +159,7 @@ def _needed(tiles: DataFrame) -> DataFrame:
     """(tile, side, run, id, paths) of the rows that have a pair meeting for the first time."""
 
     def find(batches):
-        for t in _groups(batches, None):
+        for t in _groups(batches):
             tile, side, run = (t.column(c).to_numpy() for c in ("tile", "side", "run"))
             paths, need = _paths(t.column("paths")), np.zeros(t.num_rows, bool)
             for i, j in _pairs(tile, side):
@@ -199,7 +199,7 @@ def _links(rows: DataFrame, threshold: float) -> DataFrame:
     """(id, links, root): in each tile, the weight of the sets linked to each set, and the least id it reaches there."""
 
     def link(batches):
-        for t in _groups(batches, None):
+        for t in _groups(batches):
             tile, side, run, ids, weight = (t.column(c).to_numpy() for c in ("tile", "side", "run", "id", "weight"))
             paths, cells = _paths(t.column("paths")), t.column("shingles")
             cells = cells.combine_chunks() if isinstance(cells, pa.ChunkedArray) else cells

@@ -16,6 +16,7 @@ text all counts are 0, and every byte costs log10(256). Equal rows get equal sco
 from __future__ import annotations
 
 import uuid
+from collections import defaultdict
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rotahash.llm import ppm
-from rotahash.llm.bytesops import LOWER, SPACE, U, Windows, mix, pack, slices, unpack, word_hashes
+from rotahash.llm.bytesops import LOWER, SPACE, U, Windows, lean, mix, pack, slices, unpack, word_hashes
 from rotahash.llm.durable import durable, partitions
 
 ORDER, LIMIT = 5, 1 << 20
@@ -110,13 +111,14 @@ def _scan(docs: DataFrame, buckets: int, order: int) -> DataFrame:
             own = order_[at[k] : at[k + 1]]
             yield _row(GRAMS, k, 0, pack([keys[own], counts[own]], STRING))
 
-    return docs.mapInArrow(scan, ROWS)
+    return docs.mapInArrow(lean(scan), ROWS)
 
 
 def _strings(rows: DataFrame, order: int) -> DataFrame:
-    """By bucket: the counts of orders 2..N, and how many have how many binary digits."""
+    """By bucket and label (b): the counts of orders 2..N, and how many have how many binary digits."""
 
     def add(table):
+        label = table.column("b")[0].as_py()
         keys, counts = unpack(table.column("cell").to_pylist(), STRING)
         keys, counts = ppm.total([keys], [counts])
         out = []
@@ -124,68 +126,73 @@ def _strings(rows: DataFrame, order: int) -> DataFrame:
             digits = np.bincount(np.floor(np.log2(np.maximum(counts, 1))).astype(np.int64), minlength=64)
             out.append((n, pack([keys, counts], STRING), digits.tolist()))
             keys, counts = ppm.lower(keys, counts, n)
-        return pa.table({"n": pa.array([x[0] for x in out], pa.int32()), "cell": pa.array([x[1] for x in out], pa.binary()), "digits": pa.array([x[2] for x in out], pa.list_(pa.int64()))})
+        return pa.table({"label": pa.array([label] * len(out), pa.int64()), "n": pa.array([x[0] for x in out], pa.int32()), "cell": pa.array([x[1] for x in out], pa.binary()), "digits": pa.array([x[2] for x in out], pa.list_(pa.int64()))})
 
-    return rows.groupBy("a").applyInArrow(add, "n int, cell binary, digits array<long>")
+    return rows.groupBy("a", "b").applyInArrow(lean(add), "label long, n int, cell binary, digits array<long>")
 
 
-def train(rows: DataFrame, order: int, limit: int):
-    """Keys and counts of each order, at most ``limit`` of each, on the driver."""
+def train(rows: DataFrame, order: int, limit: int) -> dict[int, list[list[bytes]]]:
+    """By label, packed keys and counts of each order, at most ``limit`` strings of each, on the driver."""
     sums = durable(_strings(rows, order))
-    seen = sums.select("n", F.posexplode("digits").alias("d", "k")).groupBy("n", "d").agg(F.sum("k").alias("k")).collect()
-    many = {n: [0] * 64 for n in range(2, order + 1)}
+    seen = sums.select("label", "n", F.posexplode("digits").alias("d", "k")).groupBy("label", "n", "d").agg(F.sum("k").alias("k")).collect()
+    many: dict = defaultdict(lambda: [0] * 64)
     for r in seen:
-        many[r["n"]][r["d"]] = r["k"]
-    least, floor = {}, 0
-    for n in range(2, order + 1):
-        while sum(many[n][floor:]) > limit:
-            floor += 1
-        least[n] = 1 << floor
+        many[r["label"], r["n"]][r["d"]] = r["k"]
+    least = {}
+    for label in {x for x, _ in many}:
+        floor = 0
+        for n in range(2, order + 1):
+            while sum(many[label, n][floor:]) > limit:
+                floor += 1
+            least[label, n] = 1 << floor
 
     def cut(batches):
         for b in batches:
             out = []
-            for n, cell in zip(b.column("n").to_pylist(), b.column("cell").to_pylist(), strict=True):
+            for label, n, cell in zip(b.column("label").to_pylist(), b.column("n").to_pylist(), b.column("cell").to_pylist(), strict=True):
                 keys, counts = unpack([cell], STRING)
-                keep = counts >= least[n]
+                keep = counts >= least[label, n]
                 out.append(pack([keys[keep], counts[keep]], STRING))
-            yield pa.RecordBatch.from_arrays([b.column("n"), pa.array(out, pa.binary())], ["n", "cell"])
+            yield pa.RecordBatch.from_arrays([b.column("label"), b.column("n"), pa.array(out, pa.binary())], ["label", "n", "cell"])
 
-    cells = {n: [] for n in range(2, order + 1)}
-    low = {}
-    for r in sums.select("n", "cell").mapInArrow(cut, "n int, cell binary").collect():
-        cells[r["n"]].append(bytes(r["cell"]))
-    if order >= 2:  # orders 0 and 1 are sums of order 2
+    models: dict = defaultdict(lambda: [[] for _ in range(order + 1)])
+    for r in sums.select("label", "n", "cell").mapInArrow(lean(cut), "label long, n int, cell binary").collect():
+        models[r["label"]][r["n"]].append(bytes(r["cell"]))
+    for cells in models.values():  # orders 0 and 1 are sums of order 2
         keys, counts = ppm.total(*[[x] for x in unpack(cells[2], STRING)])
         for n in (2, 1):
             keys, counts = ppm.lower(keys, counts, n)
-            low[n - 1] = [pack([keys, counts], STRING)]
-    return [{**low, **cells}[n] for n in range(order + 1)]
+            cells[n - 1] = [pack([keys, counts], STRING)]
+    return dict(models)
 
 
-_MODELS: dict[int, ppm.Model] = {}
+def frozen(order: int, cells: list[list[bytes]]) -> ppm.Model:
+    return ppm.Model(order, [ppm.total(*[[x] for x in unpack(own, STRING)]) for own in cells])
 
 
-def model_of(shared) -> ppm.Model:
-    """The broadcast model, built once in a worker."""
-    if shared.value[0] not in _MODELS:
+_MODELS: dict[str, dict[int, ppm.Model]] = {}
+
+
+def models_of(shared) -> dict[int, ppm.Model]:
+    """The broadcast models by label, built once in a worker."""
+    name, order, cells = shared.value
+    if name not in _MODELS:
         _MODELS.clear()
-        seen = [ppm.total(*[[x] for x in unpack(cells, STRING)]) for cells in shared.value[2]]
-        _MODELS[shared.value[0]] = ppm.Model(shared.value[1], seen)
-    return _MODELS[shared.value[0]]
+        _MODELS[name] = {label: frozen(order, own) for label, own in cells.items()}
+    return _MODELS[name]
 
 
 def ppm_scores(docs: DataFrame, shared) -> DataFrame:
     """doc_id, text_hash and score of every document under a frozen model."""
 
     def score(batches):
-        model = model_of(shared)
+        model = models_of(shared).get(0) or ppm.Model(0, [(np.zeros(0, U), np.zeros(0, np.int64))])
         for b in batches:
             for lo, hi, data, at in slices(b.column("text")):
                 data = LOWER[data]
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), pa.array(text_hash(data, at)), pa.array(model.score(data, at))], ["doc_id", "text_hash", "score"])
 
-    return docs.select("doc_id", "text").mapInArrow(score, "doc_id long, text_hash long, score double")
+    return docs.select("doc_id", "text").mapInArrow(lean(score), "doc_id long, text_hash long, score double")
 
 
 def adaptive_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
@@ -209,7 +216,7 @@ def _totals(rows: DataFrame) -> DataFrame:
         n = len(out)
         return pa.table({"task": pa.array([*tasks, -1], pa.int64()), "cell": pa.array([*out, None], pa.binary()), "distinct": pa.array([0] * n + [int((counts > 0).sum())], pa.int64()), "tokens": pa.array([0] * n + [int(counts.sum())], pa.int64())})
 
-    return rows.groupBy("a").applyInArrow(answer, "task long, cell binary, distinct long, tokens long")
+    return rows.groupBy("a").applyInArrow(lean(answer), "task long, cell binary, distinct long, tokens long")
 
 
 def _unigram(texts: DataFrame, answers: DataFrame, ends: int, size: int) -> DataFrame:
@@ -232,7 +239,7 @@ def _unigram(texts: DataFrame, answers: DataFrame, ends: int, size: int) -> Data
         kinds = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64())])
         return pa.concat_tables([t.cast(kinds) for t in out]) if out else kinds.empty_table()
 
-    return texts.groupBy("a").cogroup(answers.groupBy("task")).applyInArrow(score, "doc_id long, text_hash long, held_out boolean, n_tokens long, n_known long, base_score double")
+    return texts.groupBy("a").cogroup(answers.groupBy("task")).applyInArrow(lean(score), "doc_id long, text_hash long, held_out boolean, n_tokens long, n_known long, base_score double")
 
 
 def score(docs: DataFrame, modulus: int = 7, held: int = 2, order: int = ORDER, limit: int = LIMIT) -> DataFrame:
