@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rotahash.llm import decontaminate, embedding_join, jaccard_join, language_id, lm_scoring, mixing, suffix_dedup, tokenfiles, toxicity
+from rotahash.llm import decontaminate, embedding_join, jaccard_join, language_id, licenses, lm_scoring, mixing, suffix_dedup, tokenfiles, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -43,6 +43,10 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(table(spark, sf_dir, "documents"))
 
 
+def op7_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op8_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_join.embedding_join(table(spark, sf_dir, "embeddings"))
 
@@ -56,7 +60,7 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "p_quality", "p_toxic", F.col("rejected").alias("toxic"))
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_lm_scoring, op3_jaccard_join, op4_mixing, op5_decontaminate, op6_language_id, op8_embedding_join, op9_tokenfiles, op10_toxicity)}
+QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_lm_scoring, op3_jaccard_join, op4_mixing, op5_decontaminate, op6_language_id, op7_licenses, op8_embedding_join, op9_tokenfiles, op10_toxicity)}
 
 #: Sizes and targets of op4, cut and encoding aside, are plain SQL; the rest is tested against brute force.
 ORACLE_SQL: dict[str, str] = {}
