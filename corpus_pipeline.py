@@ -27,9 +27,13 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A row for each copy that the mix takes: documents the mix does not reach go, others stand up to three times."""
-    mixed = mixing.mix(mixing.sized(docs)).where("taken > 0").select(F.col("doc_id").alias("_id"), F.expr("taken div size").cast("int").alias("_times"))
-    joined = docs.join(mixed, F.col("doc_id") == F.col("_id"))
+    """A row for each copy that the mix takes: documents the mix does not reach go, others stand up to three times.
+
+    Rows of equal doc_id share the least of their counts, so that repeated rows stay as many as they were.
+    """
+    times = F.when(F.col("taken") > 0, F.expr("taken div size")).otherwise(0).cast("int")
+    mixed = mixing.mix(mixing.sized(docs)).groupBy(F.col("doc_id").alias("_id")).agg(F.min(times).alias("_times")).where("_times > 0")
+    joined = docs.join(mixed, F.col("doc_id").eqNullSafe(F.col("_id")))
     return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*docs.columns)
 
 
