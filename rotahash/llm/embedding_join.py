@@ -32,7 +32,8 @@ from rotahash.llm.durable import durable, partitions
 from rotahash.llm.jaccard_join import _groups
 
 BLOCKS, THRESHOLD = 8, 0.95
-TILE, SHOWN, CELL = 768, 3072, 4000
+TILE, SHOWN, CELL = 8192, 16384, 4000
+ROWS, COLUMNS = 1024, 4096
 KINDS = "key long, home int, block int, id long, weight long, vector binary"
 
 
@@ -43,13 +44,17 @@ def rotation(size: int, seed: int = 11) -> np.ndarray:
 
 
 def _units(cells: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Vectors as doubles, and their rotated unit vectors."""
-    x = np.frombuffer(b"".join(cells), np.float64).reshape(len(cells), -1)
+    """Unit vectors as doubles, and rotated."""
+    x = np.frombuffer(b"".join(c[1:] for c in cells), KIND[cells[0][0]]).reshape(len(cells), -1).astype(np.float64)
     x = x / np.abs(x).max(1, keepdims=True)
     x = x / np.sqrt((x * x).sum(1, keepdims=True))
     return x, x @ rotation(x.shape[1])
 
 
+#: First byte of a packed vector: the type of its components.
+KIND = {4: np.float32, 8: np.float64}
+
+
 def _edges(size: int) -> list[tuple[int, int]]:
     blocks = min(BLOCKS, size)
     at = [round(i * size / blocks) for i in range(blocks + 1)]
@@ -62,7 +67,7 @@ def _cells(vectors: DataFrame, radius2: float, axes: int) -> DataFrame:
     def deal(batches):
         for b in batches:
             raws, ids, weight = b.column("vector").to_pylist(), b.column("id").to_numpy(), b.column("weight").to_numpy()
-            sizes = np.array([len(r) // 8 for r in raws])
+            sizes = np.array([(len(r) - 1) // r[0] for r in raws])
             for size in np.unique(sizes).tolist():
                 take = np.flatnonzero(sizes == size)
                 _, turned = _units([raws[i] for i in take])
@@ -128,37 +133,48 @@ def _links(tiles: DataFrame, threshold: float) -> DataFrame:
         edges = _edges(x.shape[1])
         share = budget / len(edges) * (1 + 1e-9)
         left, right = np.flatnonzero(np.isin(side, (0, 2, 3))), np.flatnonzero(np.isin(side, (1, 2, 4)))
-        links, root = np.zeros(len(ids), np.int64), np.array(ids)
-        if not len(left) or not len(right):
-            return links, root
+        links, label, parent = np.zeros(len(ids), np.int64), np.arange(len(ids)), list(range(len(ids)))
+
+        def top(i):
+            while parent[i] != i:
+                parent[i] = i = parent[parent[i]]
+            return i
+
+        def unite(pairs):
+            for i, j in pairs:
+                i, j = top(i), top(j)
+                if i != j:
+                    low, high = (i, j) if ids[i] <= ids[j] else (j, i)
+                    parent[high] = low
+            label[:] = [top(i) for i in range(len(ids))]
 
         def near(a, b, lo, hi):
             p, q = turned[a, lo:hi], turned[b, lo:hi]
             return (p * p).sum(1)[:, None] + (q * q).sum(1)[None, :] - 2 * (p @ q.T) <= share
 
-        lo, hi = edges[block]
-        own = near(left, right, lo, hi)
-        own &= ids[left][:, None] != ids[right][None, :]
-        if side[0] == 2:
-            own &= left[:, None] < right[None, :]
-        rows, cols = np.flatnonzero(own.any(1)), np.flatnonzero(own.any(0))
-        if not len(rows):
-            return links, root
-        got = own[np.ix_(rows, cols)]
-        a, b = left[rows], right[cols]
-        for k in range(block):
-            got &= ~near(a, b, *edges[k])
-        got &= x[a] @ x[b].T >= threshold
-        i, j = np.nonzero(got)
-        np.add.at(links, a[i], weight[b[j]])
-        np.add.at(links, b[j], weight[a[i]])
-        while len(i):
-            low = np.minimum(root[a[i]], root[b[j]])
-            if (low == root[a[i]]).all() and (low == root[b[j]]).all():
-                break
-            np.minimum.at(root, a[i], low)
-            np.minimum.at(root, b[j], low)
-        return links, root
+        for r in range(0, len(left), ROWS):
+            for c in range(r if side[0] == 2 else 0, len(right), COLUMNS):
+                a, b = left[r : r + ROWS], right[c : c + COLUMNS]
+                own = near(a, b, *edges[block]) & (ids[a][:, None] != ids[b][None, :])
+                if side[0] == 2:
+                    own &= a[:, None] < b[None, :]
+                a, b, own = a[own.any(1)], b[own.any(0)], own[np.ix_(own.any(1), own.any(0))]
+                if not len(a):
+                    continue
+                for k in range(block):  # the pair belongs to the first block where it is near
+                    own &= ~near(a, b, *edges[k])
+                own &= x[a] @ x[b].T >= threshold
+                a, b, own = a[own.any(1)], b[own.any(0)], own[np.ix_(own.any(1), own.any(0))]
+                if not len(a):
+                    continue
+                links[a] += own @ weight[b]
+                links[b] += weight[a] @ own
+                unite(zip(a.tolist(), b[own.argmax(1)].tolist(), strict=True))
+                unite(zip(b.tolist(), a[own.argmax(0)].tolist(), strict=True))
+                i, j = np.nonzero(own & (label[a][:, None] != label[b][None, :]))
+                if len(i):
+                    unite(set(zip(label[a[i]].tolist(), label[b[j]].tolist(), strict=True)))
+        return links, ids[label]
 
     def link(batches):
         for t in _groups(batches):
@@ -178,14 +194,16 @@ def _links(tiles: DataFrame, threshold: float) -> DataFrame:
 
 def embedding_join(table: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """One row per vector: vec_id, n_links, component_id, kept."""
-    rows = table.select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    single = dict(table.dtypes)["embedding"] == "array<float>"
+    rows = table.select("vec_id", F.col("embedding").cast("array<float>" if single else "array<double>").alias("v"))
     largest = F.array_max(F.transform("v", lambda x: F.abs(x)))
     good = F.col("v").isNotNull() & (F.size("v") > 0) & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & (largest > 0)
     rows = rows.withColumn("v", F.when(F.coalesce(good, F.lit(False)) & F.col("vec_id").isNotNull(), F.col("v")))
 
     def packed(batches):
         for b in batches:
-            cells = [None if v is None else np.asarray(v, np.float64).tobytes() for v in (x.values.to_numpy() if x.is_valid else None for x in b.column("v"))]
+            kind = KIND[4 if single else 8]
+            cells = [bytes([kind().itemsize]) + x.values.to_numpy().astype(kind).tobytes() if x.is_valid else None for x in b.column("v")]
             yield pa.RecordBatch.from_arrays([b.column("vec_id"), pa.array(cells, pa.binary())], ["vec_id", "vector"])
 
     rows = durable(rows.mapInArrow(lean(packed), "vec_id long, vector binary"))
