@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rotahash.llm.bytesops import U, mix, shingles, slices, word_hashes
+from rotahash.llm.bytesops import U, lean, mix, shingles, slices, word_hashes
 
 MIN_TILE, THRESHOLD, CHUNK_CHARS = 5, 0.6, 16_000_000
 FILTER_BITS = 20
@@ -148,7 +148,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, threshold: float = THRE
                         good[lo + r] &= c < threshold
                 yield b.filter(pa.array(good))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = docs.mapInArrow(lean(keep), docs.schema)
     return docs
 
 
@@ -169,5 +169,5 @@ def report(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD,
                             over[r].append(i)
                 yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("text"), pa.array(best, pa.int64()), pa.array(cover, pa.float64()), pa.array([sorted(x) for x in over], pa.list_(pa.int64()))], ["doc_id", "text", "item_id", "coverage", "items"])
 
-        out = out.mapInArrow(find, "doc_id long, text string, item_id long, coverage double, items array<long>")
+        out = out.mapInArrow(lean(find), "doc_id long, text string, item_id long, coverage double, items array<long>")
     return out.drop("text").withColumn("contaminated", F.size("items") > 0)

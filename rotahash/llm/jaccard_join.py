@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rotahash.llm.bytesops import U, binary_rows, distinct_sorted, mix, shingles, slices, word_hashes
+from rotahash.llm.bytesops import U, binary_rows, distinct_sorted, lean, mix, shingles, slices, word_hashes
 from rotahash.llm.components import components
 from rotahash.llm.durable import durable, partitions
 
@@ -77,7 +77,7 @@ def sketches(docs: DataFrame) -> DataFrame:
             lists = [pa.ListArray.from_arrays(pa.array(np.arange(0, len(c) + 1, w, dtype=np.int32)), pa.array(c, t)) for c, w, t in ((cells[3], RUNS, pa.int64()), (cells[4], RUNS * (LAST - FIRST), pa.int32()))]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c) for c in cells[:3]), *lists], ["doc_id", "n", "set_a", "set_b", "keys", "more"])
 
-    return docs.select("doc_id", "text").mapInArrow(sketch, "doc_id long, n long, set_a long, set_b long, keys array<long>, more array<int>")
+    return docs.select("doc_id", "text").mapInArrow(lean(sketch), "doc_id long, n long, set_a long, set_b long, keys array<long>, more array<int>")
 
 
 def _buckets(reps: DataFrame) -> DataFrame:
@@ -168,7 +168,7 @@ def _needed(tiles: DataFrame) -> DataFrame:
             yield from t.filter(pa.array(need)).to_batches()
 
     spark = tiles.sparkSession
-    return tiles.repartition(partitions(spark), "tile").sortWithinPartitions("tile").mapInArrow(find, tiles.schema)
+    return tiles.repartition(partitions(spark), "tile").sortWithinPartitions("tile").mapInArrow(lean(find), tiles.schema)
 
 
 def _verify(values: list[np.ndarray], threshold: float, ask: np.ndarray) -> np.ndarray:
@@ -229,7 +229,7 @@ def _links(rows: DataFrame, threshold: float) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(ids).filter(has), pa.array(links).filter(has), pa.array(root).filter(has)], ["id", "links", "root"])
 
     spark = rows.sparkSession
-    return rows.repartition(partitions(spark), "tile").sortWithinPartitions("tile").mapInArrow(link, "id long, links long, root long")
+    return rows.repartition(partitions(spark), "tile").sortWithinPartitions("tile").mapInArrow(lean(link), "id long, links long, root long")
 
 
 def _shingle_rows(docs: DataFrame) -> DataFrame:
@@ -238,7 +238,7 @@ def _shingle_rows(docs: DataFrame) -> DataFrame:
             for lo, hi, values, at in sets_of(b.column("text")):
                 yield pa.RecordBatch.from_arrays([b.column("id").slice(lo, hi - lo), binary_rows(values, at)], ["id", "shingles"])
 
-    return docs.mapInArrow(cut, "id long, shingles binary")
+    return docs.mapInArrow(lean(cut), "id long, shingles binary")
 
 
 def jaccard_join(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rotahash.llm.bytesops import SPACE, runs, slices
+from rotahash.llm.bytesops import SPACE, lean, runs, slices
 from rotahash.llm.durable import durable
 
 WEIGHTS = (5.0, 2.0, 1.0)
@@ -44,7 +44,7 @@ def sized(docs: DataFrame, keep: tuple[str, ...] = ("doc_id", "source")) -> Data
                 out[lo:hi] = np.diff(np.searchsorted(start, at))
             yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), pa.array(out)], [*keep, "size"])
 
-    return docs.select(*dict.fromkeys([*keep, "text"])).mapInArrow(count, kinds)
+    return docs.select(*dict.fromkeys([*keep, "text"])).mapInArrow(lean(count), kinds)
 
 
 def targets(sizes: list[tuple[str | None, int]], weights: tuple[float, ...] = WEIGHTS, cap: float = 3.0) -> list[tuple[str | None, int, float]]:

@@ -30,11 +30,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rotahash.llm.bytesops import U, Windows, slices
+from rotahash.llm.bytesops import U, Windows, lean, slices
 from rotahash.llm.durable import durable, new_folder, partitions
 
 LENGTH, END_ID = 1024, 2
-CACHE, SLICE = 3_000_000, 1 << 22
+CACHE, SLICE = 1_000_000, 1 << 21
 
 
 _START = np.zeros(256, bool)
@@ -211,7 +211,7 @@ def write(docs: DataFrame, tokenizer: str, folder: str | None = None, length: in
                 fs.move(f"{root}/_{tmp}-{x}", f"{root}/part-{part:06d}-{x}.arrow")
             yield pa.RecordBatch.from_arrays([pa.array([part]), pa.array([docs_]), pa.array([tokens])], ["part", "n_docs", "n_tokens"])
 
-    return folder, durable(ordered.mapInArrow(save, "part long, n_docs long, n_tokens long"))
+    return folder, durable(ordered.mapInArrow(lean(save), "part long, n_docs long, n_tokens long"))
 
 
 def _schema(kind: pa.DataType, length: int) -> pa.Schema:
@@ -260,4 +260,4 @@ def read(folder: str, manifest: DataFrame) -> DataFrame:
                             at, start = at + n, start + n
                         yield pa.RecordBatch.from_arrays([own.column("doc_id"), pa.array(starts, pa.int64()), own.column("n_tokens"), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return manifest.select("part").mapInArrow(load, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return manifest.select("part").mapInArrow(lean(load), "doc_id long, start long, n_tokens long, ids_crc32 long")

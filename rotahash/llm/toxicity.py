@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rotahash.llm.bytesops import U, distinct_sorted, slices, word_hashes
+from rotahash.llm.bytesops import U, distinct_sorted, lean, slices, word_hashes
 
 BITS = 20
 SAMPLE_ROWS = 8192
@@ -108,7 +108,7 @@ def fit(docs: DataFrame, labels: DataFrame, categories: tuple[str, ...], sample_
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(cells, pa.binary()), *(b.column(f"_{i}") for i in range(len(categories)))], ["doc_id", "words", *(f"_{i}" for i in range(len(categories)))])
 
     kinds = "doc_id long, words binary, " + ", ".join(f"_{i} double" for i in range(len(categories)))
-    got = sorted(joined.mapInArrow(extract, kinds).collect(), key=lambda r: (r.doc_id, r.words))
+    got = sorted(joined.mapInArrow(lean(extract), kinds).collect(), key=lambda r: (r.doc_id, r.words))
     cells = [np.frombuffer(r.words, np.int32).astype(np.int64) for r in got]
     ids = np.array([r.doc_id for r in got], np.int64)
     fold = (ids.astype(U) * U(0x9E3779B97F4A7C15) >> U(40)).astype(np.int64) % folds
@@ -149,7 +149,7 @@ def predict(docs: DataFrame, models: list[Linear], categories: tuple[str, ...])
                 chain = np.column_stack([chain, m.score(d, values, at, chain)])
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(chain[:, i]) for i in range(len(dense)))], ["doc_id", *(f"p_{c}" for c in categories)])
 
-    return docs.select("doc_id", "text").mapInArrow(score, "doc_id long, " + ", ".join(f"p_{c} double" for c in categories))
+    return docs.select("doc_id", "text").mapInArrow(lean(score), "doc_id long, " + ", ".join(f"p_{c} double" for c in categories))
 
 
 def classify(docs: DataFrame, labels: DataFrame, categories: tuple[str, ...] = ("quality", "toxic"), threshold: float = THRESHOLD, **options) -> DataFrame:
@@ -171,4 +171,4 @@ def reject(docs: DataFrame, labels: DataFrame, categories: tuple[str, ...] = ("q
                 chain = np.column_stack([chain, m.score(d, values, at, chain)])
             yield b.filter(pa.array(chain[:, -1] < threshold))
 
-    return docs.mapInArrow(keep, docs.schema)
+    return docs.mapInArrow(lean(keep), docs.schema)
