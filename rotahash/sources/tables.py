@@ -44,16 +44,16 @@ def document_words(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").alias("set_id"), F.explode(F.array_distinct(tokens(F.col("text")))).alias("w")).select("set_id", token_id(F.col("w")).alias("elem")).distinct()
 
 
-def shingles(text: Column, k: int = 5) -> Column:
-    """Distinct runs of k words, joined by blanks; none if there are fewer."""
-    w = tokens(text)
-    runs = F.transform(F.sequence(F.lit(1), F.size(w) - k + 1), lambda i: F.array_join(F.slice(w, i, k), " "))
-    return F.when(F.size(w) >= k, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+def shingles(words: Column, k: int = 5) -> Column:
+    """Distinct runs of k words of an array, joined by blanks; none if there are fewer."""
+    runs = F.transform(F.sequence(F.lit(1), F.size(words) - k + 1), lambda i: F.array_join(F.slice(words, i, k), " "))
+    return F.when(F.size(words) >= k, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
 
 
 def shingle_postings(rows: DataFrame, set_id: str, text: Column, k: int = 5, bits: int = SHINGLE_BITS) -> DataFrame:
-    """Sets: rows; elements: md5 ids of their k-word shingles."""
-    return rows.select(F.col(set_id).alias("set_id"), F.explode(shingles(text, k)).alias("s")).select("set_id", token_id(F.col("s"), bits).alias("elem")).distinct()
+    """Sets: rows; elements: md5 ids of their k-word shingles. The words are a column of their own, so they are split once and not for every run."""
+    words = rows.select(F.col(set_id).alias("set_id"), tokens(text).alias("w"))
+    return words.select("set_id", F.explode(shingles(F.col("w"), k)).alias("s")).select("set_id", token_id(F.col("s"), bits).alias("elem")).distinct()
 
 
 def ngram_postings(rows: DataFrame, set_id: str, text: Column, n: int = 4, bits: int = SHINGLE_BITS) -> DataFrame:
@@ -97,7 +97,7 @@ def synthetic_pairs(spark: SparkSession, f: int, tenths: tuple[int, ...]) -> Dat
     a = F.floor(F.col("j") * f / 10)
     first = F.col("elem") < a + F.floor((F.lit(f) - a) / 2)
     side = F.when(F.col("elem") < a, F.array(F.lit(0), F.lit(1))).when(first, F.array(F.lit(0))).otherwise(F.array(F.lit(1)))
-    return rows.select((F.col("j") * 2 + F.explode(side)).alias("set_id"), "elem")
+    return rows.select("j", "elem", F.explode(side).alias("side")).select((F.col("j") * 2 + F.col("side")).alias("set_id"), "elem")
 
 
 def nearest_per_decile(exact: DataFrame) -> DataFrame:
