@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rotahash.plans import app_queries, sketch_queries
+from rotahash.plans import app_queries, operator_queries, sketch_queries
 
-MODULES = (sketch_queries, app_queries)
+MODULES = (sketch_queries, app_queries, operator_queries)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
