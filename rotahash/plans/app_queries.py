@@ -48,13 +48,13 @@ def near(table: str, key: str, text):
 
     def of(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
         rows = T.load_table(spark, d, table)
-        post = settled(T.shingle_postings(rows, key, text))
+        post = settled(T.shingle_postings(rows, key, text()))
         return A.candidate_pairs(A.band_keys(S.sketch(post, WIDE), ROWS)), post
 
     return of
 
 
-DOCS = near("documents", "doc_id", F.col("text"))
+DOCS = near("documents", "doc_id", lambda: F.col("text"))
 DOC_SQL = O.binned(shingle_sql("documents", "doc_id"), WIDE) | CANDIDATES
 
 
@@ -96,7 +96,7 @@ add(
 )
 PAGE_SQL = "trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(html, '(?is)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g'), '&[a-zA-Z#0-9]+;', ' ', 'g'), '[ \\t\\r\\n]+', ' ', 'g'))"
 add("strip_html", lambda spark, d: T.load_table(spark, d, "pages").select("page_id", T.strip_html(F.col("html")).alias("text")), f"SELECT page_id, {PAGE_SQL} AS text FROM pages")
-add("page_dups", verified(near("pages", "page_id", T.strip_html(F.col("html"))), 0.8), O.ctes(O.binned(shingle_sql("pages", "page_id", PAGE_SQL), WIDE) | CANDIDATES | O.exact(), VERIFIED.format(tau=0.8)))
+add("page_dups", verified(near("pages", "page_id", lambda: T.strip_html(F.col("html"))), 0.8), O.ctes(O.binned(shingle_sql("pages", "page_id", PAGE_SQL), WIDE) | CANDIDATES | O.exact(), VERIFIED.format(tau=0.8)))
 
 
 def turns(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:

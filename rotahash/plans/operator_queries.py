@@ -202,11 +202,15 @@ def squared_sql(final: str) -> str:
     return O.ctes({"err": " UNION ALL ".join(texts)}, final)
 
 
-SUMS = [F.count("*").alias("n"), F.sum(F.abs("e")).cast("long").alias("off")]
+def sums() -> list:
+    return [F.count("*").alias("n"), F.sum(F.abs("e")).cast("long").alias("off")]
+
+
+
 SUM_SQL = "count(*) AS n, CAST(sum(abs(e)) AS BIGINT) AS off FROM err"
-add("mse_rollup", lambda s, d: squared(s, d).rollup("method", "decile").agg(*SUMS), squared_sql(f"SELECT method, decile, {SUM_SQL} GROUP BY ROLLUP (method, decile)"))
-add("mse_cube", lambda s, d: squared(s, d).cube("method", "seed").agg(*SUMS), squared_sql(f"SELECT method, seed, {SUM_SQL} GROUP BY CUBE (method, seed)"))
-add("mse_grouping_sets", lambda s, d: squared(s, d).groupingSets([["method"], ["seed"], []], "method", "seed").agg(*SUMS), squared_sql(f"SELECT method, seed, {SUM_SQL} GROUP BY GROUPING SETS ((method), (seed), ())"))
+add("mse_rollup", lambda s, d: squared(s, d).rollup("method", "decile").agg(*sums()), squared_sql(f"SELECT method, decile, {SUM_SQL} GROUP BY ROLLUP (method, decile)"))
+add("mse_cube", lambda s, d: squared(s, d).cube("method", "seed").agg(*sums()), squared_sql(f"SELECT method, seed, {SUM_SQL} GROUP BY CUBE (method, seed)"))
+add("mse_grouping_sets", lambda s, d: squared(s, d).groupingSets([["method"], ["seed"], []], "method", "seed").agg(*sums()), squared_sql(f"SELECT method, seed, {SUM_SQL} GROUP BY GROUPING SETS ((method), (seed), ())"))
 add("mse_pivot", lambda s, d: squared(s, d).groupBy("decile").pivot("method", ["copy", "rotbin"]).agg(F.count("e")), squared_sql("SELECT decile, count(*) FILTER (WHERE method = 'copy') AS copy, count(*) FILTER (WHERE method = 'rotbin') AS rotbin FROM err GROUP BY 1"))
 add("mse_unpivot", lambda s, d: squared(s, d).groupBy("decile").pivot("method", ["copy", "rotbin"]).agg(F.count("e")).unpivot("decile", ["copy", "rotbin"], "method", "n"), squared_sql("SELECT decile, method, count(*) AS n FROM err GROUP BY ALL"))
 add("error_stats", lambda s, d: squared(s, d).groupBy("method").agg(F.round(F.avg("e"), 3).alias("mean"), F.round(F.stddev_pop("e"), 3).alias("sd"), F.percentile("e", 0.5).alias("median"), F.max("e").alias("most")), squared_sql("SELECT method, round(avg(e), 3) AS mean, round(stddev_pop(e), 3) AS sd, quantile_cont(e, 0.5) AS median, max(e) AS most FROM err GROUP BY 1"))
