@@ -24,7 +24,7 @@ def test_late_rows_are_dropped(spark, tmp_path):
     import datetime as dt
 
     at = dt.datetime(2024, 1, 1)
-    for k, hours in enumerate((0, 10, 1, 20)):  # the third file is behind the watermark
+    for k, hours in enumerate((0, 10, 11, 1, 20)):  # the fourth file is behind the watermark of the batch before
         spark.createDataFrame([(k, at + dt.timedelta(hours=hours), 1, "view")], kinds).coalesce(1).write.parquet(str(tmp_path / f"w{k}"))
         (tmp_path / "in").mkdir(exist_ok=True)
         (part,) = (tmp_path / f"w{k}").glob("part-*.parquet")
