@@ -32,3 +32,11 @@ def new_folder(spark: SparkSession, kind: str) -> str:
 def partitions(spark: SparkSession) -> int:
     """The session's shuffle width: the cluster's own measure of the input's size."""
     return max(2, int(spark.conf.get("spark.sql.shuffle.partitions")))
+
+
+def free_name(df: DataFrame, stem: str) -> str:
+    """A column name that df does not have."""
+    taken = {c.lower() for c in df.columns}
+    while stem.lower() in taken:
+        stem = f"_{stem}"
+    return stem

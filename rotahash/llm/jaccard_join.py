@@ -22,13 +22,12 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from rotahash.llm.bytesops import U, binary_rows, distinct_sorted, lean, mix, shingles, slices, word_hashes
-from rotahash.llm.components import components
-from rotahash.llm.durable import durable, partitions
+from rotahash.operators.components import components
+from rotahash.llm.durable import durable, free_name, partitions
 
 K, THRESHOLD = 5, 0.8
 RUNS, FIRST, LAST = 16, 3, 6
@@ -264,6 +263,21 @@ def jaccard_join(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of docs, all columns as they were, without those whose group has a document of smaller doc_id."""
-    gone = jaccard_join(docs, threshold).where("doc_id <> class_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    """The rows of docs, all columns as they were, one for each group: that of the least doc_id.
+
+    Rows of equal doc_id count as one document; one of them stays, the first by text and then by the other
+    columns. Rows of null doc_id stay.
+    """
+    found = durable(jaccard_join(docs, threshold).select("doc_id", "class_id"))
+    name = free_name(docs, "gone")
+    gone = found.where("doc_id <> class_id").select(F.col("doc_id").alias(name)).distinct()
+    kept = docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
+    again = found.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias(name))
+    if not again.limit(1).count():
+        return kept
+    again = durable(again)
+    row = free_name(docs, "row")
+    orderable = [c for c, t in docs.dtypes if c != "doc_id" and not t.startswith("map")]
+    order = Window.partitionBy("doc_id").orderBy(*orderable)
+    repeated = kept.join(again, docs["doc_id"] == again[name], "left_semi").withColumn(row, F.row_number().over(order)).where(F.col(row) == 1).drop(row)
+    return kept.join(again, docs["doc_id"] == again[name], "left_anti").unionByName(repeated)

@@ -29,6 +29,7 @@ from rotahash.llm.bytesops import SPACE, lean, runs, slices
 from rotahash.llm.durable import durable
 
 WEIGHTS = (5.0, 2.0, 1.0)
+RESULTS = ("source_size", "target", "taken", "finish")
 ROWS_PER_RANGE, MAX_RANGES = 1_000, 1 << 16  # the tables of ranges stay small, and a range fits a task at any size
 
 
@@ -71,9 +72,14 @@ def _ranges(rows: int) -> int:
 
 
 def mix(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = 3.0, seed: int = 7) -> DataFrame:
-    """``rows`` (doc_id, source, size and any others) with source_size, target, taken and finish (virtual time of the first copy)."""
+    """``rows`` (doc_id, source, size and any others) with source_size, target, taken and finish (virtual time of the first copy).
+
+    Other columns are kept, unless they are named as one of these.
+    """
     spark, epochs = rows.sparkSession, math.ceil(cap)
-    rows = durable(rows.withColumn("_h", F.xxhash64(F.lit(seed), "doc_id")))
+    others = [c for c in rows.columns if c.lower() not in ("doc_id", "source", "size", *RESULTS)]
+    rest = F.struct(*others) if others else F.lit(None).cast("struct<_: int>")
+    rows = durable(rows.select("doc_id", "source", "size", rest.alias("_rest"), F.xxhash64(F.lit(seed), "doc_id").alias("_h")))
     total = rows.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("k")).collect()
     plan = targets([(r["source"], r["n"]) for r in total], weights, cap)
     budget, count = sum(n for _, n, _ in plan), sum(r["k"] for r in total)
@@ -107,4 +113,4 @@ def mix(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = 3.0,
             at = finish(F.lit(e))
             tie = (own < F.struct(F.lit(cut["_h"]).cast("long"), F.lit(cut["doc_id"]).cast("long"))) | ((F.col("_h") == cut["_h"]) & F.col("doc_id").eqNullSafe(F.lit(cut["doc_id"])) & (F.lit(e) < cut["_e"]))
             taken = taken + F.when((at < cut["_t"]) | ((at == cut["_t"]) & tie), 1).otherwise(0)
-    return queued.withColumn("finish", finish(F.lit(0))).withColumn("taken", F.when(F.col("target") > 0, F.col("size") * taken).otherwise(0).cast("long")).drop("_h", "_upto")
+    return queued.withColumn("finish", finish(F.lit(0))).withColumn("taken", F.when(F.col("target") > 0, F.col("size") * taken).otherwise(0).cast("long")).select("doc_id", "source", "size", *RESULTS, *([F.col("_rest")[c].alias(c) for c in others]))

@@ -27,7 +27,7 @@ from rotahash.llm.bytesops import U, distinct_sorted, lean, slices, word_hashes
 
 BITS = 20
 SAMPLE_ROWS = 8192
-THRESHOLD = 0.4
+THRESHOLD = 0.25
 
 
 @dataclass
@@ -84,10 +84,9 @@ def _fit(values: np.ndarray, at: np.ndarray, y: np.ndarray, earlier: np.ndarray,
     m, c = len(words), earlier.shape[1]
     w = np.zeros(m + c + 1)
     v, rate = w.copy(), 4.0 / (1 + (len(row) / max(n, 1)))
-    weight = np.where(y > 0, n / (2 * pos), n / (2 * (n - pos)))
     for t in range(steps):
         z = np.bincount(row, weights=v[col], minlength=n) + earlier @ v[m : m + c] + v[-1]
-        g = weight * (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y) / n
+        g = (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y) / n
         grad = np.concatenate([np.bincount(col, weights=g[row], minlength=m), earlier.T @ g, [g.sum()]])
         grad[:-1] += decay * v[:-1]
         step = v - rate * grad
@@ -95,7 +94,7 @@ def _fit(values: np.ndarray, at: np.ndarray, y: np.ndarray, earlier: np.ndarray,
     return Linear(words, w[:m], w[m : m + c], float(w[-1]))
 
 
-def fit(docs: DataFrame, labels: DataFrame, categories: tuple[str, ...], sample_rows: int = SAMPLE_ROWS, folds: int = 4, keep: int = 256, steps: int = 200, decay: float = 1e-4) -> list[Linear]:
+def fit(docs: DataFrame, labels: DataFrame, categories: tuple[str, ...], sample_rows: int = SAMPLE_ROWS, folds: int = 4, keep: int = 256, steps: int = 600, decay: float = 1e-5) -> list[Linear]:
     """Models of the categories in the chain's order, from a bounded sample of labelled documents."""
     chosen = labels.select("doc_id", *categories).where(F.col("doc_id").isNotNull()).orderBy(F.xxhash64("doc_id"), "doc_id", *categories).limit(sample_rows)
     rows = F.broadcast(chosen.select(F.col("doc_id").alias("_id"), *(F.col(c).cast("double").alias(f"_{i}") for i, c in enumerate(categories))))
