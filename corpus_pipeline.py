@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rotahash.llm import decontaminate, jaccard_join, mixing, tokenfiles, toxicity
-from rotahash.llm.durable import new_folder
+from rotahash.llm.durable import free_name, new_folder
 from rotahash.llm.queries import table, tokenizer_path
 
 
@@ -32,9 +32,10 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     Rows of equal doc_id share the least of their counts, so that repeated rows stay as many as they were.
     """
     times = F.when(F.col("taken") > 0, F.expr("taken div size")).otherwise(0).cast("int")
-    mixed = mixing.mix(mixing.sized(docs)).groupBy(F.col("doc_id").alias("_id")).agg(F.min(times).alias("_times")).where("_times > 0")
-    joined = docs.join(mixed, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*docs.columns)
+    key, count, copy = (free_name(docs, x) for x in ("key", "times", "copy"))
+    mixed = mixing.mix(mixing.sized(docs)).groupBy(F.col("doc_id").alias(key)).agg(F.min(times).alias(count)).where(F.col(count) > 0)
+    joined = docs.join(mixed, docs["doc_id"].eqNullSafe(mixed[key]))
+    return joined.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(count)))).select(*docs.columns)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
