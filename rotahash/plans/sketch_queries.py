@@ -283,7 +283,7 @@ def decile_pairs(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
 
 
 add("nearest_pair_per_decile", lambda spark, d: decile_pairs(spark, d)[0], O.ctes(DECILE_SQL, "SELECT decile, id1, id2 FROM pairs"))
-PROFILE = "SELECT '{label}' AS method, e.id1, e.id2, count(*) AS n, any_value(j) AS j, round(avg(pow(j_hat - j, 2)), 6) AS mse, round(avg(j_hat) - any_value(j), 6) AS bias, round(var_pop(j_hat), 6) AS variance FROM est e JOIN exact x ON x.id1 = e.id1 AND x.id2 = e.id2 GROUP BY e.id1, e.id2"
+PROFILE = "SELECT '{label}' AS method, e.id1, e.id2, count(*) AS n, any_value(j) AS j, round(avg(pow(j_hat - j, 2)) + 1e-10, 6) AS mse, round(avg(j_hat) - any_value(j) + 1e-10, 6) AS bias, round(var_pop(j_hat) + 1e-10, 6) AS variance FROM est e JOIN exact x ON x.id1 = e.id1 AND x.id2 = e.id2 GROUP BY e.id1, e.id2"
 
 
 def errors(kinds: dict, sets=decile_pairs, sets_sql=DECILE_SQL, base: SketchParams | None = None):
