@@ -13,11 +13,24 @@ def seed_table(spark: SparkSession, seeds: tuple[int, ...]) -> DataFrame:
     return spark.createDataFrame([(s,) for s in seeds], "seed int")
 
 
+#: Beyond so many positions a permutation is ranked inside ranges of its sort key, so no task sorts it whole.
+RANKED_IN_ONE = 1 << 16
+
+
 def permutation(spark: SparkSession, tag: str, n: int, seeds: tuple[int, ...]) -> DataFrame:
     """(seed, pos, rank): positions 0..n-1 in the order of md5('seed:tag:pos'); rank is the place in that order."""
     rows = spark.range(n).select(F.col("id").alias("pos")).crossJoin(F.broadcast(seed_table(spark, seeds)))
-    order = Window.partitionBy("seed").orderBy(hashes.md5_key(F.col("seed"), tag, F.col("pos")), "pos")
-    return rows.withColumn("rank", (F.row_number().over(order) - 1).cast("long"))
+    rows = rows.withColumn("key", hashes.md5_key(F.col("seed"), tag, F.col("pos")))
+    if n <= RANKED_IN_ONE:
+        order = Window.partitionBy("seed").orderBy("key", "pos")
+        return rows.select("seed", "pos", (F.row_number().over(order) - 1).cast("long").alias("rank"))
+    digits = 2 if n <= 1 << 22 else 4
+    rows = rows.withColumn("part", F.substring("key", 1, digits))
+    before = rows.groupBy("seed", "part").agg(F.count("*").alias("k"))  # at most 16^digits rows a seed
+    before = before.select("seed", "part", (F.sum("k").over(Window.partitionBy("seed").orderBy("part")) - F.col("k")).alias("base"))
+    order = Window.partitionBy("seed", "part").orderBy("key", "pos")
+    ranked = rows.withColumn("own", F.row_number().over(order) - 1)
+    return ranked.join(F.broadcast(before), ["seed", "part"]).select("seed", "pos", (F.col("base") + F.col("own")).cast("long").alias("rank"))
 
 
 def slot_permutations(spark: SparkSession, tag: str, slots: int, n: int, seeds: tuple[int, ...]) -> DataFrame:

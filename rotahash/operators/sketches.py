@@ -117,10 +117,13 @@ def rotbin_minhash(postings: DataFrame, p: SketchParams) -> DataFrame:
     return sketch(postings, p.with_(fill="rotate"))
 
 
-def firstk_sketch(postings: DataFrame, p: SketchParams) -> DataFrame:
-    """The K least shuffled positions of each set; slot is their place."""
+def firstk_sketch(postings: DataFrame, p: SketchParams, salts: int = 16) -> DataFrame:
+    """The K least shuffled positions of each set; slot is their place. Each salt of a set keeps its K least first, so a giant set is not sorted by one task."""
+    rows = positions(postings, p).withColumn("salt", F.pmod(F.xxhash64("elem"), F.lit(salts)))
+    own = Window.partitionBy("seed", "set_id", "salt").orderBy("q")
+    rows = rows.withColumn("r", F.row_number().over(own)).where(F.col("r") <= p.K)
     order = Window.partitionBy("seed", "set_id").orderBy("q")
-    rows = positions(postings, p).withColumn("slot", (F.row_number().over(order) - 1).cast("int")).where(F.col("slot") < p.K)
+    rows = rows.withColumn("slot", (F.row_number().over(order) - 1).cast("int")).where(F.col("slot") < p.K)
     return rows.select("seed", "set_id", "slot", F.col("q").alias("h"))
 
 

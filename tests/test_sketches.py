@@ -247,3 +247,11 @@ def test_plan_has_no_python_and_few_exchanges(spark, tiny):
     assert "Python" not in plan and "Arrow" not in plan
     scan = T.load_table(spark, tiny, "documents").where("lang = 'en'").select("doc_id")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(lang), EqualTo(lang,en)]" in scan and "ReadSchema: struct<doc_id:bigint,lang:string>" in scan
+
+
+def test_long_permutations_rank_alike(spark, monkeypatch):
+    from rotahash.operators import permutations
+
+    monkeypatch.setattr(permutations, "RANKED_IN_ONE", 10)
+    got = {r.pos: r["rank"] for r in permutation(spark, "pi", 500, (9, 10)).where("seed = 9").collect()}
+    assert [got[i] for i in range(500)] == list(md5_permutation("pi", 500, 9))
