@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rotahash.llm import decontaminate, embedding_join, jaccard_join, language_id, licenses, lm_scoring, mixing, suffix_dedup, tokenfiles, toxicity
+from rotahash.llm import decontaminate, embedding_join, jaccard_join, language_id, licenses, lm_scoring, mixing, oracle, suffix_dedup, tokenfiles, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,5 +62,10 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_lm_scoring, op3_jaccard_join, op4_mixing, op5_decontaminate, op6_language_id, op7_licenses, op8_embedding_join, op9_tokenfiles, op10_toxicity)}
 
-#: Sizes and targets of op4, cut and encoding aside, are plain SQL; the rest is tested against brute force.
-ORACLE_SQL: dict[str, str] = {}
+#: The other operators are trained, encode or cut by Spark's hash; tests/llm compares them with brute force.
+ORACLE_SQL: dict[str, str] = {
+    "op1_suffix_dedup": oracle.SUFFIX_DEDUP,
+    "op3_jaccard_join": oracle.JACCARD_JOIN,
+    "op7_licenses": oracle.licenses(licenses.TEMPLATES, licenses.THRESHOLD),
+    "op8_embedding_join": oracle.EMBEDDING_JOIN,
+}
