@@ -97,6 +97,11 @@ def refilled(postings: DataFrame, p: SketchParams) -> DataFrame:
         rows = rows.withColumn("pos", F.pmod(F.col("off") - F.col("turn"), F.lit(p.d)))
         if p.inner == "feistel":
             rows = rows.withColumn("rank", hashed(F.col("pos"), "feistel", p, p.d, "pi"))
+        elif p.share:  # the order of the split's first d positions serves as the short permutation
+            order = Window.partitionBy("seed").orderBy("rank")
+            head = permutation(spark, "sigma", p.D, p.seeds).where(F.col("pos") < p.d)
+            short = head.select("seed", "pos", (F.row_number().over(order) - 1).cast("long").alias("rank"))
+            rows = lookup(rows, short, p.d * len(p.seeds), ["seed", "pos"])
         else:
             rows = lookup(rows, permutation(spark, "pi", p.d, p.seeds), p.d * len(p.seeds), ["seed", "pos"])
     else:
@@ -117,6 +122,18 @@ def rotbin_minhash(postings: DataFrame, p: SketchParams) -> DataFrame:
     return sketch(postings, p.with_(fill="rotate"))
 
 
+def hash_evaluations(postings: DataFrame, p: SketchParams, method: str) -> DataFrame:
+    """(seed, set_id, n): how many ranks a method looks up for each set."""
+    if method in ("std", "rot"):
+        return positions(postings, p).groupBy("seed", "set_id").agg((F.count("*") * p.slots).alias("n"))
+    base = binned(postings, p)
+    if p.fill in ("none", "copy"):
+        return base.groupBy("seed", "set_id").agg(F.count("*").alias("n"))
+    sizes = base.groupBy("seed", "set_id", "bin").agg(F.count("*").alias("k"))
+    reads = donors(base, p).withColumnRenamed("read", "bin")
+    return reads.join(sizes, ["seed", "set_id", "bin"]).groupBy("seed", "set_id").agg(F.sum("k").alias("n"))
+
+
 def firstk_sketch(postings: DataFrame, p: SketchParams, salts: int = 16) -> DataFrame:
     """The K least shuffled positions of each set; slot is their place. Each salt of a set keeps its K least first, so a giant set is not sorted by one task."""
     rows = positions(postings, p).withColumn("salt", F.pmod(F.xxhash64("elem"), F.lit(salts)))

@@ -191,3 +191,22 @@ MINIMA = O.ctes(O.binned(SUPPLIERS, SUPPLIER_P), "SELECT seed, set_id, bin, min(
 add("merge_bin_minima", merged, MINIMA)
 add("bin_minima_partial_final", lambda spark, d: A.bin_minima(S.binned(suppliers(spark, d), SUPPLIER_P.with_(D=part_universe(spark, d)))), MINIMA)
 add("sig_features", lambda spark, d: A.sig_features(supplier_sig(spark, d), 1 << 18))
+
+
+# ---- vectors as sets: the axes on which a vector is positive ----
+SIGN = {"post": "SELECT vec_id AS set_id, i - 1 AS elem FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings) WHERE embedding[i] > 0"}
+
+
+def signs(spark: SparkSession, d: str) -> DataFrame:
+    rows = T.load_table(spark, d, "embeddings").select(F.col("vec_id").alias("set_id"), F.posexplode("embedding").alias("i", "x"))
+    return rows.where("x > 0").select("set_id", F.col("i").cast("long").alias("elem"))
+
+
+SIGN_P = SketchParams(64, 16, M=16, shift="lcm")
+add("embedding_sign_sets", signs, O.ctes(SIGN, "SELECT set_id, elem FROM post"))
+add("embedding_sign_sig", lambda spark, d: S.sketch(signs(spark, d), SIGN_P), O.ctes(O.binned(SIGN, SIGN_P), "SELECT seed, set_id, slot, h FROM sig"))
+add(
+    "embedding_topk_search",
+    lambda spark, d: (lambda s: A.topk_similar(s.where("set_id % 20 = 0"), s, 3))(settled(S.sketch(signs(spark, d), SIGN_P))),
+    O.ctes(O.binned(SIGN, SIGN_P) | {"agree": SUPPLIER_SQL["agree"].replace("a.set_id <> b.set_id", "a.set_id <> b.set_id AND a.set_id % 20 = 0"), "top": SUPPLIER_SQL["top"]}, "SELECT seed, id1, id2, hits, r FROM top WHERE r <= 3"),
+)

@@ -173,7 +173,7 @@ add("lateral_probe", lambda s, d: s.range(64).select(F.col("id").cast("int").ali
 
 # ---- aggregates ----
 add("distinct_elements", lambda s, d: lineitem(s, d).groupBy("l_suppkey").agg(F.count_distinct("l_partkey").alias("n")), "SELECT l_suppkey, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY 1")
-add("approx_set_sizes", lambda s, d: lineitem(s, d).groupBy("l_suppkey").agg(F.approx_count_distinct("l_partkey").alias("hll"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("sketch"), F.count_distinct("l_partkey").alias("n")))
+add("approx_set_sizes", lambda s, d: lineitem(s, d).groupBy("l_suppkey").agg(F.approx_count_distinct("l_partkey").alias("hll"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("sketch"), F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("theta"), F.count_distinct("l_partkey").alias("n")))
 add(
     "occupied_bitmap",
     lambda s, d: S.binned(suppliers(s, d), SketchParams(part_universe(s, d), 64)).groupBy("set_id").agg(F.bit_count(F.bit_or(F.expr("shiftleft(1L, cast(bin as int))"))).cast("int").alias("occupied")),
@@ -399,3 +399,21 @@ def late(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("stream_late", late)
+
+
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def state_bins(spark: SparkSession, d: str) -> DataFrame:
+    """Bin minima from arbitrary state: the least of what each user's state reported."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, ROCKS)
+    try:
+        out = settled(streamed(lambda e: bins.stateful(e, STREAM_P), "update")(spark, d).groupBy("user_id", "bin").agg(F.min("v").alias("v")))
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+    return out
+
+
+add("stream_state_bins", state_bins, SQL["stream_bin_minima"])

@@ -130,7 +130,7 @@ def binned(postings: dict[str, str], p: SketchParams) -> dict[str, str]:
         if p.inner == "feistel":
             out["sig"] = f"SELECT seed, set_id, slot, min({hashed('pos', 'feistel', p, d, 'pi')} + bin * {d}) AS h FROM (SELECT r.seed, r.set_id, r.slot, r.bin, {pos} AS pos FROM reads r JOIN base b ON {on}) GROUP BY ALL"
         else:
-            out["pi"] = perm("pi", d)
+            out["pi"] = perm("pi", d) if not p.share else f"SELECT seed, pos, row_number() OVER (PARTITION BY seed ORDER BY rank) - 1 AS rank FROM sigma WHERE pos < {d}"
             out["sig"] = f"SELECT r.seed, r.set_id, r.slot, min(pi.rank + r.bin * {d}) AS h FROM reads r JOIN base b ON {on} JOIN pi ON pi.seed = r.seed AND pi.pos = {pos} GROUP BY ALL"
     else:
         out["perms"] = slot_perm("inner", M, d)

@@ -113,6 +113,7 @@ for shift in ("plain", "per_round", "per_cycle", "lcm"):
     signature(f"rotbin_m_gt_k_{shift}_sig", S.rotbin_minhash, O.binned, SketchParams(WORD_D, 64, M=192, shift=shift))
 signature("rotbin_baskets_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 15, 16, attempts=32), family="baskets")
 signature("rotbin_suppliers_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 15, 64, split="2u"), family="suppliers")
+signature("rotbin_shared_sig", S.rotbin_minhash, O.binned, W.with_(share=True))
 signature("firstk_sig", S.firstk_sketch, O.firstk, W)
 
 # ---- primitives ----
@@ -354,6 +355,8 @@ with warnings.catch_warnings():  # the case without the extra shift is wanted he
     warnings.simplefilter("ignore")
     SHIFTS = {k: (S.sketch, O.binned, SketchParams(256, 16, M=64, seeds=tuple(range(1, 41)), shift=s)) for k, s in (("plain", "plain"), ("shifted", "lcm"))}
 simulated_errors("mse_synthetic_shift", 40, SHIFTS)
+CONTIGUOUS = SketchParams(1024, 32, seeds=SEEDS)
+simulated_errors("mse_contiguous_ids", 200, {k: (S.sketch, O.binned, CONTIGUOUS.with_(split=k)) for k in ("perm", "2u", "4u", "mix")})
 GRID = {}
 for scan in ("rotate", "random"):
     for donor in ("clockwise", "two_way", "uniform"):
@@ -380,6 +383,25 @@ add(
 )
 
 
+def evaluations(spark: SparkSession, d: str) -> DataFrame:
+    """Ranks looked up for each frequent word by standard, unfilled and rotating binned MinHash."""
+    post = frequent_words(24)(spark, d)
+    p = W.with_(D=universe(spark, d), M=128)
+    out = None
+    for label, method, q in (("std", "std", p.with_(split="identity")), ("bin", "bin", p.with_(fill="none")), ("rotbin", "rotbin", p)):
+        one = S.hash_evaluations(post, q, method).select(F.lit(label).alias("method"), "set_id", "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+EVAL = O.binned(frequent_sql(24), W.with_(M=128)) | {"k": "SELECT seed, set_id, bin, count(*) AS k FROM base GROUP BY ALL"}
+add(
+    "hash_evaluations",
+    evaluations,
+    O.ctes(EVAL, "SELECT 'std' AS method, set_id, count(*) * 128 AS n FROM base GROUP BY 2 UNION ALL SELECT 'bin', set_id, count(*) FROM base GROUP BY 2 UNION ALL SELECT 'rotbin', r.set_id, CAST(sum(k.k) AS BIGINT) FROM reads r JOIN k ON k.seed = r.seed AND k.set_id = r.set_id AND k.bin = r.bin GROUP BY 2"),
+)
+
+
 def empty_profile(spark: SparkSession, d: str) -> DataFrame:
     """How many baskets of each size leave how many of 16 bins empty."""
     p = SketchParams(part_universe(spark, d), 16)
