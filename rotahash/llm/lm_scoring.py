@@ -1,13 +1,16 @@
 """Language-model scores of documents: a frozen PPM model trained on the corpus beside a unigram word model.
 
-The first pass over the texts leaves, on shared storage, per task: the counts of its byte strings, dealt
-by their last three bytes, so that every count of order 2 and above is complete in one bucket; its distinct
-words with their counts, dealt by hash; and its texts as lists of word numbers, so the unigram scores
-need no second shuffle of texts. A task sends a word once, however often it occurs, so frequent words
-are no hot keys. Buckets answer each task with the totals of its own words.
-
-The model that is broadcast is bounded: per order at most ``limit`` strings, the most frequent of the whole
-corpus by a threshold on their counts. The second pass scores whole texts with it.
+The one pass over the texts leaves, on shared storage, per task: its distinct byte strings with their training
+counts (0 for strings of held-out texts alone), dealt by the last two bytes of their contexts, so that every
+node of order 2 and above is complete in one bucket; its distinct words with their counts, dealt by hash; and
+its texts, as bytes and as lists of word numbers, so the scores need no second shuffle of texts. A task
+sends a string or word once, however often it occurs, so frequent ones are no hot keys. Buckets answer each
+task with the totals of its own words and the log probabilities of its own strings.
+
+No string is pruned and counts are exact, whatever the size of the corpus: the model is never in one place. Only
+orders 0 and 1, at most 2^16 strings, are broadcast, and a bucket works through its contexts in pieces. A task
+whose strings or words are many answers for its texts in segments. ``train`` and ``models_of`` serve
+``language_id``, whose models are pruned and broadcast.
 
 Defined results: null text is empty: one token, its end. A null doc_id is trained on. With no training
 text all counts are 0, and every byte costs log10(256). Equal rows get equal scores.
@@ -25,18 +28,21 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rotahash.llm import ppm
-from rotahash.llm.bytesops import LOWER, SPACE, U, Windows, lean, mix, pack, slices, unpack, word_hashes
+from rotahash.llm.bytesops import LOWER, SPACE, U, lean, mix, pack, slices, unpack, word_hashes
 from rotahash.llm.durable import durable, partitions
 
-ORDER, LIMIT = 5, 1 << 20
-VOCABULARY = 1_500_000
-GRAMS, WORDS, TEXTS, TRAINED = range(4)
+ORDER = 5
+VOCABULARY, STRINGS, PIECE = 1_500_000, 1 << 21, 1 << 15
+GRAMS, WORDS, TEXTS, TRAINED, PAIRS = range(5)
 ROWS = "kind int, a long, b long, cell binary"
 STRING = (("key", np.uint64), ("count", np.int64))
 WORD = (("key", np.uint64), ("id", np.uint32), ("count", np.int64))
-TEXT = (("doc", np.int64), ("known", np.uint8), ("held", np.uint8), ("hash", np.int64), ("tokens", np.int32))
+TEXT = (("doc", np.int64), ("known", np.uint8), ("held", np.uint8), ("bytes", np.int64), ("tokens", np.int32))
 TOKEN = (("id", np.uint32),)
+BYTE = (("byte", np.uint8),)
 REPLY = (("id", np.uint32), ("total", np.int64))
+ANSWER = (("key", np.uint64), ("log", np.float64))
+ANSWERS = "kind int, task long, cell binary, distinct long, tokens long"
 
 
 def _row(kind: int, a: int, b: int, cell: bytes | None) -> pa.RecordBatch:
@@ -66,8 +72,17 @@ class Vocabulary:
         return ids
 
 
-def text_hash(data: np.ndarray, at: np.ndarray) -> np.ndarray:
-    return Windows(data).hash(at[:-1], at[1:]).view(np.int64)
+def _joined(parts: list[bytes]) -> bytes:
+    return b"".join(len(x).to_bytes(8, "little") + x for x in parts)
+
+
+def _split(cell: bytes) -> list[bytes]:
+    out, at = [], 0
+    while at < len(cell):
+        n = int.from_bytes(cell[at : at + 8], "little")
+        out.append(cell[at + 8 : at + 8 + n])
+        at += 8 + n
+    return out
 
 
 def _scan(docs: DataFrame, buckets: int, order: int) -> DataFrame:
@@ -75,41 +90,41 @@ def _scan(docs: DataFrame, buckets: int, order: int) -> DataFrame:
         strings, words, segment, trained = ppm.Grams(order), Vocabulary(), 0, 0
         part = TaskContext.get().partitionId() << 20
 
-        def vocabulary():
-            bucket = (words.keys % U(buckets)).astype(np.int64)
+        def dealt(kind, bucket, columns, layout):
             order_ = np.argsort(bucket, kind="stable")
             at = np.searchsorted(bucket[order_], np.arange(buckets + 1))
             for k in np.flatnonzero(np.diff(at)).tolist():
                 own = order_[at[k] : at[k + 1]]
-                yield _row(WORDS, k, part + segment, pack([words.keys[own], words.place[own], words.counts[words.place[own]]], WORD))
+                yield _row(kind, k, part + segment, pack([c[own] for c in columns], layout))
+
+        def known():
+            yield from dealt(WORDS, (words.keys % U(buckets)).astype(np.int64), [words.keys, words.place, words.counts[words.place]], WORD)
+            keys, counts = strings.fold()
+            yield from dealt(GRAMS, (mix((keys >> U(8)) & U(0xFFFF)) % U(buckets)).astype(np.int64), [keys, counts], STRING)
+            few, sums = ppm.total([keys & U(0xFFFF)], [counts])
+            n = len(few)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(n, PAIRS, np.int32)), pa.array(few.astype(np.int64)), pa.array(sums), pa.nulls(n, pa.binary())], ["kind", "a", "b", "cell"])
 
         for b in batches:
             held_all, ids_all = b.column("held").to_numpy(zero_copy_only=False), b.column("doc_id")
             for lo, hi, data, at in slices(b.column("text")):
                 data = LOWER[data]
                 held = held_all[lo:hi].astype(bool)
-                bytes_ = np.repeat(~held, np.diff(at))
-                if (~held).any():
-                    strings.add(data[bytes_], np.concatenate([[0], np.cumsum(np.diff(at)[~held])]))
-                    trained += int((~held).sum())
+                for rows, weight in ((~held, 1), (held, 0)):
+                    if rows.any():
+                        strings.add(data[np.repeat(rows, np.diff(at))], np.concatenate([[0], np.cumsum(np.diff(at)[rows])]), weight)
+                trained += int((~held).sum())
                 hashes, rows = word_hashes(data, at, ~SPACE)
                 ids = words.ids(hashes, np.repeat(~held, np.diff(rows)))
                 doc = ids_all.slice(lo, hi - lo)
-                known = doc.is_valid().to_numpy(zero_copy_only=False)
-                cell = pack([doc.fill_null(0).to_numpy(), known, held, text_hash(data, at), np.diff(rows)], TEXT)
-                yield _row(TEXTS, part + segment, len(cell), cell + pack([ids], TOKEN))
-                if len(words.keys) > VOCABULARY:
-                    yield from vocabulary()
-                    words, segment = Vocabulary(), segment + 1
-        yield from vocabulary()
+                valid = doc.is_valid().to_numpy(zero_copy_only=False)
+                cell = pack([doc.fill_null(0).to_numpy(), valid, held, np.diff(at), np.diff(rows)], TEXT)
+                yield _row(TEXTS, part + segment, 0, _joined([cell, pack([ids], TOKEN), pack([data], BYTE)]))
+                if len(words.keys) > VOCABULARY or len(strings.parts[0][0]) > STRINGS:
+                    yield from known()
+                    strings, words, segment = ppm.Grams(order), Vocabulary(), segment + 1
+        yield from known()
         yield _row(TRAINED, trained, 0, None)
-        keys, counts = strings.fold()
-        bucket = (mix(keys & U(0xFFFFFF)) % U(buckets)).astype(np.int64)
-        order_ = np.argsort(bucket, kind="stable")
-        at = np.searchsorted(bucket[order_], np.arange(buckets + 1))
-        for k in np.flatnonzero(np.diff(at)).tolist():
-            own = order_[at[k] : at[k + 1]]
-            yield _row(GRAMS, k, 0, pack([keys[own], counts[own]], STRING))
 
     return docs.mapInArrow(lean(scan), ROWS)
 
@@ -182,19 +197,6 @@ def models_of(shared) -> dict[int, ppm.Model]:
     return _MODELS[name]
 
 
-def ppm_scores(docs: DataFrame, shared) -> DataFrame:
-    """doc_id, text_hash and score of every document under a frozen model."""
-
-    def score(batches):
-        model = models_of(shared).get(0) or ppm.Model(0, [(np.zeros(0, U), np.zeros(0, np.int64))])
-        for b in batches:
-            for lo, hi, data, at in slices(b.column("text")):
-                data = LOWER[data]
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").slice(lo, hi - lo), pa.array(text_hash(data, at)), pa.array(model.score(data, at))], ["doc_id", "text_hash", "score"])
-
-    return docs.select("doc_id", "text").mapInArrow(lean(score), "doc_id long, text_hash long, score double")
-
-
 def adaptive_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
     """doc_id and log10 probability of each text under a model that starts empty and learns as it goes; one text at a time."""
 
@@ -214,35 +216,87 @@ def _totals(rows: DataFrame) -> DataFrame:
         keys, counts = ppm.total([p[0] for p in parts], [p[2] for p in parts])
         out = [pack([p[1], counts[np.searchsorted(keys, p[0])]], REPLY) for p in parts]
         n = len(out)
-        return pa.table({"task": pa.array([*tasks, -1], pa.int64()), "cell": pa.array([*out, None], pa.binary()), "distinct": pa.array([0] * n + [int((counts > 0).sum())], pa.int64()), "tokens": pa.array([0] * n + [int(counts.sum())], pa.int64())})
+        return pa.table({"kind": pa.array([WORDS] * (n + 1), pa.int32()), "task": pa.array([*tasks, -1], pa.int64()), "cell": pa.array([*out, None], pa.binary()), "distinct": pa.array([0] * n + [int((counts > 0).sum())], pa.int64()), "tokens": pa.array([0] * n + [int(counts.sum())], pa.int64())})
+
+    return rows.groupBy("a").applyInArrow(lean(answer), ANSWERS)
+
+
+def string_logs(keys: np.ndarray, counts: np.ndarray, order: int, few: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
+    """log10 probability of the last byte of each string after the bytes before it.
+
+    keys and counts have every counted string of the contexts that occur, by their last two bytes; few has
+    orders 0 and 1 of the whole corpus.
+    """
+    out = np.zeros(len(keys))
+    context = (keys >> U(8)) & U(0xFFFF)
+    by = np.argsort(context, kind="stable")
+    ends = np.append(np.flatnonzero(np.diff(context[by])) + 1, len(by))
+    lo = 0
+    while lo < len(by):
+        hi = int(ends[np.searchsorted(ends, min(lo + PIECE, len(by)))])
+        own = np.sort(by[lo:hi])
+        used = own[counts[own] > 0]
+        seen = [(keys[used], counts[used])]
+        for n in range(order, 2, -1):
+            seen.insert(0, ppm.lower(*seen[0], n))
+        model = ppm.Model(order, [*few, *seen], exact=True) if len(few[0][0]) else ppm.Model(0, few[:1])
+        for k in range(0, len(own), PIECE):
+            ask = own[k : k + PIECE]
+            symbols = np.stack([(keys[ask] >> U(8 * j)) & U(0xFF) for j in range(order, -1, -1)], 1).astype(np.uint8).ravel()
+            out[ask] = model.code(symbols, order + (order + 1) * np.arange(len(ask)))
+        lo = hi
+    return out
+
+
+def _probabilities(rows: DataFrame, order: int) -> DataFrame:
+    """By bucket: to each task the log probabilities of its strings."""
+    pairs = rows.where(F.col("kind") == PAIRS).groupBy("a").agg(F.sum("b").alias("b")).where("b > 0").orderBy("a").collect()  # at most 2^16
+    keys, counts = np.array([r["a"] for r in pairs], U), np.array([r["b"] for r in pairs], np.int64)
+    shared = rows.sparkSession.sparkContext.broadcast([ppm.lower(keys, counts, 1), (keys, counts)])
+
+    def answer(table):
+        cells, tasks = table.column("cell").to_pylist(), table.column("b").to_pylist()
+        parts = [unpack([c], STRING) for c in cells]
+        keys, counts = ppm.total([p[0] for p in parts], [p[1] for p in parts])
+        logs = string_logs(keys, counts, order, shared.value)
+        out = [pack([p[0], logs[np.searchsorted(keys, p[0])]], ANSWER) for p in parts]
+        none = pa.array([0] * len(out), pa.int64())
+        return pa.table({"kind": pa.array([GRAMS] * len(out), pa.int32()), "task": pa.array(tasks, pa.int64()), "cell": pa.array(out, pa.binary()), "distinct": none, "tokens": none})
 
-    return rows.groupBy("a").applyInArrow(lean(answer), "task long, cell binary, distinct long, tokens long")
+    return rows.where(F.col("kind") == GRAMS).groupBy("a").applyInArrow(lean(answer), ANSWERS)
 
 
-def _unigram(texts: DataFrame, answers: DataFrame, ends: int, size: int) -> DataFrame:
+def _scored(texts: DataFrame, answers: DataFrame, ends: int, size: int, order: int) -> DataFrame:
     def score(left, right):
-        parts = [unpack([c], REPLY) for c in right.column("cell").to_pylist()]
+        kinds_, cells = right.column("kind").to_pylist(), right.column("cell").to_pylist()
+        parts = [unpack([c], REPLY) for k, c in zip(kinds_, cells, strict=True) if k == WORDS]
         total = np.zeros(1 + max([int(p[0].max()) for p in parts if len(p[0])], default=0), np.int64)
         for ids, counts in parts:
             total[ids] = counts
         logs = np.log10(total + 1.0)
+        keys, likely = unpack([c for k, c in zip(kinds_, cells, strict=True) if k == GRAMS], ANSWER)
+        by = np.argsort(keys)
+        keys, likely = keys[by], likely[by]
         out = []
-        for cell, split in zip(left.column("cell").to_pylist(), left.column("b").to_pylist(), strict=True):
-            doc, known, held, hash_, n = unpack([cell[:split]], TEXT)
-            (ids,) = unpack([cell[split:]], TOKEN)
+        for cell in left.column("cell").to_pylist():
+            head, own, body = _split(cell)
+            doc, known, held, width, n = unpack([head], TEXT)
+            (ids,), (data,) = unpack([own], TOKEN), unpack([body], BYTE)
             at = np.concatenate([[0], np.cumsum(n)])
             sums = np.concatenate([[0], np.cumsum(logs[ids])])
             hits = np.concatenate([[0], np.cumsum(total[ids] > 0)])
             tokens = n.astype(np.int64) + 1
             base = sums[at[1:]] - sums[at[:-1]] + np.log10(ends + 1.0) - tokens * np.log10(float(size))
-            out.append(pa.table({"doc_id": pa.array(doc, mask=known == 0), "text_hash": pa.array(hash_), "held_out": pa.array(held == 1), "n_tokens": pa.array(tokens), "n_known": pa.array(hits[at[1:]] - hits[at[:-1]] + (ends > 0)), "base_score": pa.array(base)}))
-        kinds = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64())])
+            symbols, places, offsets = ppm.framed(data, np.concatenate([[0], np.cumsum(width)]), order)
+            ppm_score = np.add.reduceat(likely[np.searchsorted(keys, ppm.grams(symbols, places, order))], offsets[:-1])
+            out.append(pa.table({"doc_id": pa.array(doc, mask=known == 0), "held_out": pa.array(held == 1), "n_tokens": pa.array(tokens), "n_known": pa.array(hits[at[1:]] - hits[at[:-1]] + (ends > 0)), "base_score": pa.array(base), "score": pa.array(ppm_score)}))
+        kinds = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
         return pa.concat_tables([t.cast(kinds) for t in out]) if out else kinds.empty_table()
 
-    return texts.groupBy("a").cogroup(answers.groupBy("task")).applyInArrow(lean(score), "doc_id long, text_hash long, held_out boolean, n_tokens long, n_known long, base_score double")
+    return texts.groupBy("a").cogroup(answers.groupBy("task")).applyInArrow(lean(score), "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
 
 
-def score(docs: DataFrame, modulus: int = 7, held: int = 2, order: int = ORDER, limit: int = LIMIT) -> DataFrame:
+def score(docs: DataFrame, modulus: int = 7, held: int = 2, order: int = ORDER) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score."""
     spark = docs.sparkSession
     is_held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % modulus == held, F.lit(False))
@@ -251,8 +305,6 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2, order: int = ORDER,
     ends = scan.where(F.col("kind") == TRAINED).agg(F.sum("a")).first()[0] or 0
     distinct, tokens = answers.where("task = -1").agg(F.coalesce(F.sum("distinct"), F.lit(0)), F.coalesce(F.sum("tokens"), F.lit(0))).first()
     n, v = tokens + ends, distinct + (ends > 0)
-    base = _unigram(scan.where(F.col("kind") == TEXTS), answers.where("task >= 0"), ends, n + v + 1)
-    shared = spark.sparkContext.broadcast((uuid.uuid4().hex, order, train(scan.where(F.col("kind") == GRAMS), order, limit)))
-    scored = ppm_scores(docs, shared).dropDuplicates(["doc_id", "text_hash"]).select(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash"), "score")
-    joined = base.join(scored, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_hash") == F.col("_hash")))
-    return joined.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")
+    answers = answers.where("task >= 0").unionByName(_probabilities(scan, order))
+    scored = _scored(scan.where(F.col("kind") == TEXTS), answers, ends, n + v + 1, order)
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")

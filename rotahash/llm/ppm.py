@@ -2,9 +2,9 @@
 
 A model of order N is a trie of byte contexts: the child of a node is its context with one more byte
 before it, and a node has the counts of the symbols seen after its context. Training counts strings of
-N+1 bytes; the counts of lower orders are sums of these. A frozen model is bounded: the strings of an
-order that were seen least are pruned until at most ``limit`` are left, whatever was read. Counts are kept
-in 16 bits: a node's counts are halved, never to 0, until they fit.
+N+1 bytes; the counts of lower orders are sums of these. A model made by ``of`` is bounded: the strings of an
+order that were seen least are pruned until at most ``limit`` are left, whatever was read. Unless a model is
+``exact``, counts are kept in 16 bits: a node's counts are halved, never to 0, until they fit.
 
 Coding of a symbol starts at order N. With T the sum of a node's counts and D their number, a symbol seen c
 times has probability (c-1/2)/T and the escape D/(2T) (estimate "D"), or c/(T+D) and D/(T+D) (estimate "C").
@@ -55,10 +55,10 @@ class Grams:
     def __init__(self, order: int):
         self.order, self.parts, self.size = order, [], 0
 
-    def add(self, data: np.ndarray, at: np.ndarray) -> None:
+    def add(self, data: np.ndarray, at: np.ndarray, weight: int = 1) -> None:
         symbols, places, _ = framed(data, at, self.order)
         keys, counts = np.unique(grams(symbols, places, self.order), return_counts=True)
-        self.parts.append((keys, counts))
+        self.parts.append((keys, counts * weight))
         self.size += len(keys)
         if self.size > 1 << 22:
             self.fold()
@@ -96,8 +96,8 @@ def prune(keys: np.ndarray, counts: np.ndarray, limit: int) -> tuple[np.ndarray,
 class Model:
     """Frozen statistics."""
 
-    def __init__(self, order: int, seen: list[tuple[np.ndarray, np.ndarray]], escape: str = "D"):
-        """seen: keys and counts of each order 0..N, keys sorted and distinct."""
+    def __init__(self, order: int, seen: list[tuple[np.ndarray, np.ndarray]], escape: str = "D", exact: bool = False):
+        """seen: keys and counts of each order 0..N, keys sorted and distinct. exact: counts are never halved."""
         self.order = order
         self.less, self.more = ESCAPES[escape]
         used = np.unique((seen[0][0]).astype(np.int64)) if len(seen) else np.zeros(0, np.int64)
@@ -124,9 +124,9 @@ class Model:
             most = np.zeros(len(own), np.int64)
             np.maximum.at(most, node, counts)
             halvings = np.zeros(len(own), np.int64)
-            while (over := (most >> halvings) > 0xFFFF).any():
+            while not exact and (over := (most >> halvings) > 0xFFFF).any():
                 halvings += over
-            table = np.zeros((len(own) + 1, self.size), np.uint16)
+            table = np.zeros((len(own) + 1, self.size), np.int64 if exact else np.uint16)
             table[node + 1, self.letter[(keys & U(0xFF)).astype(np.int64)]] = np.maximum(counts >> halvings[node], 1)
             self.counts.append(table)
             self.total.append(table.sum(1, dtype=np.int64).astype(np.float64))

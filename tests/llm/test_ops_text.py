@@ -173,6 +173,21 @@ def test_lm_scores_equal_brute_force(docs, texts):
             assert math.isclose(r.score, naive_ppm(train, lower(t), lm_scoring.ORDER), rel_tol=1e-6)
 
 
+def test_lm_scores_keep_every_string(spark, monkeypatch):
+    """Over 2^20 different strings of an order, and tasks in several segments: nothing is pruned."""
+    monkeypatch.setattr(lm_scoring, "STRINGS", 1 << 17)
+    letters = np.random.default_rng(3).integers(97, 123, (220, 8000)).astype(np.uint8)
+    rows = [(k, x.tobytes().decode()) for k, x in enumerate(letters)]
+    held = np.array([zlib.crc32(str(k).encode()) % 7 == 2 for k, _ in rows])
+    grams, at = ppm.Grams(lm_scoring.ORDER), np.arange(0, (~held).sum() * 8000 + 1, 8000)
+    grams.add(letters[~held].ravel(), at)
+    keys, counts = grams.fold()
+    assert len(keys) > 1 << 20
+    want = ppm.Model.of(lm_scoring.ORDER, keys, counts, limit=1 << 30).score(letters.ravel(), np.arange(0, letters.size + 1, 8000))
+    got = {r.doc_id: r.score for r in lm_scoring.score(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert len(got) == 220 and all(math.isclose(got[k], want[k], rel_tol=1e-9) for k in got)
+
+
 def test_lm_adaptive_and_odd(odd, empty):
     assert math.isclose(ppm.adaptive(b"", 2), -math.log10(256))
     assert ppm.adaptive(b"ab" * 50, 2) > ppm.adaptive(bytes(range(100)), 2)
