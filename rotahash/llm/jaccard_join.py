@@ -1,13 +1,14 @@
 """N-gram Jaccard self-join by chosen paths.
 
-A document is the set of its hashed five-word shingles. In each of ``RUNS`` independent runs a set is
+A document is the set of its hashed five-word shingles. In each of at least ``RUNS`` independent runs a set is
 sent down a path of sampled shared tokens: the token at a node is the set's least shingle under the
 node's hash function, so two sets take the same branch with probability equal to their Jaccard
 similarity. Paths begin with ``FIRST`` tokens. A bucket of at most ``BUCKET`` sets is compared by brute
 force; a larger one is split on the next sampled token, at most ``LAST`` in all, after which it is
 compared in tiles, so no group is ever held whole by one task. A pair of similarity s meets in a run with
-probability s^depth; ``recall`` states what the runs together reach. What meets is verified exactly on
-whole sets, so no pair below the threshold is linked.
+probability s^depth; ``runs_for`` gives the runs that find a pair at the threshold with probability ``TARGET``. The
+sets of buckets that are split walk as many further runs as the depth ``LAST`` needs, so large groups lose no
+more than small ones. What meets is verified exactly on whole sets, so no pair below the threshold is linked.
 
 Equal sets form one class before anything else; only class representatives travel. Each pair is
 verified once, in the first run where it meets. A tile returns per document its number of links and a
@@ -20,6 +21,8 @@ and share a group. A null doc_id gives a null group and 0 links.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -32,7 +35,7 @@ from rotahash.llm.durable import durable, free_name, partitions
 K, THRESHOLD = 5, 0.8
 RUNS, FIRST, LAST = 16, 3, 6
 BUCKET, TILE = 64, 192
-FACTORS = mix(np.arange(1, RUNS * LAST + 1, dtype=U)) | U(1)
+TARGET = 0.9999
 
 
 def recall(similarity: float, depth: int = LAST, runs: int = RUNS) -> float:
@@ -40,14 +43,22 @@ def recall(similarity: float, depth: int = LAST, runs: int = RUNS) -> float:
     return 1 - (1 - similarity**depth) ** runs
 
 
+def runs_for(similarity: float, depth: int, target: float = TARGET) -> int:
+    """Least number of runs in which a pair meets with probability ``target``."""
+    meets = similarity**depth
+    return 1 if meets >= target else math.ceil(math.log1p(-target) / math.log1p(-meets))
+
+
 def sets_of(column, lo_hi=False):
     """Slices of a text column as (lo, hi, sorted distinct shingles, offsets)."""
     for lo, hi, data, at in slices(column, lower=True):
         yield lo, hi, *distinct_sorted(*shingles(*word_hashes(data, at), K))
 
 
-def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, number of shingles, two hashes that identify the set, and the paths' tokens."""
+def sketches(docs: DataFrame, begin: int = 0, end: int = RUNS) -> DataFrame:
+    """doc_id, number of shingles, two hashes that identify the set, and the tokens of its paths in the runs from begin up to end."""
+    runs = end - begin
+    factors = mix(np.arange(begin * LAST + 1, end * LAST + 1, dtype=U)) | U(1)
 
     def sketch(batches):
         for b in batches:
@@ -55,16 +66,16 @@ def sketches(docs: DataFrame) -> DataFrame:
             for lo, hi, values, at in sets_of(b.column("text")):
                 n = np.diff(at)
                 full = np.flatnonzero(n)
-                tokens = np.zeros((hi - lo, RUNS * LAST), U)
+                tokens = np.zeros((hi - lo, runs * LAST), U)
                 ident = np.zeros((2, hi - lo), U)
                 if len(full):
                     first = at[:-1][full]
-                    for j, f in enumerate(FACTORS):
+                    for j, f in enumerate(factors):
                         tokens[full, j] = np.minimum.reduceat(values * f, first)
                     ident[0, full] = np.add.reduceat(mix(values), first)
                     ident[1, full] = np.add.reduceat(mix(values ^ U(0x5851F42D4C957F2D)), first)
-                tokens = mix(tokens).reshape(hi - lo, RUNS, LAST)
-                key = np.zeros((hi - lo, RUNS), U)
+                tokens = mix(tokens).reshape(hi - lo, runs, LAST)
+                key = np.zeros((hi - lo, runs), U)
                 for d in range(FIRST):
                     key = mix(key * U(0x9E3779B97F4A7C15) + tokens[:, :, d])
                 out[0].append(n)
@@ -73,20 +84,33 @@ def sketches(docs: DataFrame) -> DataFrame:
                 out[3].append(key.view(np.int64).ravel())
                 out[4].append((tokens[:, :, FIRST:] >> U(32)).astype(np.uint32).view(np.int32).ravel())
             cells = [np.concatenate(x) if x else np.zeros(0, np.int64) for x in out]
-            lists = [pa.ListArray.from_arrays(pa.array(np.arange(0, len(c) + 1, w, dtype=np.int32)), pa.array(c, t)) for c, w, t in ((cells[3], RUNS, pa.int64()), (cells[4], RUNS * (LAST - FIRST), pa.int32()))]
+            lists = [pa.ListArray.from_arrays(pa.array(np.arange(0, len(c) + 1, w, dtype=np.int32)), pa.array(c, t)) for c, w, t in ((cells[3], runs, pa.int64()), (cells[4], runs * (LAST - FIRST), pa.int32()))]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c) for c in cells[:3]), *lists], ["doc_id", "n", "set_a", "set_b", "keys", "more"])
 
     return docs.select("doc_id", "text").mapInArrow(lean(sketch), "doc_id long, n long, set_a long, set_b long, keys array<long>, more array<int>")
 
 
-def _buckets(reps: DataFrame) -> DataFrame:
-    """(id, run, bucket, size): the bucket of at least two sets in which each set's path ends, run by run."""
+def _walks(reps: DataFrame, begin: int = 0) -> DataFrame:
+    """(id, run, bucket, more): the path of each set in each run, numbered from begin."""
+    steps = LAST - FIRST
+    rows = reps.select("id", F.posexplode("keys").alias("run", "bucket"), "more")
+    return rows.select("id", (F.col("run") + begin).alias("run"), "bucket", F.slice("more", F.col("run") * steps + 1, F.lit(steps)).alias("more"))
+
+
+def _shared(now: DataFrame) -> DataFrame:
+    """The rows whose bucket has at least two sets, with its size."""
+    return now.join(now.groupBy("run", "bucket").agg(F.count("*").alias("size")).where("size > 1"), ["run", "bucket"])
+
+
+def _buckets(reps: DataFrame, further) -> DataFrame:
+    """(id, run, bucket, size): the bucket of at least two sets in which each set's path ends, run by run.
+
+    further: of a DataFrame of ids, their walks in the further runs; it is asked for the sets of buckets that are split.
+    """
     steps = LAST - FIRST
-    now = reps.select("id", F.posexplode("keys").alias("run", "bucket"), "more").select("id", "run", "bucket", F.slice("more", F.col("run") * steps + 1, F.lit(steps)).alias("more"))
-    done = None
+    now, done = _walks(reps), None
     for level in range(steps + 1):
-        sizes = now.groupBy("run", "bucket").agg(F.count("*").alias("size")).where("size > 1")
-        joined = now.join(sizes, ["run", "bucket"])
+        joined = _shared(now)
         if level < steps:
             joined = durable(joined)
         small = joined if level == steps else joined.where(F.col("size") <= BUCKET)
@@ -97,6 +121,10 @@ def _buckets(reps: DataFrame) -> DataFrame:
         large = joined.where(F.col("size") > BUCKET)
         if not large.limit(1).count():
             break
+        if level == 0:
+            more = durable(_shared(further(large.select("id").distinct())))
+            done = done.unionByName(more.where(F.col("size") <= BUCKET).select("id", "run", "bucket", "size"))
+            large = large.unionByName(more.where(F.col("size") > BUCKET))
         now = large.select("id", "run", F.xxhash64("bucket", F.element_at("more", level + 1)).alias("bucket"), "more")
     return done
 
@@ -128,9 +156,10 @@ def _paths(column) -> np.ndarray:
     """Matrix of the runs' buckets; 0: none."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
     at, flat = column.offsets.to_numpy(), column.flatten()
-    out = np.zeros((len(column), RUNS), np.int64)
+    run = flat.field(0).to_numpy()
+    out = np.zeros((len(column), int(run.max(initial=0)) + 1), np.int64)
     row = np.repeat(np.arange(len(column)), np.diff(at))
-    out[row, flat.field(0).to_numpy()] = flat.field(1).to_numpy()
+    out[row, run] = flat.field(1).to_numpy()
     return out
 
 
@@ -243,11 +272,18 @@ def _shingle_rows(docs: DataFrame) -> DataFrame:
 def jaccard_join(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """One row per document: doc_id, class_id (least doc_id of its group), copy_id (least doc_id with the same set), n_links (other documents linked directly, copies included), n_shingles."""
     spark = docs.sparkSession
-    table = durable(sketches(docs))
+    runs = max(RUNS, runs_for(threshold, FIRST))
+    table = durable(sketches(docs, 0, runs))
     classes = table.where("n > 0 and doc_id is not null").groupBy("set_a", "set_b").agg(F.min("doc_id").alias("id"), F.count("*").alias("weight"), F.any_value("keys").alias("keys"), F.any_value("more").alias("more"))
     classes = durable(classes)
-    done = durable(_buckets(classes.select("id", "keys", "more")))
-    met = done.groupBy("id").agg(F.collect_list(F.struct("run", "bucket", "size")).alias("m"))  # at most RUNS entries
+
+    def further(ids):
+        own = docs.select("doc_id", "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
+        sets = sketches(own, runs, max(runs, runs_for(threshold, LAST))).where("n > 0").dropDuplicates(["doc_id", "set_a", "set_b"])
+        return _walks(sets.withColumnRenamed("doc_id", "id"), runs)
+
+    done = durable(_buckets(classes.select("id", "keys", "more"), further))
+    met = done.groupBy("id").agg(F.collect_list(F.struct("run", "bucket", "size")).alias("m"))  # at most one entry a run
     met = met.select("id", F.explode("m").alias("x"), F.transform("m", lambda s: F.struct(s.run.alias("run"), s.bucket.alias("bucket"))).alias("paths")).select("id", "x.*", "paths")
     need = durable(_needed(_tiled(met)))
     ids = need.select("id").distinct()

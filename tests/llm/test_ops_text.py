@@ -266,6 +266,17 @@ def test_jaccard_join_of_a_hot_group(spark, monkeypatch):
     assert got == linked(rows)
 
 
+def test_jaccard_join_keeps_the_links_of_a_hot_group_at_the_threshold(spark):
+    """300 near copies whose pairs lie just above the threshold share buckets that are split to the last depth."""
+    base = " ".join(f"w{i}" for i in range(96))
+    rows = {k: f"{base} " + " ".join(f"x{k}y{i}" for i in range(10)) for k in range(300)}  # 92 shingles of 112 in common: .82
+    assert jaccard_join.runs_for(0.8, jaccard_join.LAST) == 31 and jaccard_join.recall(0.8, runs=31) > jaccard_join.TARGET
+    got = {r.doc_id: (r.class_id, r.n_links) for r in jaccard_join.jaccard_join(spark.createDataFrame(list(rows.items()), "doc_id long, text string")).collect()}
+    want = linked(rows)
+    assert all(x == (0, 299) for x in want.values()) and [k for k in rows if got[k][0]] == []
+    assert sum(n for _, n in got.values()) >= jaccard_join.TARGET * sum(n for _, n in want.values())
+
+
 def test_jaccard_join_odd_input(odd, empty):
     rows = {r.doc_id: r for r in jaccard_join.jaccard_join(odd).collect()}
     assert rows[4].class_id == rows[5].class_id == 4 and rows[7].class_id == 6
