@@ -1,12 +1,15 @@
 """Licence scan: normalised text against licence templates by the Dice coefficient of their word bigrams.
 
-A unit of text is a whole document without its copyright lines, or one line. Words are lower-cased runs of
+A unit of text is a whole document without its copyright lines, one line, or a passage: any run of successive
+words, over line breaks or inside a line. A passage counts if the whole text matches nothing and no matching
+line or passage that it overlaps is as good. Words are lower-cased runs of
 letters and digits, so case, punctuation and line breaks don't count. A unit of a distinct bigrams and a
 template of b can reach 2 min(a,b) / (a+b) at most; templates out of reach of the threshold are pruned by
 that bound before any bigram is compared. The templates are a fixed, small list, and are broadcast.
 
 Defined results: null or empty text and units of one word match nothing; on equal coefficients the whole
-text comes before a line, an earlier line before a later one, and then the template that is listed first.
+text comes before a line, a line before a passage, an earlier one before a later one, and then the template that
+is listed first. The line of a passage is that of its first word.
 Repeated rows and further columns change nothing; an empty table gives an empty result.
 """
 
@@ -60,6 +63,7 @@ class Templates:
             values, to = bigrams(*word_hashes(data, at))
             grams = [values[to[i] : to[i + 1]] for i in range(len(to) - 1)]
         self.sizes = np.array([len(g) for g in grams], np.int64)
+        self.grams = grams
         keys = np.concatenate([*grams, np.zeros(0, U)])
         order = np.argsort(keys, kind="stable")
         self.keys, self.owner = keys[order], np.repeat(np.arange(len(grams)), self.sizes)[order]
@@ -84,9 +88,57 @@ class Templates:
         keep = fits[unit, owner] & (dice >= self.threshold - 1e-12)
         return unit[keep], owner[keep], dice[keep]
 
+    def candidates(self, values: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(document, template) that share enough bigrams for a passage to match; values: the pair of each word and the next, at: the documents' first words."""
+        maybe = np.flatnonzero(self.filter[(values >> U(64 - FILTER_BITS)).astype(np.int64)])
+        doc = np.searchsorted(at, maybe, "right") - 1
+        inside = maybe + 1 < at[doc + 1]
+        maybe, doc = maybe[inside], doc[inside]
+        lo, hi = np.searchsorted(self.keys, values[maybe]), np.searchsorted(self.keys, values[maybe], "right")
+        n = np.cumsum(hi - lo)
+        key = np.arange(n[-1] if len(n) else 0) - np.repeat(n - (hi - lo), hi - lo) + np.repeat(lo, hi - lo)
+        seen = np.unique(np.repeat(doc, hi - lo) * len(self.keys) + key)
+        pair, common = np.unique(seen // max(len(self.keys), 1) * len(self.sizes) + self.owner[seen % max(len(self.keys), 1)], return_counts=True)
+        doc, owner = pair // len(self.sizes), pair % len(self.sizes)
+        enough = common >= self.sizes[owner] * self.threshold / (2 - self.threshold) - 1e-9
+        return doc[enough], owner[enough]
+
+    def passages(self, values: np.ndarray, owners: list[int], lines: list[tuple[float, int, int]]) -> list[tuple[float, int, int]]:
+        """(coefficient, first word, template) of a document's passages; lines: coefficient, first word and end of the lines that match."""
+        n = len(values)
+        before = np.full(n, -1)
+        order = np.argsort(values, kind="stable")
+        same = values[order][1:] == values[order][:-1]
+        before[order[1:][same]] = order[:-1][same]
+        found = [(-dice, 0, begin, -1, end) for dice, begin, end in lines]
+        for t in owners:
+            own, size = self.grams[t], self.sizes[t]
+            inside = own[np.minimum(np.searchsorted(own, values), size - 1)] == values
+            reach = int((inside & (before < 0)).sum())
+            high = size * (2 - self.threshold) / self.threshold + 1e-9
+            for i in np.flatnonzero(inside).tolist():  # a best passage begins with a bigram of the template
+                width = 4 * int(size) + 16
+                while True:
+                    new = before[i : i + width] < i
+                    distinct, common = np.cumsum(new), np.cumsum(new & inside[i : i + width])
+                    if i + width >= n or distinct[-1] > high or common[-1] == reach:
+                        break
+                    width *= 2
+                dice = 2 * common / (distinct + size)
+                k = int(dice.argmax())
+                if dice[k] >= self.threshold - 1e-12:
+                    found.append((-float(dice[k]), 1, i, t, i + k + 2))
+        taken, out = np.zeros(n + 1, bool), []
+        for dice, passage, begin, t, end in sorted(found):
+            if passage and not taken[begin:end].any():
+                out.append((-dice, begin, t))
+            if not passage or out and out[-1][1:] == (begin, t):
+                taken[begin:end] = True
+        return out
+
 
 def scan(docs: DataFrame, threshold: float = THRESHOLD, templates=TEMPLATES) -> DataFrame:
-    """One row per document: doc_id, license (null: none), dice, line (number of the line from 0; -1: the whole text; null: none), n_matches (units that match some template)."""
+    """One row per document: doc_id, license (null: none), dice, line (number of the line from 0; -1: the whole text; null: none), n_matches (units that match some template; passages as defined above)."""
     shared = docs.sparkSession.sparkContext.broadcast((tuple(templates), threshold))
 
     def find(batches):
@@ -106,16 +158,33 @@ def scan(docs: DataFrame, threshold: float = THRESHOLD, templates=TEMPLATES) ->
                 notice[filled] = words[to[filled]] == mark
                 keep = ~np.repeat(notice, np.diff(to))
                 count = np.bincount(doc_of, weights=np.where(notice, 0, np.diff(to)), minlength=hi - lo).astype(np.int64)
+                whole, alike = np.zeros(hi - lo, bool), {}
                 for texts in (True, False):
                     unit, owner, dice = index.match(words[keep], np.concatenate([[0], np.cumsum(count)])) if texts else index.match(words, to)
                     row = unit if texts else doc_of[unit]
                     line = np.full(len(unit), -1) if texts else number[unit]
+                    if texts:
+                        whole[unit] = True
+                    else:
+                        for d, x, y, z in zip(row.tolist(), dice.tolist(), to[unit].tolist(), to[unit + 1].tolist(), strict=True):
+                            alike.setdefault(d, []).append((x, y, z))
                     first = np.concatenate([[True], unit[1:] != unit[:-1]]) if len(unit) else np.zeros(0, bool)
                     np.add.at(many, lo + row[first], 1)
                     for k in np.lexsort((owner, line, -dice)).tolist():
                         r = lo + row[k]
                         if dice[k] > best[r]:
                             best[r], name[r], place[r] = dice[k], owner[k], line[k]
+                values, begin = mix(words[:-1] * BASE + words[1:]), to[np.searchsorted(lines, at)]
+                near: dict = {}
+                for d, t in zip(*(x.tolist() for x in index.candidates(values, begin)), strict=True):
+                    if not whole[d]:
+                        near.setdefault(d, []).append(t)
+                for d, owners in near.items():
+                    b0, r = begin[d], lo + d
+                    for x, y, t in index.passages(values[b0 : begin[d + 1] - 1], owners, [(x, y - b0, z - b0) for x, y, z in alike.get(d, [])]):
+                        many[r] += 1
+                        if x > best[r]:
+                            best[r], name[r], place[r] = x, t, number[np.searchsorted(to, b0 + y, "right") - 1]
             none = name < 0
             names = pa.array([None if i < 0 else index.names[i] for i in name.tolist()], pa.string())
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), names, pa.array(best), pa.array(place, mask=none), pa.array(many)], ["doc_id", "license", "dice", "line", "n_matches"])

@@ -379,6 +379,15 @@ def test_a_whole_licence_with_edits(spark):
     assert (got[0].license, got[0].line) == ("MIT", -1) and got[1].license is None
 
 
+def test_a_licence_inside_a_longer_text(spark):
+    """A block wrapped over lines, a notice amid other words of its line, two blocks, and a part too short to match."""
+    wrap = lambda text, n=9: "\n".join(" ".join(text.split()[i : i + n]) for i in range(0, len(text.split()), n))
+    prose = " ".join(f"word{i}" for i in range(900))
+    rows = [(1, f"{prose}\nCopyright 2020 Foo\n{wrap(licenses.MIT)}\n{prose}"), (2, f"{prose}\nFoo Inc. All rights reserved. More"), (3, f"{prose}\n{wrap(licenses.MIT)}\n{prose}\n{wrap(licenses.ISC)}"), (4, f"{prose}\n{wrap(licenses.MIT[:500])}\n{prose}")]
+    got = {r.doc_id: (r.license, round(r.dice, 6), r.line, r.n_matches) for r in licenses.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: ("MIT", 1, 2, 1), 2: ("all-rights-reserved", 1, 1, 1), 3: ("MIT", 1, 1, 2), 4: (None, 0, None, 0)}
+
+
 # ---- toxicity ----
 
 
