@@ -420,7 +420,8 @@ def empty_pmf(spark: SparkSession, d: str) -> DataFrame:
 
     seen = empty_profile(spark, d)
     D = part_universe(spark, d)
-    rows = [(f, j, float(x)) for f in range(1, 18) for j, x in enumerate(theory.empty_bins_pmf(D, 16, f))]
+    sizes = sorted(r["f"] for r in seen.select("f").distinct().collect())
+    rows = [(f, j, float(x)) for f in sizes for j, x in enumerate(theory.empty_bins_pmf(D, 16, f))]
     law = spark.createDataFrame(rows, "f long, empties long, expected double")
     total = seen.groupBy("f").agg(F.sum("sets").alias("n"))
     return seen.join(F.broadcast(law), ["f", "empties"]).join(total, "f").select("f", "empties", "sets", (F.col("sets") / F.col("n")).alias("observed"), "expected")

@@ -88,3 +88,11 @@ def test_observed_empty_bins_follow_the_law(spark):
     mean = sum(r.e for r in rows) / len(rows)
     want = float(sum(j * x for j, x in enumerate(t.empty_bins_pmf(256, 16, 10))))
     assert abs(mean - want) < 0.25
+
+
+def test_empty_bins_report_has_every_basket_size(spark, tmp_path):
+    from rotahash.plans.sketch_queries import empty_pmf
+
+    spark.range(1, 101).selectExpr("id p_partkey").write.parquet(f"{tmp_path}/part.parquet")
+    spark.createDataFrame([(1, k) for k in range(1, 4)] + [(2, k) for k in range(1, 31)], "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert sorted((r.f, r.sets) for r in empty_pmf(spark, str(tmp_path)).collect()) == [(3, 1), (30, 1)]
