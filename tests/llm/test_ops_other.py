@@ -85,7 +85,9 @@ def brute(vectors, threshold=0.95):
 def test_vector_join_equals_brute_force(spark, monkeypatch, kind):
     monkeypatch.setattr(embedding_join, "TILE", 40)
     monkeypatch.setattr(embedding_join, "SHOWN", 50)
-    monkeypatch.setattr(embedding_join, "CELL", 20)
+    monkeypatch.setattr(embedding_join, "HOME", 20)
+    monkeypatch.setattr(embedding_join, "LEAF", 4)
+    monkeypatch.setattr(embedding_join, "SAMPLE", 200)
     rng = np.random.default_rng(10)
     center = rng.standard_normal(24)
     rows = {k: rng.standard_normal(24).astype(np.float32).tolist() for k in range(150)}
@@ -98,6 +100,33 @@ def test_vector_join_equals_brute_force(spark, monkeypatch, kind):
     assert embedding_join.embedding_join(df.limit(0)).count() == 0
 
 
+def test_vector_join_of_repeated_ids_and_clashing_names(spark):
+    """Equal rows of one id are one vector; different vectors of one id link each for itself; names of the join's own columns are free."""
+    a, b, c = [1.0, 0.0, 0.0], [1.0, 0.01, 0.0], [0.0, 1.0, 0.0]
+    rows = [(1, a), (1, a), (2, b), (3, c), (3, a), (None, a), (4, None), (4, None)]
+    names = "key long, home int, block string, vector binary, weight int, component long, links long, h long, v int, _id long"
+    df = spark.createDataFrame([(k, v, 1, 2, "x", b"x", 3, 4, 5, 6, 7, 8) for k, v in rows], f"vec_id long, embedding array<double>, {names}")
+    got = sorted(((r.vec_id, r.n_links, r.component_id, r.kept) for r in embedding_join.embedding_join(df).collect()), key=str)
+    # classes: a (ids 1, 3), b (id 2), c (id 3)
+    assert got == sorted([(1, 2, 1, True), (1, 2, 1, True), (2, 2, 1, False), (3, 0, 3, True), (3, 2, 1, False), (None, 0, None, False), (4, 0, 4, True), (4, 0, 4, True)], key=str)
+
+
+def test_vector_tiles_prune(spark):
+    """The leaves of a tile leave fewer tests than all pairs, and lose none of the links, where vectors have room to lie apart."""
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((3000, 8)).astype(np.float32)
+    x[1500:] = x[:1500] + 0.01 * rng.standard_normal((1500, 8))
+    x = x.astype(np.float32)
+    unit = x / np.linalg.norm(x, axis=1)[:, None]
+    links, tests = np.zeros(3000, np.int64), 0
+    for block in range(8):
+        tile = embedding_join.Tile(np.arange(3000), np.full(3000, 2), block, [bytes([4]) + v.tobytes() for v in x], np.ones(3000, np.int64), 0.999)
+        links += tile.run()[0]
+        tests += tile.tests
+    assert links.tolist() == ((unit.astype(np.float64) @ unit.T.astype(np.float64) >= 0.999).sum(1) - 1).tolist()
+    assert tests < 0.5 * 8 * 3000 * 2999 / 2
+
+
 def test_vector_join_on_the_given_table(spark, tiny):
     df = spark.read.parquet(f"{tiny}/embeddings.parquet")
     got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in embedding_join.embedding_join(df).collect()}
