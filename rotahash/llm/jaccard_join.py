@@ -5,7 +5,7 @@ sent down a path of sampled shared tokens: the token at a node is the set's leas
 node's hash function, so two sets take the same branch with probability equal to their Jaccard
 similarity. Paths begin with ``FIRST`` tokens. A bucket of at most ``BUCKET`` sets is compared by brute
 force; a larger one is split on the next sampled token, at most ``LAST`` in all, after which it is
-compared in tiles, so no group is ever held whole by one task. A pair of similarity s meets in a run with
+compared in tiles of at most about ``TILE`` sets and ``LOAD`` shingles, so no group is ever held whole by one task. A pair of similarity s meets in a run with
 probability s^depth; ``runs_for`` gives the runs that find a pair at the threshold with probability ``TARGET``. The
 sets of buckets that are split walk as many further runs as the depth ``LAST`` needs, so large groups lose no
 more than small ones. What meets is verified exactly on whole sets, so no pair below the threshold is linked.
@@ -34,7 +34,7 @@ from rotahash.llm.durable import durable, free_name, partitions
 
 K, THRESHOLD = 5, 0.8
 RUNS, FIRST, LAST = 16, 3, 6
-BUCKET, TILE = 64, 192
+BUCKET, TILE, LOAD = 64, 1024, 1 << 20
 TARGET = 0.9999
 
 
@@ -91,19 +91,19 @@ def sketches(docs: DataFrame, begin: int = 0, end: int = RUNS) -> DataFrame:
 
 
 def _walks(reps: DataFrame, begin: int = 0) -> DataFrame:
-    """(id, run, bucket, more): the path of each set in each run, numbered from begin."""
+    """(id, n, run, bucket, more): the path of each set in each run, numbered from begin."""
     steps = LAST - FIRST
-    rows = reps.select("id", F.posexplode("keys").alias("run", "bucket"), "more")
-    return rows.select("id", (F.col("run") + begin).alias("run"), "bucket", F.slice("more", F.col("run") * steps + 1, F.lit(steps)).alias("more"))
+    rows = reps.select("id", "n", F.posexplode("keys").alias("run", "bucket"), "more")
+    return rows.select("id", "n", (F.col("run") + begin).alias("run"), "bucket", F.slice("more", F.col("run") * steps + 1, F.lit(steps)).alias("more"))
 
 
 def _shared(now: DataFrame) -> DataFrame:
-    """The rows whose bucket has at least two sets, with its size."""
-    return now.join(now.groupBy("run", "bucket").agg(F.count("*").alias("size")).where("size > 1"), ["run", "bucket"])
+    """The rows whose bucket has at least two sets, with its size and the number of its sets' shingles."""
+    return now.join(now.groupBy("run", "bucket").agg(F.count("*").alias("size"), F.sum("n").alias("load")).where("size > 1"), ["run", "bucket"])
 
 
 def _buckets(reps: DataFrame, further) -> DataFrame:
-    """(id, run, bucket, size): the bucket of at least two sets in which each set's path ends, run by run.
+    """(id, run, bucket, size, load): the bucket of at least two sets in which each set's path ends, run by run.
 
     further: of a DataFrame of ids, their walks in the further runs; it is asked for the sets of buckets that are split.
     """
@@ -114,7 +114,7 @@ def _buckets(reps: DataFrame, further) -> DataFrame:
         if level < steps:
             joined = durable(joined)
         small = joined if level == steps else joined.where(F.col("size") <= BUCKET)
-        small = small.select("id", "run", "bucket", "size")
+        small = small.select("id", "run", "bucket", "size", "load")
         done = small if done is None else done.unionByName(small)
         if level == steps:
             break
@@ -123,19 +123,19 @@ def _buckets(reps: DataFrame, further) -> DataFrame:
             break
         if level == 0:
             more = durable(_shared(further(large.select("id").distinct())))
-            done = done.unionByName(more.where(F.col("size") <= BUCKET).select("id", "run", "bucket", "size"))
+            done = done.unionByName(more.where(F.col("size") <= BUCKET).select("id", "run", "bucket", "size", "load"))
             large = large.unionByName(more.where(F.col("size") > BUCKET))
-        now = large.select("id", "run", F.xxhash64("bucket", F.element_at("more", level + 1)).alias("bucket"), "more")
+        now = large.select("id", "n", "run", F.xxhash64("bucket", F.element_at("more", level + 1)).alias("bucket"), "more")
     return done
 
 
 def _tiled(met: DataFrame) -> DataFrame:
-    """Rows (tile, side, run, id, paths): a bucket of more than TILE sets becomes pairs of tiles. side 2: the pair of a tile with itself."""
-    width = F.ceil(F.col("size") / F.lit(TILE)).cast("int")
+    """Rows (tile, side, run, id, weight, paths): a bucket that is too large for one tile becomes pairs of tiles. side 2: the pair of a tile with itself."""
+    width = F.greatest(F.ceil(F.col("size") / F.lit(TILE)), F.least(F.ceil(F.col("load") / F.lit(LOAD)), F.col("size"))).cast("int")
     own = F.pmod(F.xxhash64("id", "bucket"), width).cast("int")
     rows = met.withColumn("_own", own).withColumn("_width", width).withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_width") - 1)))
     a, b = F.least("_own", "_other"), F.greatest("_own", "_other")
-    return rows.select(F.xxhash64("run", "bucket", a, b).alias("tile"), F.when(F.col("_own") == F.col("_other"), 2).otherwise((F.col("_own") > F.col("_other")).cast("int")).alias("side"), "run", "id", "paths")
+    return rows.select(F.xxhash64("run", "bucket", a, b).alias("tile"), F.when(F.col("_own") == F.col("_other"), 2).otherwise((F.col("_own") > F.col("_other")).cast("int")).alias("side"), "run", "id", "weight", "paths")
 
 
 def _groups(batches):
@@ -183,8 +183,19 @@ def _first_meeting(paths: np.ndarray, run: np.ndarray, i: np.ndarray, j: np.ndar
     return same.argmax(1) == run[i]
 
 
+def _asked(paths: np.ndarray, side: np.ndarray, run: int, ids: np.ndarray) -> np.ndarray:
+    """Which pairs of a tile meet there for the first time, as a matrix."""
+    ask = (side[:, None] == 2) | (side[:, None] != side[None, :])
+    ask &= ids[:, None] != ids[None, :]
+    for r in range(run + 1):
+        p = paths[:, r]
+        same = (p[:, None] == p[None, :]) & (p != 0)[:, None]
+        ask &= same if r == run else ~same
+    return ask
+
+
 def _needed(tiles: DataFrame) -> DataFrame:
-    """(tile, side, run, id, paths) of the rows that have a pair meeting for the first time."""
+    """(tile, side, run, id, weight, paths) of the rows that have a pair meeting for the first time."""
 
     def find(batches):
         for t in _groups(batches):
@@ -237,13 +248,7 @@ def _links(rows: DataFrame, threshold: float) -> DataFrame:
                 m = hi - lo
                 if m < 2:
                     continue
-                p, s = paths[lo:hi], side[lo:hi]
-                ask = np.zeros((m, m), bool)
-                i, j = np.triu_indices(m, 1)
-                ok = ((s[i] == 2) | (s[i] != s[j])) & (ids[lo + i] != ids[lo + j])
-                i, j = i[ok], j[ok]
-                ok = _first_meeting(p, run[lo:hi], i, j)
-                ask[i[ok], j[ok]] = ask[j[ok], i[ok]] = True
+                ask = _asked(paths[lo:hi], side[lo:hi], int(run[lo]), ids[lo:hi])
                 got = _verify([np.frombuffer(cells[k].as_py(), U) for k in range(lo, hi)], threshold, ask)
                 links[lo:hi] = got @ weight[lo:hi]
                 own = root[lo:hi]
@@ -274,7 +279,7 @@ def jaccard_join(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     spark = docs.sparkSession
     runs = max(RUNS, runs_for(threshold, FIRST))
     table = durable(sketches(docs, 0, runs))
-    classes = table.where("n > 0 and doc_id is not null").groupBy("set_a", "set_b").agg(F.min("doc_id").alias("id"), F.count("*").alias("weight"), F.any_value("keys").alias("keys"), F.any_value("more").alias("more"))
+    classes = table.where("n > 0 and doc_id is not null").groupBy("set_a", "set_b").agg(F.min("doc_id").alias("id"), F.count("*").alias("weight"), F.any_value("keys").alias("keys"), F.any_value("more").alias("more"), F.any_value("n").alias("n"))
     classes = durable(classes)
 
     def further(ids):
@@ -282,13 +287,14 @@ def jaccard_join(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         sets = sketches(own, runs, max(runs, runs_for(threshold, LAST))).where("n > 0").dropDuplicates(["doc_id", "set_a", "set_b"])
         return _walks(sets.withColumnRenamed("doc_id", "id"), runs)
 
-    done = durable(_buckets(classes.select("id", "keys", "more"), further))
-    met = done.groupBy("id").agg(F.collect_list(F.struct("run", "bucket", "size")).alias("m"))  # at most one entry a run
-    met = met.select("id", F.explode("m").alias("x"), F.transform("m", lambda s: F.struct(s.run.alias("run"), s.bucket.alias("bucket"))).alias("paths")).select("id", "x.*", "paths")
+    done = durable(_buckets(classes.select("id", "n", "keys", "more"), further))
+    met = done.groupBy("id").agg(F.collect_list(F.struct("run", "bucket", "size", "load")).alias("m"))  # at most one entry a run
+    met = met.join(classes.select("id", "weight"), "id")
+    met = met.select("id", "weight", F.explode("m").alias("x"), F.transform("m", lambda s: F.struct(s.run.alias("run"), s.bucket.alias("bucket"))).alias("paths")).select("id", "weight", "x.*", "paths")
     need = durable(_needed(_tiled(met)))
     ids = need.select("id").distinct()
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("id"), "text").join(ids, "id", "left_semi")
-    rows = need.join(_shingle_rows(texts), "id").join(classes.select("id", "weight"), "id")
+    rows = need.join(_shingle_rows(texts), "id")
     found = durable(_links(rows, threshold))
     group = components(found.select(F.col("id").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("id").agg(F.sum("links").alias("links"))

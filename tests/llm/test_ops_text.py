@@ -251,6 +251,7 @@ def test_jaccard_join_of_a_hot_group(spark, monkeypatch):
     """A group far larger than a bucket and a tile keeps all its links."""
     monkeypatch.setattr(jaccard_join, "BUCKET", 8)
     monkeypatch.setattr(jaccard_join, "TILE", 16)
+    monkeypatch.setattr(jaccard_join, "LOAD", 2000)  # ten sets
     rng = np.random.default_rng(4)
     base = [f"w{i}" for i in range(200)]
     rows = {}
