@@ -8,6 +8,7 @@ of text for each slice; a longer text makes a slice of its own and is still proc
 from __future__ import annotations
 
 import ctypes
+import hashlib
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -83,8 +84,36 @@ def powers(n: int, base: np.uint64) -> np.ndarray:
     return np.cumprod(out, dtype=U)
 
 
+#: Spans beyond so many steps of eight bytes are hashed by BLAKE2.
+STEPS = 64
+_CUT = np.array([(1 << (8 * i)) - 1 for i in range(8)] + [(1 << 64) - 1], U)
+
+
+def span_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Hash of each span of bytes, eight bytes a step and mixed at each, so no two spans of like length up to eight bytes collide and repetitive long ones don't either."""
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    eight = np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))  # the eight bytes from each place on
+    size = end - start
+    out = mix((size.astype(U) + U(1)) * BASE)
+    at, own, left, step = start, None, size, 0
+    while len(left) and step < STEPS:
+        value = eight[at] & _CUT[np.minimum(left, 8)]
+        if own is None:
+            out = mix((out ^ value) * BASE)
+            own = np.flatnonzero(left > 8)
+        else:
+            out[own] = mix((out[own] ^ value) * BASE)
+            own = own[left > 8]
+        step += 1
+        at, left = start[own] + 8 * step, size[own] - 8 * step
+    if len(left):
+        bytes_ = data.tobytes()
+        out[own] = np.array([int.from_bytes(hashlib.blake2b(bytes_[a:b], digest_size=8).digest(), "little") for a, b in zip(start[own].tolist(), end[own].tolist(), strict=True)], U)
+    return out
+
+
 class Windows:
-    """Hashes of any byte window of one buffer from one prefix sum (polynomial modulo 2^64, then mixed)."""
+    """Hashes of any short byte window of one buffer from one prefix sum (polynomial modulo 2^64, then mixed). Longer windows need ``span_hashes``."""
 
     _power, _inverse = powers(LIMIT, BASE), powers(LIMIT, BASE_INVERSE)
 
@@ -102,7 +131,7 @@ class Windows:
 def word_hashes(data: np.ndarray, at: np.ndarray, inside: np.ndarray = WORD) -> tuple[np.ndarray, np.ndarray]:
     """Hash of each word, and the offsets of the rows in the list of words."""
     start, end = runs(data, at, inside)
-    return Windows(data).hash(start, end), np.searchsorted(start, at)
+    return span_hashes(data, start, end), np.searchsorted(start, at)
 
 
 def shingles(words: np.ndarray, at: np.ndarray, k: int = 5) -> tuple[np.ndarray, np.ndarray]:

@@ -10,7 +10,10 @@ A file is written under a name of its attempt and then renamed, so repeated or s
 leave the same whole file. Files go to the folder in spark.checkpoint.dir or to a given folder.
 
 Texts are cut at places where the pre-tokenizer always cuts too; each distinct piece is encoded once a
-cache generation by the tokenizers library. Ids are those of the whole text; a test compares them.
+cache generation by the tokenizers library, and a piece takes ids from the cache only if it has the same bytes.
+Texts that hold the string of an added token, and all texts of a tokenizer that normalises, are encoded whole.
+Ids are those that the library gives the whole text; a test compares them. By default the string of a special
+token becomes that token's id, as in the library; ``special_as_text`` takes such strings as ordinary text.
 
 Defined results: null text is empty and has just the end id; rows with equal doc_id are separate and
 ordered by their text; an empty table has no files and no rows.
@@ -30,11 +33,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rotahash.llm.bytesops import U, Windows, lean, slices
+from rotahash.llm.bytesops import U, lean, slices, span_hashes
 from rotahash.llm.durable import durable, new_folder, partitions
 
 LENGTH, END_ID = 1024, 2
-CACHE, SLICE = 1_000_000, 1 << 21
+CACHE, CACHE_BYTES, SLICE = 1_000_000, 1 << 25, 1 << 21
 
 
 _START = np.zeros(256, bool)
@@ -46,21 +49,25 @@ _SOLID[33:127] = True
 
 
 class Encoder:
-    """tokenizers behind a cache of pieces, kept as sorted hashes and one array of ids; ``CACHE`` bounds its entries."""
+    """tokenizers behind a cache of pieces, kept as sorted hashes, the pieces' bytes and one array of ids; ``CACHE`` bounds its entries."""
 
-    _own: dict[str, Encoder] = {}
+    _own: dict[tuple, Encoder] = {}
 
     @classmethod
-    def of(cls, path: str) -> Encoder:
+    def of(cls, path: str, special_as_text: bool = False) -> Encoder:
         """The encoder of this worker process."""
-        return cls._own.get(path) or cls._own.setdefault(path, cls(path))
+        key = (path, special_as_text)
+        return cls._own.get(key) or cls._own.setdefault(key, cls(*key))
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, special_as_text: bool = False):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = special_as_text
+        added = self.tokenizer.get_added_tokens_decoder().values()
+        self.added = [t.content.encode() for t in added if t.content and not (special_as_text and t.special)]
+        self.normalised = self.tokenizer.normalizer is not None
         self.width = np.uint16 if self.tokenizer.get_vocab_size() <= 1 << 16 else np.uint32
         self.line = self._ids("\n")
         self.clear()
@@ -71,6 +78,19 @@ class Encoder:
     def clear(self) -> None:
         self.keys, self.entry = np.zeros(0, U), np.zeros(0, np.int64)
         self.ids, self.at = np.zeros(0, self.width), np.zeros(1, np.int64)
+        self.bytes, self.byte_at = np.zeros(0, np.uint8), np.zeros(1, np.int64)
+
+    def _whole(self, data: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Rows that are not cut into pieces."""
+        if self.normalised:
+            return np.flatnonzero(np.diff(at))
+        text, found = data.tobytes(), []
+        for token in self.added:
+            k = text.find(token)
+            while k >= 0:
+                found.append(k)
+                k = text.find(token, k + 1)
+        return np.unique(np.searchsorted(at, np.array(found, np.int64), "right") - 1)
 
     @staticmethod
     def cuts(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -134,28 +154,54 @@ class Encoder:
             order.append(rest)
         return np.concatenate(ids), np.concatenate(counts), np.concatenate(order)
 
+    def _add(self, data: np.ndarray, start: np.ndarray, end: np.ndarray, plain: np.ndarray) -> np.ndarray:
+        """Encodes pieces and returns their entries."""
+        ids, counts, order = self._fresh(data, start, end, plain)
+        size = (end - start)[order]
+        to = np.cumsum(size)
+        take = np.repeat(start[order] - (to - size), size) + np.arange(to[-1])
+        entry = np.empty(len(start), np.int64)
+        entry[order] = len(self.at) - 1 + np.arange(len(start))
+        self.ids, self.at = np.concatenate([self.ids, ids]), np.concatenate([self.at, self.at[-1] + np.cumsum(counts)])
+        self.bytes, self.byte_at = np.concatenate([self.bytes, data[take]]), np.concatenate([self.byte_at, self.byte_at[-1] + to])
+        return entry
+
+    def _same(self, entry: np.ndarray, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Whether the pieces, which make up the buffer, have the bytes of their entries."""
+        size = end - start
+        out = self.byte_at[entry + 1] - self.byte_at[entry] == size
+        take = np.minimum(np.repeat(self.byte_at[entry] - start, size) + np.arange(len(data)), max(0, len(self.bytes) - 1))
+        return out & ~np.logical_or.reduceat(self.bytes[take] != data, start)
+
     def batch(self, data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the texts of a buffer, each with the end id, and their offsets."""
-        if len(self.keys) > CACHE:
+        if len(self.keys) > CACHE or len(self.bytes) > CACHE_BYTES:
             self.clear()
         rows = len(at) - 1
         if len(data):
             start, plain = self.cuts(data, at)
+            whole = self._whole(data, at)
+            if len(whole):  # one piece a row
+                inside = np.zeros(len(data), bool)
+                for lo, hi in zip(at[whole].tolist(), at[whole + 1].tolist(), strict=True):
+                    inside[lo + 1 : hi] = True
+                keep = ~inside[start]
+                start, plain = start[keep], plain[keep] & ~np.isin(start[keep], at[whole])
             end = np.append(start[1:], len(data))
-            keys, first, which = np.unique(Windows(data).hash(start, end), return_index=True, return_inverse=True)
+            keys, first, which = np.unique(span_hashes(data, start, end), return_index=True, return_inverse=True)
             place = np.searchsorted(self.keys, keys)
             known = place < len(self.keys)
             known[known] = self.keys[place[known]] == keys[known]
             new = np.flatnonzero(~known)
             if len(new):
                 own = first[new]
-                ids, counts, order = self._fresh(data, start[own], end[own], plain[own])
-                entry = np.empty(len(new), np.int64)
-                entry[order] = len(self.at) - 1 + np.arange(len(new))
-                self.ids, self.at = np.concatenate([self.ids, ids]), np.concatenate([self.at, self.at[-1] + np.cumsum(counts)])
+                entry = self._add(data, start[own], end[own], plain[own])
                 self.keys, self.entry = np.insert(self.keys, place[new], keys[new]), np.insert(self.entry, place[new], entry)
                 place = np.searchsorted(self.keys, keys)
             piece = self.entry[place][which]
+            odd = np.flatnonzero(~self._same(piece, data, start, end))
+            if len(odd):  # other bytes of equal hash: an entry of their own that no hash leads to
+                piece[odd] = self._add(data, start[odd], end[odd], plain[odd])
             ends = np.searchsorted(start, at[1:])  # pieces up to each text's end
         else:
             piece, ends = np.zeros(0, np.int64), np.zeros(rows, np.int64)
@@ -174,7 +220,7 @@ def _open(folder: str) -> tuple[pafs.FileSystem, str]:
     return pafs.LocalFileSystem(), folder
 
 
-def write(docs: DataFrame, tokenizer: str, folder: str | None = None, length: int = LENGTH) -> tuple[str, DataFrame]:
+def write(docs: DataFrame, tokenizer: str, folder: str | None = None, length: int = LENGTH, special_as_text: bool = False) -> tuple[str, DataFrame]:
     """Writes the files and returns their folder and a manifest (part, n_docs, n_tokens), one row per file."""
     spark = docs.sparkSession
     folder = folder or new_folder(spark, "tokens")
@@ -187,7 +233,7 @@ def write(docs: DataFrame, tokenizer: str, folder: str | None = None, length: in
         for b in batches:
             for lo, hi, data, rows in slices(b.column("text"), SLICE):
                 if encoder is None:
-                    encoder = Encoder.of(tokenizer)
+                    encoder = Encoder.of(tokenizer, special_as_text)
                     kind = pa.from_numpy_dtype(encoder.width)
                     fs.create_dir(root, recursive=True)
                     files = [fs.open_output_stream(f"{root}/_{tmp}-{x}") for x in ("ids", "docs")]

@@ -18,7 +18,6 @@ def reference():
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(tokenizer_path())
-    t.encode_special_tokens = True
     return lambda text: [*t.encode(text or "", add_special_tokens=False).ids, 2]
 
 
@@ -53,6 +52,27 @@ def test_token_files_round_trip(docs, texts, tmp_path):
     assert read == stream
 
 
+def test_pieces_of_equal_hash_and_long_words(monkeypatch):
+    """Words that a polynomial hash modulo 2^64 takes for one, special tokens amid a text, and pieces whose hashes are made equal."""
+    import pyarrow as pa
+
+    encode = reference()
+    a, b = "a", "b"
+    for _ in range(10):
+        a, b = a + b, b + a
+    texts = [a, b, f"x {a} y", f"x {b} y", "hello <|endoftext|> world", "<|endoftext|>", "a<|endoftext|><|endoftext|>b\n", "", "<|endoftext|", "no special token"]
+    for zero in (False, True):
+        if zero:
+            monkeypatch.setattr(tokenfiles, "span_hashes", lambda data, start, end: (end - start).astype(np.uint64) % np.uint64(3))
+        own = tokenfiles.Encoder(tokenizer_path())
+        for order in (texts, texts[::-1]):
+            ids, at = own.batch(*raw(pa.array(order)))
+            assert [ids[at[i] : at[i + 1]].tolist() for i in range(len(order))] == [encode(t) for t in order]
+    own = tokenfiles.Encoder(tokenizer_path(), special_as_text=True)
+    ids, _ = own.batch(*raw(pa.array(["a <|endoftext|> b"])))
+    assert 50256 not in ids and own.tokenizer.decode(ids[:-1].tolist()) == "a <|endoftext|> b"
+
+
 def test_token_files_odd_input(odd, empty):
     rows = tokenfiles.read(*tokenfiles.write(odd, tokenizer_path())).collect()
     assert len(rows) == odd.count() and {r.n_tokens for r in rows if r.doc_id in (1, 2)} == {1}
