@@ -1,15 +1,15 @@
 """Language-model scores of documents: a frozen PPM model trained on the corpus beside a unigram word model.
 
-The one pass over the texts leaves, on shared storage, per task: its distinct byte strings with their training
-counts (0 for strings of held-out texts alone), dealt by the last two bytes of their contexts, so that every
-node of order 2 and above is complete in one bucket; its distinct words with their counts, dealt by hash; and
-its texts, as bytes and as lists of word numbers, so the scores need no second shuffle of texts. A task
-sends a string or word once, however often it occurs, so frequent ones are no hot keys. Buckets answer each
-task with the totals of its own words and the log probabilities of its own strings.
+The one pass over the texts leaves, on shared storage, per segment of a task: its distinct byte strings with
+their training counts (0 for strings of held-out texts alone), dealt by the last two bytes of their contexts,
+so that every node of order 2 and above is complete in one bucket; its distinct words with their counts, dealt
+by hash; and its texts. A segment sends a string or word once, however often it occurs, so frequent ones are
+no hot keys. Buckets answer each segment with the totals of its own words and the log probabilities of its own
+strings, in the order in which it asked, so answers carry no keys: the segment's texts give them again.
 
 No string is pruned and counts are exact, whatever the size of the corpus: the model is never in one place. Only
-orders 0 and 1, at most 2^16 strings, are broadcast, and a bucket works through its contexts in pieces. A task
-whose strings or words are many answers for its texts in segments. ``train`` and ``models_of`` serve
+orders 0 and 1, at most 2^16 strings, are broadcast, and a bucket works through its contexts in pieces. A segment
+ends after ``SEGMENT`` bytes of text, or when its strings or words are many. ``train`` and ``models_of`` serve
 ``language_id``, whose models are pruned and broadcast.
 
 Defined results: null text is empty: one token, its end. A null doc_id is trained on. With no training
@@ -32,44 +32,26 @@ from rotahash.llm.bytesops import LOWER, SPACE, U, lean, mix, pack, slices, unpa
 from rotahash.llm.durable import durable, partitions
 
 ORDER = 5
-VOCABULARY, STRINGS, PIECE = 1_500_000, 1 << 21, 1 << 15
+VOCABULARY, STRINGS, PIECE, SEGMENT = 1_500_000, 1 << 21, 1 << 15, 1 << 25
 GRAMS, WORDS, TEXTS, TRAINED, PAIRS = range(5)
 ROWS = "kind int, a long, b long, cell binary"
 STRING = (("key", np.uint64), ("count", np.int64))
-WORD = (("key", np.uint64), ("id", np.uint32), ("count", np.int64))
-TEXT = (("doc", np.int64), ("known", np.uint8), ("held", np.uint8), ("bytes", np.int64), ("tokens", np.int32))
-TOKEN = (("id", np.uint32),)
+TEXT = (("doc", np.int64), ("known", np.uint8), ("held", np.uint8), ("bytes", np.int64))
 BYTE = (("byte", np.uint8),)
-REPLY = (("id", np.uint32), ("total", np.int64))
-ANSWER = (("key", np.uint64), ("log", np.float64))
-ANSWERS = "kind int, task long, cell binary, distinct long, tokens long"
+REPLY = (("total", np.int64),)
+ANSWER = (("log", np.float64),)
+ANSWERS = "kind int, task long, bucket long, cell binary, distinct long, tokens long"
 
 
 def _row(kind: int, a: int, b: int, cell: bytes | None) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([a], pa.int64()), pa.array([b], pa.int64()), pa.array([cell], pa.binary())], ["kind", "a", "b", "cell"])
 
 
-class Vocabulary:
-    """Numbers for hashed words in order of arrival, and the words' training counts."""
-
-    def __init__(self):
-        self.keys, self.place = np.zeros(0, U), np.zeros(0, np.int64)
-        self.counts = np.zeros(1 << 12, np.int64)
-
-    def ids(self, hashes: np.ndarray, train: np.ndarray) -> np.ndarray:
-        keys, which = np.unique(hashes, return_inverse=True)
-        at = np.searchsorted(self.keys, keys)
-        known = at < len(self.keys)
-        known[known] = self.keys[at[known]] == keys[known]
-        new = np.flatnonzero(~known)
-        fresh = len(self.keys) + np.arange(len(new))
-        self.keys, self.place = np.insert(self.keys, at[new], keys[new]), np.insert(self.place, at[new], fresh)
-        ids = self.place[np.searchsorted(self.keys, keys)][which]
-        if len(self.keys) > len(self.counts):
-            self.counts = np.concatenate([self.counts, np.zeros(max(len(self.counts), len(self.keys)), np.int64)])
-        got = np.bincount(ids[train])
-        self.counts[: len(got)] += got
-        return ids
+def _by_bucket(kind: int, keys: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+    """The order of sorted keys by bucket, and where each bucket begins in it."""
+    bucket = ((mix((keys >> U(8)) & U(0xFFFF)) if kind == GRAMS else keys) % U(buckets)).astype(np.int64)
+    order = np.argsort(bucket, kind="stable")
+    return order, np.searchsorted(bucket[order], np.arange(buckets + 1))
 
 
 def _joined(parts: list[bytes]) -> bytes:
@@ -87,21 +69,18 @@ def _split(cell: bytes) -> list[bytes]:
 
 def _scan(docs: DataFrame, buckets: int, order: int) -> DataFrame:
     def scan(batches):
-        strings, words, segment, trained = ppm.Grams(order), Vocabulary(), 0, 0
+        strings, words, size, segment, trained = ppm.Grams(order), [], 0, 0, 0
         part = TaskContext.get().partitionId() << 20
 
-        def dealt(kind, bucket, columns, layout):
-            order_ = np.argsort(bucket, kind="stable")
-            at = np.searchsorted(bucket[order_], np.arange(buckets + 1))
-            for k in np.flatnonzero(np.diff(at)).tolist():
-                own = order_[at[k] : at[k + 1]]
-                yield _row(kind, k, part + segment, pack([c[own] for c in columns], layout))
-
         def known():
-            yield from dealt(WORDS, (words.keys % U(buckets)).astype(np.int64), [words.keys, words.place, words.counts[words.place]], WORD)
-            keys, counts = strings.fold()
-            yield from dealt(GRAMS, (mix((keys >> U(8)) & U(0xFFFF)) % U(buckets)).astype(np.int64), [keys, counts], STRING)
-            few, sums = ppm.total([keys & U(0xFFFF)], [counts])
+            strings_ = strings.fold()
+            for kind, (keys, counts) in ((WORDS, ppm.total(*zip(*words, strict=True)) if words else ([], [])), (GRAMS, strings_)):
+                if len(keys):
+                    by, at = _by_bucket(kind, keys, buckets)
+                    for k in np.flatnonzero(np.diff(at)).tolist():
+                        own = by[at[k] : at[k + 1]]
+                        yield _row(kind, k, part + segment, pack([keys[own], counts[own]], STRING))
+            few, sums = ppm.total([strings_[0] & U(0xFFFF)], [strings_[1]])
             n = len(few)
             yield pa.RecordBatch.from_arrays([pa.array(np.full(n, PAIRS, np.int32)), pa.array(few.astype(np.int64)), pa.array(sums), pa.nulls(n, pa.binary())], ["kind", "a", "b", "cell"])
 
@@ -115,14 +94,18 @@ def _scan(docs: DataFrame, buckets: int, order: int) -> DataFrame:
                         strings.add(data[np.repeat(rows, np.diff(at))], np.concatenate([[0], np.cumsum(np.diff(at)[rows])]), weight)
                 trained += int((~held).sum())
                 hashes, rows = word_hashes(data, at, ~SPACE)
-                ids = words.ids(hashes, np.repeat(~held, np.diff(rows)))
+                keys, which = np.unique(hashes, return_inverse=True)
+                words.append((keys, np.bincount(which[np.repeat(~held, np.diff(rows))], minlength=len(keys))))
+                if len(words) > 15:
+                    words = [ppm.total(*zip(*words, strict=True))]
                 doc = ids_all.slice(lo, hi - lo)
                 valid = doc.is_valid().to_numpy(zero_copy_only=False)
-                cell = pack([doc.fill_null(0).to_numpy(), valid, held, np.diff(at), np.diff(rows)], TEXT)
-                yield _row(TEXTS, part + segment, 0, _joined([cell, pack([ids], TOKEN), pack([data], BYTE)]))
-                if len(words.keys) > VOCABULARY or len(strings.parts[0][0]) > STRINGS:
+                cell = pack([doc.fill_null(0).to_numpy(), valid, held, np.diff(at)], TEXT)
+                yield _row(TEXTS, part + segment, 0, _joined([cell, pack([data], BYTE)]))
+                size += len(data)
+                if size > SEGMENT or len(words[0][0]) > VOCABULARY or len(strings.parts[0][0]) > STRINGS:
                     yield from known()
-                    strings, words, segment = ppm.Grams(order), Vocabulary(), segment + 1
+                    strings, words, size, segment = ppm.Grams(order), [], 0, segment + 1
         yield from known()
         yield _row(TRAINED, trained, 0, None)
 
@@ -208,15 +191,15 @@ def adaptive_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
 
 
 def _totals(rows: DataFrame) -> DataFrame:
-    """By bucket: to each task the totals of its words; and one row (task -1) with the bucket's distinct words and tokens."""
+    """By bucket: to each segment the totals of its words; and one row (task -1) with the bucket's distinct words and tokens."""
 
     def answer(table):
         cells, tasks = table.column("cell").to_pylist(), table.column("b").to_pylist()
-        parts = [unpack([c], WORD) for c in cells]
-        keys, counts = ppm.total([p[0] for p in parts], [p[2] for p in parts])
-        out = [pack([p[1], counts[np.searchsorted(keys, p[0])]], REPLY) for p in parts]
-        n = len(out)
-        return pa.table({"kind": pa.array([WORDS] * (n + 1), pa.int32()), "task": pa.array([*tasks, -1], pa.int64()), "cell": pa.array([*out, None], pa.binary()), "distinct": pa.array([0] * n + [int((counts > 0).sum())], pa.int64()), "tokens": pa.array([0] * n + [int(counts.sum())], pa.int64())})
+        parts = [unpack([c], STRING) for c in cells]
+        keys, counts = ppm.total([p[0] for p in parts], [p[1] for p in parts])
+        out = [pack([counts[np.searchsorted(keys, p[0])]], REPLY) for p in parts]
+        n, bucket = len(out), table.column("a")[0].as_py()
+        return pa.table({"kind": pa.array([WORDS] * (n + 1), pa.int32()), "task": pa.array([*tasks, -1], pa.int64()), "bucket": pa.array([bucket] * (n + 1), pa.int64()), "cell": pa.array([*out, None], pa.binary()), "distinct": pa.array([0] * n + [int((counts > 0).sum())], pa.int64()), "tokens": pa.array([0] * n + [int(counts.sum())], pa.int64())})
 
     return rows.groupBy("a").applyInArrow(lean(answer), ANSWERS)
 
@@ -249,7 +232,7 @@ def string_logs(keys: np.ndarray, counts: np.ndarray, order: int, few: list[tupl
 
 
 def _probabilities(rows: DataFrame, order: int) -> DataFrame:
-    """By bucket: to each task the log probabilities of its strings."""
+    """By bucket: to each segment the log probabilities of its strings."""
     pairs = rows.where(F.col("kind") == PAIRS).groupBy("a").agg(F.sum("b").alias("b")).where("b > 0").orderBy("a").collect()  # at most 2^16
     keys, counts = np.array([r["a"] for r in pairs], U), np.array([r["b"] for r in pairs], np.int64)
     shared = rows.sparkSession.sparkContext.broadcast([ppm.lower(keys, counts, 1), (keys, counts)])
@@ -259,36 +242,48 @@ def _probabilities(rows: DataFrame, order: int) -> DataFrame:
         parts = [unpack([c], STRING) for c in cells]
         keys, counts = ppm.total([p[0] for p in parts], [p[1] for p in parts])
         logs = string_logs(keys, counts, order, shared.value)
-        out = [pack([p[0], logs[np.searchsorted(keys, p[0])]], ANSWER) for p in parts]
+        out = [pack([logs[np.searchsorted(keys, p[0])]], ANSWER) for p in parts]
+        bucket = table.column("a")[0].as_py()
         none = pa.array([0] * len(out), pa.int64())
-        return pa.table({"kind": pa.array([GRAMS] * len(out), pa.int32()), "task": pa.array(tasks, pa.int64()), "cell": pa.array(out, pa.binary()), "distinct": none, "tokens": none})
+        return pa.table({"kind": pa.array([GRAMS] * len(out), pa.int32()), "task": pa.array(tasks, pa.int64()), "bucket": pa.array([bucket] * len(out), pa.int64()), "cell": pa.array(out, pa.binary()), "distinct": none, "tokens": none})
 
     return rows.where(F.col("kind") == GRAMS).groupBy("a").applyInArrow(lean(answer), ANSWERS)
 
 
-def _scored(texts: DataFrame, answers: DataFrame, ends: int, size: int, order: int) -> DataFrame:
+def _asked(parts: list[np.ndarray], kind: int, replies, buckets: int, layout) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct keys of a segment, sorted, and the buckets' answers to them."""
+    keys = np.unique(np.concatenate([np.zeros(0, U), *parts]))
+    order, _ = _by_bucket(kind, keys, buckets)
+    out = np.zeros(len(keys), layout[0][1])
+    (got,) = unpack([c for _, c in sorted((b, c) for k, b, c in replies if k == kind)], layout)
+    out[order] = got
+    return keys, out
+
+
+def _scored(texts: DataFrame, answers: DataFrame, ends: int, size: int, order: int, buckets: int) -> DataFrame:
     def score(left, right):
-        kinds_, cells = right.column("kind").to_pylist(), right.column("cell").to_pylist()
-        parts = [unpack([c], REPLY) for k, c in zip(kinds_, cells, strict=True) if k == WORDS]
-        total = np.zeros(1 + max([int(p[0].max()) for p in parts if len(p[0])], default=0), np.int64)
-        for ids, counts in parts:
-            total[ids] = counts
-        logs = np.log10(total + 1.0)
-        keys, likely = unpack([c for k, c in zip(kinds_, cells, strict=True) if k == GRAMS], ANSWER)
-        by = np.argsort(keys)
-        keys, likely = keys[by], likely[by]
-        out = []
+        replies = list(zip(*(right.column(c).to_pylist() for c in ("kind", "bucket", "cell")), strict=True))
+        held_back, out = [], []
         for cell in left.column("cell").to_pylist():
-            head, own, body = _split(cell)
-            doc, known, held, width, n = unpack([head], TEXT)
-            (ids,), (data,) = unpack([own], TOKEN), unpack([body], BYTE)
-            at = np.concatenate([[0], np.cumsum(n)])
-            sums = np.concatenate([[0], np.cumsum(logs[ids])])
-            hits = np.concatenate([[0], np.cumsum(total[ids] > 0)])
-            tokens = n.astype(np.int64) + 1
+            head, body = _split(cell)
+            doc, known, held, width = unpack([head], TEXT)
+            (data,) = unpack([body], BYTE)
+            at = np.concatenate([[0], np.cumsum(width)])
+            hashes, rows = word_hashes(data, at, ~SPACE)
+            symbols, places, offsets = ppm.framed(data, at, order)
+            word, word_at = np.unique(hashes, return_inverse=True)
+            gram, gram_at = np.unique(ppm.grams(symbols, places, order), return_inverse=True)
+            held_back.append((doc, known, held, rows, word, word_at.astype(np.int32), gram, gram_at.astype(np.int32), offsets))
+        words, total = _asked([h[4] for h in held_back], WORDS, replies, buckets, REPLY)
+        grams, likely = _asked([h[6] for h in held_back], GRAMS, replies, buckets, ANSWER)
+        logs = np.log10(total + 1.0)
+        for doc, known, held, at, word, word_at, gram, gram_at, offsets in held_back:
+            own = np.searchsorted(words, word)
+            sums = np.concatenate([[0], np.cumsum(logs[own][word_at])])
+            hits = np.concatenate([[0], np.cumsum((total[own] > 0)[word_at])])
+            tokens = np.diff(at) + 1
             base = sums[at[1:]] - sums[at[:-1]] + np.log10(ends + 1.0) - tokens * np.log10(float(size))
-            symbols, places, offsets = ppm.framed(data, np.concatenate([[0], np.cumsum(width)]), order)
-            ppm_score = np.add.reduceat(likely[np.searchsorted(keys, ppm.grams(symbols, places, order))], offsets[:-1])
+            ppm_score = np.add.reduceat(likely[np.searchsorted(grams, gram)][gram_at], offsets[:-1])
             out.append(pa.table({"doc_id": pa.array(doc, mask=known == 0), "held_out": pa.array(held == 1), "n_tokens": pa.array(tokens), "n_known": pa.array(hits[at[1:]] - hits[at[:-1]] + (ends > 0)), "base_score": pa.array(base), "score": pa.array(ppm_score)}))
         kinds = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
         return pa.concat_tables([t.cast(kinds) for t in out]) if out else kinds.empty_table()
@@ -300,11 +295,12 @@ def score(docs: DataFrame, modulus: int = 7, held: int = 2, order: int = ORDER)
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score."""
     spark = docs.sparkSession
     is_held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % modulus == held, F.lit(False))
-    scan = durable(_scan(docs.select("doc_id", "text", is_held.alias("held")), partitions(spark), order))
+    buckets = partitions(spark)
+    scan = durable(_scan(docs.select("doc_id", "text", is_held.alias("held")), buckets, order))
     answers = durable(_totals(scan.where(F.col("kind") == WORDS)))
     ends = scan.where(F.col("kind") == TRAINED).agg(F.sum("a")).first()[0] or 0
     distinct, tokens = answers.where("task = -1").agg(F.coalesce(F.sum("distinct"), F.lit(0)), F.coalesce(F.sum("tokens"), F.lit(0))).first()
     n, v = tokens + ends, distinct + (ends > 0)
     answers = answers.where("task >= 0").unionByName(_probabilities(scan, order))
-    scored = _scored(scan.where(F.col("kind") == TEXTS), answers, ends, n + v + 1, order)
+    scored = _scored(scan.where(F.col("kind") == TEXTS), answers, ends, n + v + 1, order, buckets)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(n).cast("long").alias("train_tokens"), "base_score", "score")
