@@ -67,4 +67,4 @@ def md5_key(*parts) -> Column:
 def split_bins(q: Column, d: int) -> tuple[Column, Column]:
     """(bin, offset) of a position."""
     offset = F.pmod(q, F.lit(d))
-    return F.floor((q - offset) / F.lit(d)), offset
+    return F.call_function("div", q - offset, F.lit(d)), offset

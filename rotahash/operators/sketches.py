@@ -50,19 +50,42 @@ def binned(postings: DataFrame, p: SketchParams) -> DataFrame:
     return positions(postings, p).select("seed", "set_id", "q", bin_.alias("bin"), off.alias("off"))
 
 
-def donors(base: DataFrame, p: SketchParams) -> DataFrame:
-    """(seed, set_id, slot, turn, read, dist): the bin each slot of each set reads; dist is 0 in the first scan, null if nothing is read.
+#: Beyond so many bins the occupied ones are a list instead of a bit set.
+BIT_BINS = 4096
+BIN = ["seed", "set_id", "bin"]
 
-    The slot table and so every probe is the same for all sets, which is what makes two sets agree. Where no
-    probe hits an occupied bin the next one clockwise is the donor.
+
+def occupied(bins: DataFrame, p: SketchParams) -> DataFrame:
+    """(seed, set_id, occupied): the bins of a set that hold something, as words of 64 bits; partial before the exchange."""
+    if p.K > BIT_BINS:
+        return bins.groupBy("seed", "set_id").agg(F.collect_set("bin").alias("occupied"))  # at most K entries
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("bin").bitwiseAND(F.lit(63)).cast("int"))
+    words = [F.coalesce(F.bit_or(F.when(F.shiftright("bin", 6) == w, bit)), F.lit(0).cast("long")) for w in range(-(-p.K // 64))]
+    return bins.groupBy("seed", "set_id").agg(F.array(*words).alias("occupied"))
+
+
+def donors(bins: DataFrame, p: SketchParams) -> DataFrame:
+    """(seed, set_id, slot, turn, read, dist): the bin each slot of each set reads. bins: (seed, set_id, bin), repeats allowed.
+
+    dist is 0 in the first scan, null if nothing is read, and else the number of bins to the donor (1 for a
+    uniform donor). The slot table and so every probe is the same for all sets, which is what makes two sets
+    agree. A slot looks at its first few probes before the others; where no probe hits an occupied bin the
+    next one clockwise is the donor.
     """
-    spark = base.sparkSession
-    sets = base.groupBy("seed", "set_id").agg(F.collect_set("bin").alias("occupied"))  # at most K entries
-    rows = sets.join(F.broadcast(slot_table(spark, p)), "seed")
-    k, start = F.lit(p.K), F.col("bin0")
-    right = F.array_min(F.transform("occupied", lambda b: F.pmod(b - start, k)))
-    left = F.array_min(F.transform("occupied", lambda b: F.pmod(start - b, k)))
+    spark = bins.sparkSession
+    rows = occupied(bins, p).join(F.broadcast(slot_table(spark, p)), "seed")
+    k, start = F.lit(p.K).cast("long"), F.col("bin0")
+
+    def holds(b: Column) -> Column:
+        if p.K > BIT_BINS:
+            return F.array_contains("occupied", b)
+        return F.bit_get(F.get("occupied", F.shiftright(b, 6).cast("int")), b.bitwiseAND(F.lit(63)).cast("int")) == 1
+
+    there = F.filter(F.sequence(F.lit(0).cast("long"), k - 1), holds)
+    right = F.array_min(F.transform(there, lambda b: F.pmod(b - start, k)))
+    left = F.array_min(F.transform(there, lambda b: F.pmod(start - b, k)))
     clockwise = F.pmod(start + right, k)
+    distance = F.when(F.lit(p.donor == "two_way") & (F.col("coin") < 0), left).otherwise(right)
     if p.fill == "none":
         donor: Column = F.lit(None).cast("long")
     elif p.donor == "clockwise":
@@ -70,29 +93,41 @@ def donors(base: DataFrame, p: SketchParams) -> DataFrame:
     elif p.donor == "two_way":
         donor = F.when(F.col("coin") > 0, clockwise).otherwise(F.pmod(start - left, k))
     else:
-        hit = F.filter("probes", lambda b: F.array_contains("occupied", b))
-        donor = F.coalesce(F.get(hit, F.lit(0)), clockwise)
-    first = F.array_contains("occupied", start)
-    distance = F.when(F.lit(p.donor == "two_way") & (F.col("coin") < 0), left).otherwise(right)
+        steps = [n for n in (0, 4, 16, p.attempts) if n <= p.attempts]
+        hits = [F.get(F.filter(F.slice("probes", lo + 1, hi - lo), holds), F.lit(0)) for lo, hi in zip(steps, steps[1:], strict=False) if hi > lo]
+        donor = F.coalesce(*hits, clockwise)
+        distance = F.lit(1)
+    first = holds(start)
+    if p.fill == "none":
+        distance = F.lit(None)
+    else:  # never null, so no join asks for the donor twice
+        donor = F.coalesce(donor, F.lit(-1).cast("long"))
     return rows.select("seed", "set_id", "slot", "turn", F.when(first, start).otherwise(donor).alias("read"), F.when(first, F.lit(0)).otherwise(distance).cast("long").alias("dist"))
 
 
 def bin_minhash(postings: DataFrame, p: SketchParams) -> DataFrame:
-    """K bins and one minimum per bin; empty slots are null (fill 'none') or copy their donor's value (fill 'copy')."""
-    base = binned(postings, p)
-    minima = base.groupBy("seed", "set_id", "bin").agg(F.min("q").alias("v"))
-    reads = donors(base, p)
+    """K bins and one minimum per bin; empty slots are null (fill 'none') or copy their donor's value (fill 'copy'). The elements meet in one exchange, after partial minima."""
+    minima = binned(postings, p).groupBy(*BIN).agg(F.min("q").alias("v"))
+    # the condition keeps v in both uses of the minima, so that Spark shares their exchange
+    reads = donors(minima.where("v is not null"), p)
     out = reads.join(minima, (reads.seed == minima.seed) & (reads.set_id == minima.set_id) & (reads["read"] == minima.bin), "left")
     h = F.col("v") + (F.col("dist") * F.lit(p.D + 1) if p.copy_offset else F.lit(0))
     return out.select(reads.seed, reads.set_id, "slot", h.cast("long").alias("h"))
 
 
 def refilled(postings: DataFrame, p: SketchParams) -> DataFrame:
-    """Fill 'fresh' or 'rotate': every slot hashes the offsets of the bin it reads with its own permutation, or with its turn of a single short one."""
+    """Fill 'fresh' or 'rotate': every slot hashes the offsets of the bin it reads with its own permutation, or with its turn of a single short one.
+
+    The elements are dealt out once, by (set, bin), so a giant set is spread over its bins. The same exchange
+    serves the search for donors and the reads; a slot reads one bin, so its minimum is found where the bin is.
+    """
     spark = postings.sparkSession
-    base = binned(postings, p)
-    reads = donors(base, p).withColumnRenamed("read", "bin")
-    rows = reads.join(base, ["seed", "set_id", "bin"])
+    keys = " and ".join(f"{c} is not null" for c in BIN)
+    base = binned(postings, p).select(*BIN, "off").where(keys).repartition(*BIN)
+    # the minimum keeps off in this use of the exchange, so that Spark shares it
+    bins = base.groupBy(*BIN).agg(F.min("off").alias("least")).where("least is not null")
+    reads = donors(bins, p).withColumnRenamed("read", "bin")
+    rows = reads.join(base, BIN)
     if p.fill == "rotate":
         rows = rows.withColumn("pos", F.pmod(F.col("off") - F.col("turn"), F.lit(p.d)))
         if p.inner == "feistel":
@@ -109,7 +144,7 @@ def refilled(postings: DataFrame, p: SketchParams) -> DataFrame:
         rows = lookup(rows, slot_permutations(spark, "inner", p.slots, p.d, p.seeds), p.slots * p.d * len(p.seeds), ["seed", "slot", "pos"])
         if p.implicit:  # the split's own order is the permutation of a first read
             rows = rows.withColumn("rank", F.when((F.col("dist") == 0) & (F.col("slot") < p.K), F.col("off")).otherwise(F.col("rank")))
-    return rows.groupBy("seed", "set_id", "slot").agg(F.min(F.col("rank") + F.col("bin") * p.d).alias("h"))
+    return rows.groupBy(*BIN, "slot").agg(F.min(F.col("rank") + F.col("bin") * p.d).alias("h")).select(*SIG)
 
 
 def sketch(postings: DataFrame, p: SketchParams) -> DataFrame:
@@ -150,5 +185,10 @@ def pack(sig: DataFrame) -> DataFrame:
     return rows.select("seed", "set_id", F.col("s.h").alias("sig"))
 
 
+def written(sig: DataFrame) -> DataFrame:
+    """(seed, set_id, sig): the slots in order as text, empty where a slot is."""
+    return pack(sig).select("seed", "set_id", F.array_join(F.transform("sig", lambda h: F.coalesce(h.cast("string"), F.lit(""))), ",").alias("sig"))
+
+
 def unpack(packed: DataFrame) -> DataFrame:
     return packed.select("seed", "set_id", F.posexplode("sig").alias("slot", "h"))

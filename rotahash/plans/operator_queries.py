@@ -13,7 +13,7 @@ from rotahash.operators import estimates as E
 from rotahash.operators import sketches as S
 from rotahash.params import SketchParams
 from rotahash.plans import oracle as O
-from rotahash.plans.sketch_queries import BASKETS, PAIRS, W, baskets, frequent_sql, frequent_words, pairs_of, part_universe, suppliers, universe
+from rotahash.plans.sketch_queries import ALL, BASKETS, PAIRS, W, baskets, frequent_sql, frequent_words, pairs_of, part_universe, suppliers, universe
 from rotahash.plans.storage import settled
 from rotahash.sources import tables as T
 from rotahash.streaming import bins
@@ -36,7 +36,7 @@ def table(name: str):
 docs, lineitem, events, orders = table("documents"), table("lineitem"), table("events"), table("orders")
 
 # ---- scans, sources and sinks ----
-add("scan_documents_pruned", lambda s, d: docs(s, d).where("lang = 'en' and doc_id < 500").select("doc_id", "n_chars"), "SELECT doc_id, n_chars FROM documents WHERE lang = 'en' AND doc_id < 500")
+add("scan_documents_pruned", lambda s, d: docs(s, d).where("lang = 'en'").select("doc_id", "n_chars"), "SELECT doc_id, n_chars FROM documents WHERE lang = 'en'")
 
 
 def bucketed(spark: SparkSession, d: str) -> DataFrame:
@@ -265,15 +265,16 @@ add("sampled_pairs", lambda s, d: docs(s, d).select("doc_id").withColumn("r", F.
 # ---- sets ----
 
 
-def two_suppliers(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+def two_flags(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """Parts of the returned lines, and of the accepted ones."""
     rows = lineitem(spark, d)
-    return rows.where("l_suppkey = 1").select(F.col("l_partkey").alias("p")), rows.where("l_suppkey = 2").select(F.col("l_partkey").alias("p"))
+    return rows.where("l_returnflag = 'R'").select(F.col("l_partkey").alias("p")), rows.where("l_returnflag = 'A'").select(F.col("l_partkey").alias("p"))
 
 
-ONE, TWO = "SELECT l_partkey AS p FROM lineitem WHERE l_suppkey = 1", "SELECT l_partkey AS p FROM lineitem WHERE l_suppkey = 2"
+ONE, TWO = "SELECT l_partkey AS p FROM lineitem WHERE l_returnflag = 'R'", "SELECT l_partkey AS p FROM lineitem WHERE l_returnflag = 'A'"
 for label, of, word in (("intersection", "intersect", "INTERSECT"), ("difference", "subtract", "EXCEPT"), ("intersection_all", "intersectAll", "INTERSECT ALL"), ("difference_all", "exceptAll", "EXCEPT ALL")):
-    add(f"set_{label}_rows", lambda s, d, of=of: (lambda x: getattr(x[0], of)(x[1]))(two_suppliers(s, d)), f"{ONE} {word} {TWO}")
-add("set_union_rows", lambda s, d: (lambda x: x[0].union(x[1]).distinct())(two_suppliers(s, d)), f"{ONE} UNION {TWO}")
+    add(f"set_{label}_rows", lambda s, d, of=of: (lambda x: getattr(x[0], of)(x[1]))(two_flags(s, d)), f"{ONE} {word} {TWO}")
+add("set_union_rows", lambda s, d: (lambda x: x[0].union(x[1]).distinct())(two_flags(s, d)), f"{ONE} UNION {TWO}")
 
 
 def array_sets(spark: SparkSession, d: str) -> DataFrame:
@@ -346,12 +347,13 @@ def sql_surface(spark: SparkSession, d: str) -> DataFrame:
     lineitem(spark, d).createOrReplaceTempView("rotahash_lines")
     return spark.sql(
         """WITH sets AS (SELECT l_suppkey AS id, collect_set(l_partkey) AS e FROM rotahash_lines GROUP BY 1),
-        sigs AS (SELECT id, e, rh_rotbin_sig(e) AS s FROM sets)
-        SELECT a.id AS id1, b.id AS id2, round(rh_estimate(a.s, b.s), 6) AS j_hat, round(rh_jaccard(a.e, b.e), 6) AS j FROM sigs a JOIN sigs b ON a.id < b.id WHERE a.id <= 10 AND b.id <= 10"""
+        sigs AS (SELECT id, e, rh_rotbin_sig(e) AS s FROM sets),
+        met AS (SELECT DISTINCT a.l_suppkey AS id1, b.l_suppkey AS id2 FROM rotahash_lines a JOIN rotahash_lines b ON a.l_partkey = b.l_partkey AND a.l_suppkey < b.l_suppkey)
+        SELECT id1, id2, round(rh_estimate(a.s, b.s), 6) AS j_hat, round(rh_jaccard(a.e, b.e), 6) AS j FROM met JOIN sigs a ON a.id = id1 JOIN sigs b ON b.id = id2"""
     )
 
 
-add("sql_surface", sql_surface, O.ctes(SUPP | {"pairs": "SELECT a.id AS id1, b.id AS id2 FROM (SELECT DISTINCT set_id AS id FROM post) a JOIN (SELECT DISTINCT set_id AS id FROM post) b ON a.id < b.id WHERE a.id <= 10 AND b.id <= 10"} | O.exact() | O.estimates(), "SELECT e.id1, e.id2, round(hits / 64.0, 6) AS j_hat, round(inter / CAST(uni AS DOUBLE), 6) AS j FROM est e JOIN exact x ON x.id1 = e.id1 AND x.id2 = e.id2"))
+add("sql_surface", sql_surface, O.ctes(SUPP | ALL | O.exact() | O.estimates(), "SELECT e.id1, e.id2, round(hits / 64.0, 6) AS j_hat, round(inter / CAST(uni AS DOUBLE), 6) AS j FROM est e JOIN exact x ON x.id1 = e.id1 AND x.id2 = e.id2"))
 
 # ---- streams, each with the batch result as its SQL ----
 

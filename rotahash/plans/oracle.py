@@ -8,8 +8,12 @@ from rotahash.params import SketchParams
 WORDS = "SELECT DISTINCT w AS set_id, doc_id AS elem FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-z0-9]+')) AS w FROM documents) WHERE w <> ''"
 
 
+#: Worked out before what uses them, whose joins would else be reordered badly.
+KEPT = ("base", "reads", "read_at")
+
+
 def ctes(parts: dict[str, str], final: str) -> str:
-    return "WITH " + ",\n".join(f"{k} AS ({v})" for k, v in parts.items()) + "\n" + final
+    return "WITH " + ",\n".join(f"{k} AS {'MATERIALIZED ' if k in KEPT else ''}({v})" for k, v in parts.items()) + "\n" + final
 
 
 def perm(tag: str, n: int) -> str:
@@ -62,11 +66,65 @@ def hashed(x: str, kind: str, p: SketchParams, size: int, tag: str) -> str:
             return f"((({left}) << {half}) | ({right}))"
 
         return by_seed(rounds)
+    if kind == "murmur":
+        # Spark's Murmur3 of an int and a long: rounds on 32-bit words, as fixed by that function
+        return by_seed(lambda s: _pmod_signed(_murmur_long(x, _murmur_int(s, 42)), size))
     if kind == "identity":
         return x
     raise ValueError(f"{kind} has no SQL")
 
 
+#: Fixed values of Murmur3, 32 bits: the two factors of a word, the step of the state, the two factors of the end.
+MURMUR = (0xCC9E2D51, 0x1B873593, 0xE6546B64, 0x85EBCA6B, 0xC2B2AE35)
+WORD = 1 << 32
+
+
+def let(value: str, body) -> str:
+    """body of a name that stands for value, so that the text stays short."""
+    return f"list_transform([{value}], lambda v: {body('v')})[1]"
+
+
+def _times(x: str, factor: int) -> str:
+    return f"CAST(({x}::HUGEINT * {factor}) % {WORD} AS BIGINT)"
+
+
+def _turned(x: str, r: int) -> str:
+    return let(x, lambda v: f"((({v} << {r}) | ({v} >> {32 - r})) & {WORD - 1})")
+
+
+def _murmur_step(h: str, k: str) -> str:
+    state = f"xor({h}, {_times(_turned(_times(k, MURMUR[0]), 15), MURMUR[1])})"
+    return f"(({_turned(state, 13)} * 5 + {MURMUR[2]}) & {WORD - 1})"
+
+
+def _murmur_end(h: str, size: int) -> str:
+    out = f"xor({h}, {size})"
+    for shift, factor in ((16, MURMUR[3]), (13, MURMUR[4]), (16, None)):
+        out = let(out, lambda v, n=shift: f"xor({v}, {v} >> {n})")
+        out = _times(out, factor) if factor else out
+    return out
+
+
+def _murmur_long(x: str, seed: int) -> str:
+    return _murmur_end(_murmur_step(_murmur_step(str(seed), f"({x} & {WORD - 1})"), f"(({x} >> 32) & {WORD - 1})"), 8)
+
+
+def _murmur_int(x: int, seed: int) -> int:
+    """The same of one 32-bit number, in Python: the state that a row's seed leaves."""
+
+    def turned(v, r):
+        return (v << r | v >> (32 - r)) % WORD
+
+    h = (turned(seed ^ turned(x * MURMUR[0] % WORD, 15) * MURMUR[1] % WORD, 13) * 5 + MURMUR[2]) % WORD ^ 4
+    h = (h ^ h >> 16) * MURMUR[3] % WORD
+    h = (h ^ h >> 13) * MURMUR[4] % WORD
+    return h ^ h >> 16
+
+
+def _pmod_signed(h: str, size: int) -> str:
+    return let(let(h, lambda v: f"CASE WHEN {v} >= {WORD // 2} THEN {v} - {WORD} ELSE {v} END"), lambda v: f"(({v} % {size}) + {size}) % {size}")
+
+
 def _head(postings: dict[str, str], p: SketchParams) -> dict[str, str]:
     """Up to ``q``: the shuffled positions. ``postings``: CTEs whose last is post(set_id, elem)."""
     out = {"seeds": f"SELECT unnest([{', '.join(map(str, p.seeds))}]) AS seed"} | postings
@@ -117,7 +175,7 @@ def binned(postings: dict[str, str], p: SketchParams) -> dict[str, str]:
         dist = "CASE WHEN e.coin > 0 THEN g.rightward ELSE g.leftward END"
     else:
         out["probes"] = f"SELECT seed, slot, attempt, {hex32('seed', quote(':probe:'), 'slot', quote(':'), 'attempt')} % {K} AS bin FROM seeds, (SELECT unnest(range({M})) AS slot), (SELECT unnest(range({p.attempts})) AS attempt)"
-        out["drawn"] = "SELECT e.seed, e.set_id, e.slot, arg_min(r.bin, r.attempt) AS bin FROM scan e JOIN probes r ON r.seed = e.seed AND r.slot = e.slot JOIN occ o ON o.seed = e.seed AND o.set_id = e.set_id AND o.bin = r.bin WHERE e.hit IS NULL GROUP BY ALL"
+        out["drawn"] = "SELECT o.seed, o.set_id, r.slot, arg_min(r.bin, r.attempt) AS bin FROM occ o JOIN probes r ON o.seed = r.seed AND o.bin = r.bin GROUP BY ALL"
         donor, dist = f"coalesce(w.bin, (e.bin0 + g.rightward) % {K})", "g.rightward"
     more = " LEFT JOIN drawn w ON w.seed = e.seed AND w.set_id = e.set_id AND w.slot = e.slot" if p.donor == "uniform" and p.fill != "none" else ""
     out["reads"] = f"SELECT e.seed, e.set_id, e.slot, e.turn, coalesce(e.hit, {donor}) AS bin, CASE WHEN e.hit IS NOT NULL THEN 0 ELSE {dist} END AS dist FROM scan e LEFT JOIN gap g ON g.seed = e.seed AND g.set_id = e.set_id AND g.slot = e.slot{more}"
@@ -131,7 +189,8 @@ def binned(postings: dict[str, str], p: SketchParams) -> dict[str, str]:
             out["sig"] = f"SELECT seed, set_id, slot, min({hashed('pos', 'feistel', p, d, 'pi')} + bin * {d}) AS h FROM (SELECT r.seed, r.set_id, r.slot, r.bin, {pos} AS pos FROM reads r JOIN base b ON {on}) GROUP BY ALL"
         else:
             out["pi"] = perm("pi", d) if not p.share else f"SELECT seed, pos, row_number() OVER (PARTITION BY seed ORDER BY rank) - 1 AS rank FROM sigma WHERE pos < {d}"
-            out["sig"] = f"SELECT r.seed, r.set_id, r.slot, min(pi.rank + r.bin * {d}) AS h FROM reads r JOIN base b ON {on} JOIN pi ON pi.seed = r.seed AND pi.pos = {pos} GROUP BY ALL"
+            out["read_at"] = f"SELECT r.seed, r.set_id, r.slot, r.bin, {pos} AS pos FROM reads r JOIN base b ON {on}"
+            out["sig"] = f"SELECT t.seed, t.set_id, t.slot, min(pi.rank + t.bin * {d}) AS h FROM read_at t JOIN pi ON pi.seed = t.seed AND pi.pos = t.pos GROUP BY ALL"
     else:
         out["perms"] = slot_perm("inner", M, d)
         rank = f"CASE WHEN r.dist = 0 AND r.slot < {K} THEN b.off ELSE t.rank END" if p.implicit else "t.rank"

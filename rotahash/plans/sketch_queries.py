@@ -37,7 +37,9 @@ def universe(spark: SparkSession, sf_dir: str, least: int = WORD_D) -> int:
 
 # ---- families of sets: (Spark postings, SQL CTEs that end in post) ----
 
-FREQUENT = {"words": O.WORDS, "post": "SELECT * FROM words SEMI JOIN (SELECT set_id FROM words GROUP BY 1 HAVING count(*) <= 3000 ORDER BY count(*) DESC, set_id LIMIT {n}) USING (set_id)"}
+WORD_SETS = {"words": O.WORDS, "post": "SELECT * FROM words"}
+#: The n largest word sets, chosen for experiments on pairs.
+FREQUENT = {"words": O.WORDS, "post": "SELECT * FROM words SEMI JOIN (SELECT set_id FROM words GROUP BY 1 ORDER BY count(*) DESC, set_id LIMIT {n}) USING (set_id)"}
 BASKETS = {"post": "SELECT DISTINCT l_orderkey AS set_id, l_partkey AS elem FROM lineitem"}
 SUPPLIERS = {"post": "SELECT DISTINCT l_suppkey AS set_id, l_partkey AS elem FROM lineitem"}
 
@@ -50,6 +52,11 @@ def frequent_words(n: int):
     return lambda spark, d: T.frequent(T.word_postings(documents(spark, d)), n)
 
 
+def words(spark: SparkSession, d: str) -> DataFrame:
+    """All word sets. Spark side of WORD_SETS."""
+    return T.word_postings(documents(spark, d))
+
+
 def baskets(spark: SparkSession, d: str) -> DataFrame:
     """Orders as sets of parts. Spark side of BASKETS."""
     return T.basket_postings(T.load_table(spark, d, "lineitem"))
@@ -64,57 +71,58 @@ def part_universe(spark: SparkSession, d: str, least: int = 1 << 15) -> int:
     return max(least, 1 << int(top).bit_length())
 
 
-ORDER = "SELECT seed, set_id, slot, h FROM sig"
+PACKED = "SELECT seed, set_id, string_agg(coalesce(CAST(h AS VARCHAR), ''), ',' ORDER BY slot) AS sig FROM sig GROUP BY seed, set_id"
+FAMILIES = {"words": (words, WORD_SETS, universe), "baskets": (baskets, BASKETS, part_universe), "suppliers": (suppliers, SUPPLIERS, part_universe)}
 
 
-def signature(name: str, make, sql_of, p: SketchParams, n: int = 24, family: str = "words") -> None:
-    """A query that returns every slot of every signature of a family."""
-    if family == "words":
-        post, ctes, size = frequent_words(n), frequent_sql(n), universe
-    elif family == "baskets":
-        post, ctes, size = baskets, BASKETS, part_universe
-    else:
-        post, ctes, size = suppliers, SUPPLIERS, part_universe
-    add(name, lambda spark, d: make(post(spark, d), p.with_(D=size(spark, d, p.D))).select(*S.SIG), O.ctes(sql_of(ctes, p), ORDER) if sql_of else None)
+def signature(name: str, make, sql_of, p: SketchParams, family: str = "words") -> None:
+    """A query that returns the signatures of all sets of a family, one row a set."""
+    post, ctes, size = FAMILIES[family]
+    add(name, lambda spark, d: S.written(make(post(spark, d), p.with_(D=size(spark, d, p.D)))), O.ctes(sql_of(ctes, p), PACKED) if sql_of else None)
 
 
 W = SketchParams(WORD_D, 64)
-signature("std_minhash_sig", S.std_minhash, O.std, W.with_(K=16))
-signature("rot_minhash_sig", S.rot_minhash, O.rot, W.with_(K=32))
-signature("rot_minhash_shared_sig", S.rot_minhash, O.rot, W.with_(K=32, share=True))
-signature("rot_minhash_2u_split_sig", S.rot_minhash, O.rot, W.with_(K=32, split="2u"))
-signature("rot_minhash_2u_inner_sig", S.rot_minhash, O.rot, W.with_(K=32, inner="2u"))
-signature("rot_minhash_4u_split_sig", S.rot_minhash, O.rot, W.with_(K=32, split="4u"))
-signature("rot_minhash_4u_inner_sig", S.rot_minhash, O.rot, W.with_(K=32, inner="4u"))
-signature("rot_minhash_murmur_sig", S.rot_minhash, None, W.with_(K=32, split="murmur"))
-signature("rot_minhash_unshuffled_sig", S.rot_minhash, O.rot, W.with_(K=32, split="identity"))
-signature("bin_minhash_sig", S.sketch, O.binned, W.with_(fill="none"))
-signature("copy_clockwise_sig", S.sketch, O.binned, W.with_(fill="copy", donor="clockwise"))
-signature("copy_two_way_sig", S.sketch, O.binned, W.with_(fill="copy", donor="two_way"))
-signature("copy_uniform_sig", S.sketch, O.binned, W.with_(fill="copy"))
-signature("copy_offset_sig", S.sketch, O.binned, W.with_(fill="copy", donor="clockwise", copy_offset=True))
-signature("copy_uniform_baskets_sig", S.sketch, O.binned, SketchParams(1 << 15, 16, fill="copy", attempts=32), family="baskets")
-signature("fresh_sig", S.sketch, O.binned, W.with_(fill="fresh"))
-signature("fresh_implicit_sig", S.sketch, O.binned, W.with_(fill="fresh", implicit=True))
-signature("fresh_m_gt_k_sig", S.sketch, O.binned, W.with_(fill="fresh", M=96))
-signature("fresh_random_scan_sig", S.sketch, O.binned, W.with_(fill="fresh", first_scan="random"))
-signature("fresh_clockwise_sig", S.sketch, O.binned, W.with_(fill="fresh", donor="clockwise"))
-signature("rotbin_sig", S.rotbin_minhash, O.binned, W)
-signature("rotbin_2u_sig", S.rotbin_minhash, O.binned, W.with_(split="2u"))
-signature("rotbin_4u_sig", S.rotbin_minhash, O.binned, W.with_(split="4u"))
-signature("rotbin_mix_sig", S.rotbin_minhash, O.binned, W.with_(split="mix"))
-signature("rotbin_murmur_sig", S.rotbin_minhash, None, W.with_(split="murmur"))
-signature("rotbin_identity_sig", S.rotbin_minhash, O.binned, W.with_(split="identity"))
-signature("rotbin_feistel_sig", S.rotbin_minhash, O.binned, W.with_(inner="feistel"))
-signature("rotbin_clockwise_sig", S.rotbin_minhash, O.binned, W.with_(donor="clockwise"))
-signature("rotbin_two_way_sig", S.rotbin_minhash, O.binned, W.with_(donor="two_way"))
-signature("rotbin_random_scan_sig", S.rotbin_minhash, O.binned, W.with_(first_scan="random"))
+#: Most words are in a few documents only: their sets need fewer bins.
+V = SketchParams(WORD_D, 16)
+#: Baskets, all of lineitem: the sparse sets on which fillings differ.
+B = SketchParams(1 << 15, 16, attempts=32)
+signature("std_minhash_sig", S.std_minhash, O.std, V)
+signature("rot_minhash_sig", S.rot_minhash, O.rot, V)
+signature("rot_minhash_shared_sig", S.rot_minhash, O.rot, V.with_(share=True))
+signature("rot_minhash_2u_split_sig", S.rot_minhash, O.rot, V.with_(split="2u"))
+signature("rot_minhash_2u_inner_sig", S.rot_minhash, O.rot, V.with_(inner="2u"))
+signature("rot_minhash_4u_split_sig", S.rot_minhash, O.rot, V.with_(split="4u"))
+signature("rot_minhash_4u_inner_sig", S.rot_minhash, O.rot, V.with_(inner="4u"))
+signature("rot_minhash_murmur_sig", S.rot_minhash, O.rot, V.with_(split="murmur"))
+signature("rot_minhash_unshuffled_sig", S.rot_minhash, O.rot, V.with_(split="identity"))
+signature("bin_minhash_sig", S.sketch, O.binned, V.with_(fill="none"))
+signature("copy_clockwise_sig", S.sketch, O.binned, B.with_(fill="copy", donor="clockwise"), family="baskets")
+signature("copy_two_way_sig", S.sketch, O.binned, B.with_(fill="copy", donor="two_way"), family="baskets")
+signature("copy_uniform_sig", S.sketch, O.binned, V.with_(fill="copy"))
+signature("copy_offset_sig", S.sketch, O.binned, B.with_(fill="copy", donor="clockwise", copy_offset=True), family="baskets")
+signature("copy_uniform_baskets_sig", S.sketch, O.binned, B.with_(fill="copy"), family="baskets")
+signature("fresh_sig", S.sketch, O.binned, V.with_(fill="fresh"))
+signature("fresh_implicit_sig", S.sketch, O.binned, B.with_(fill="fresh", implicit=True), family="baskets")
+signature("fresh_m_gt_k_sig", S.sketch, O.binned, B.with_(fill="fresh", M=24), family="baskets")
+signature("fresh_random_scan_sig", S.sketch, O.binned, B.with_(fill="fresh", first_scan="random"), family="baskets")
+signature("fresh_clockwise_sig", S.sketch, O.binned, B.with_(fill="fresh", donor="clockwise"), family="baskets")
+signature("rotbin_sig", S.rotbin_minhash, O.binned, V)
+signature("rotbin_2u_sig", S.rotbin_minhash, O.binned, V.with_(split="2u"))
+signature("rotbin_4u_sig", S.rotbin_minhash, O.binned, B.with_(split="4u"), family="baskets")
+signature("rotbin_mix_sig", S.rotbin_minhash, O.binned, B.with_(split="mix"), family="baskets")
+signature("rot_minhash_murmur_inner_sig", S.rot_minhash, O.rot, SketchParams(1 << 15, 8, inner="murmur"), family="suppliers")
+signature("rotbin_murmur_sig", S.rotbin_minhash, O.binned, B.with_(split="murmur"), family="baskets")
+signature("rotbin_identity_sig", S.rotbin_minhash, O.binned, B.with_(split="identity"), family="baskets")
+signature("rotbin_feistel_sig", S.rotbin_minhash, O.binned, B.with_(inner="feistel"), family="baskets")
+signature("rotbin_clockwise_sig", S.rotbin_minhash, O.binned, B.with_(donor="clockwise"), family="baskets")
+signature("rotbin_two_way_sig", S.rotbin_minhash, O.binned, B.with_(donor="two_way"), family="baskets")
+signature("rotbin_random_scan_sig", S.rotbin_minhash, O.binned, B.with_(first_scan="random"), family="baskets")
 for shift in ("plain", "per_round", "per_cycle", "lcm"):
-    signature(f"rotbin_m_gt_k_{shift}_sig", S.rotbin_minhash, O.binned, SketchParams(WORD_D, 64, M=192, shift=shift))
-signature("rotbin_baskets_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 15, 16, attempts=32), family="baskets")
+    signature(f"rotbin_m_gt_k_{shift}_sig", S.rotbin_minhash, O.binned, B.with_(M=48, shift=shift), family="baskets")
+signature("rotbin_baskets_sig", S.rotbin_minhash, O.binned, B, family="baskets")
 signature("rotbin_suppliers_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 15, 64, split="2u"), family="suppliers")
-signature("rotbin_shared_sig", S.rotbin_minhash, O.binned, W.with_(share=True))
-signature("firstk_sig", S.firstk_sketch, O.firstk, W)
+signature("rotbin_shared_sig", S.rotbin_minhash, O.binned, B.with_(share=True), family="baskets")
+signature("firstk_sig", S.firstk_sketch, O.firstk, V)
 
 # ---- primitives ----
 
@@ -144,7 +152,7 @@ def ids_sql(kind: str, size: int) -> str:
 for kind, size in (("2u", 1 << 40), ("4u", 1 << 40), ("mix", 1 << 20), ("feistel", 1 << 20)):
     label = {"2u": "two_universal_ids", "4u": "four_universal_ids", "mix": "mix_bijection_ids", "feistel": "feistel_ids"}[kind]
     add(label, ids(kind, size), ids_sql(kind, size))
-add("murmur_ids", ids("murmur", 1 << 20))
+add("murmur_ids", ids("murmur", 1 << 20), ids_sql("murmur", 1 << 20))
 
 
 def shift_ids(spark: SparkSession, d: str) -> DataFrame:
@@ -158,10 +166,10 @@ add("two_universal_shift_ids", shift_ids, "SELECT doc_id AS x, CAST((((doc_id::H
 
 def bin_split(spark: SparkSession, d: str) -> DataFrame:
     p = SketchParams(WORD_D, 64, split="2u")
-    return S.binned(frequent_words(24)(spark, d), p.with_(D=universe(spark, d)))
+    return S.binned(words(spark, d), p.with_(D=universe(spark, d)))
 
 
-add("bin_split", bin_split, O.ctes(O.binned(frequent_sql(24), SketchParams(WORD_D, 64, split="2u")), "SELECT seed, set_id, q, bin, off FROM base"))
+add("bin_split", bin_split, O.ctes(O.binned(WORD_SETS, SketchParams(WORD_D, 64, split="2u")), "SELECT seed, set_id, q, bin, off FROM base"))
 
 # ---- estimates of the pairs among the frequent words ----
 
@@ -258,13 +266,14 @@ add(
 EXACT = "SELECT id1, id2, inter, uni, j FROM exact"
 add("exact_jaccard_word_pairs", lambda spark, d: (lambda post: E.exact_jaccard(post, pairs_of(post)))(frequent_words(24)(spark, d)), O.ctes(frequent_sql(24) | PAIRS | O.exact(), EXACT))
 ALL = {"pairs": "SELECT DISTINCT a.set_id AS id1, b.set_id AS id2 FROM post a JOIN post b ON a.elem = b.elem AND a.set_id < b.set_id"}
-add("exact_jaccard_all_pairs", lambda spark, d: E.exact_all_pairs(frequent_words(120)(spark, d)), O.ctes(frequent_sql(120) | ALL | O.exact(), EXACT))
+TWO_COMMON = {"pairs": "SELECT a.set_id AS id1, b.set_id AS id2 FROM post a JOIN post b ON a.elem = b.elem AND a.set_id < b.set_id GROUP BY 1, 2 HAVING count(*) >= 2"}
+add("exact_jaccard_all_pairs", lambda spark, d: E.exact_all_pairs(baskets(spark, d), 2), O.ctes(BASKETS | TWO_COMMON | O.exact(), EXACT))
 add("exact_jaccard_suppliers", lambda spark, d: E.exact_all_pairs(suppliers(spark, d)), O.ctes(SUPPLIERS | ALL | O.exact(), EXACT))
 
 # ---- errors: word pairs near each tenth of similarity, and simulated pairs ----
 
 DECILES = {
-    "everyone": "SELECT * FROM words SEMI JOIN (SELECT set_id FROM words GROUP BY 1 HAVING count(*) BETWEEN 10 AND 3000 ORDER BY count(*) DESC, set_id LIMIT 200) USING (set_id)",
+    "everyone": "SELECT * FROM words SEMI JOIN (SELECT set_id FROM words GROUP BY 1 HAVING count(*) >= 10 AND count(*) * 10 <= 3 * (SELECT count(*) FROM documents) ORDER BY count(*) DESC, set_id LIMIT 200) USING (set_id)",
     "esize": "SELECT set_id, count(*) AS n FROM everyone GROUP BY 1",
     "ecommon": "SELECT a.set_id AS id1, b.set_id AS id2, count(*) AS inter FROM everyone a JOIN everyone b ON a.elem = b.elem AND a.set_id < b.set_id GROUP BY 1, 2",
     "ranked": "SELECT decile, id1, id2, row_number() OVER (PARTITION BY decile ORDER BY abs(CAST(inter AS DOUBLE) / (x.n + y.n - inter) - decile / 10.0::DOUBLE), id1, id2) AS r FROM ecommon JOIN esize x ON x.set_id = id1 JOIN esize y ON y.set_id = id2, (SELECT unnest(range(1, 10)) AS decile)",
@@ -277,7 +286,7 @@ def decile_pairs(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     """(pairs, postings of their words)."""
     from rotahash.plans.storage import settled
 
-    everyone = T.frequent(T.word_postings(documents(spark, d)), 200, least=10)
+    everyone = T.frequent(words(spark, d), 200, least=10, most=documents(spark, d).count() * 3 // 10)
     pairs = settled(T.nearest_per_decile(E.exact_all_pairs(everyone)))
     ids_ = pairs.select(F.col("id1").alias("set_id")).union(pairs.select("id2")).distinct()
     return pairs, settled(everyone.join(F.broadcast(ids_), "set_id"))
@@ -384,9 +393,9 @@ add(
 
 
 def evaluations(spark: SparkSession, d: str) -> DataFrame:
-    """Ranks looked up for each frequent word by standard, unfilled and rotating binned MinHash."""
-    post = frequent_words(24)(spark, d)
-    p = W.with_(D=universe(spark, d), M=128)
+    """Ranks looked up for each word by standard, unfilled and rotating binned MinHash."""
+    post = words(spark, d)
+    p = V.with_(D=universe(spark, d), M=32)
     out = None
     for label, method, q in (("std", "std", p.with_(split="identity")), ("bin", "bin", p.with_(fill="none")), ("rotbin", "rotbin", p)):
         one = S.hash_evaluations(post, q, method).select(F.lit(label).alias("method"), "set_id", "n")
@@ -394,11 +403,11 @@ def evaluations(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-EVAL = O.binned(frequent_sql(24), W.with_(M=128)) | {"k": "SELECT seed, set_id, bin, count(*) AS k FROM base GROUP BY ALL"}
+EVAL = O.binned(WORD_SETS, V.with_(M=32)) | {"k": "SELECT seed, set_id, bin, count(*) AS k FROM base GROUP BY ALL"}
 add(
     "hash_evaluations",
     evaluations,
-    O.ctes(EVAL, "SELECT 'std' AS method, set_id, count(*) * 128 AS n FROM base GROUP BY 2 UNION ALL SELECT 'bin', set_id, count(*) FROM base GROUP BY 2 UNION ALL SELECT 'rotbin', r.set_id, CAST(sum(k.k) AS BIGINT) FROM reads r JOIN k ON k.seed = r.seed AND k.set_id = r.set_id AND k.bin = r.bin GROUP BY 2"),
+    O.ctes(EVAL, "SELECT 'std' AS method, set_id, count(*) * 32 AS n FROM base GROUP BY 2 UNION ALL SELECT 'bin', set_id, count(*) FROM base GROUP BY 2 UNION ALL SELECT 'rotbin', r.set_id, CAST(sum(k.k) AS BIGINT) FROM reads r JOIN k ON k.seed = r.seed AND k.set_id = r.set_id AND k.bin = r.bin GROUP BY 2"),
 )
 
 

@@ -34,9 +34,10 @@ def token_id(text: Column, bits: int = SHINGLE_BITS) -> Column:
     return F.pmod(F.conv(F.substring(F.md5(text), 1, 10), 16, 10).cast("long"), F.lit(1 << bits))
 
 
-def word_postings(docs: DataFrame) -> DataFrame:
-    """Sets: words; elements: the documents that hold them."""
-    return docs.select("doc_id", F.explode(F.array_distinct(tokens(F.col("text")))).alias("set_id")).select("set_id", F.col("doc_id").alias("elem")).where("elem is not null").distinct()
+def word_postings(docs: DataFrame, distinct: bool = True) -> DataFrame:
+    """Sets: words; elements: the documents that hold them. Without ``distinct`` rows of equal doc_id repeat their postings, which minima don't mind; that saves an exchange."""
+    rows = docs.where("doc_id is not null").select(F.col("doc_id").alias("elem"), F.explode(F.array_distinct(tokens(F.col("text")))).alias("set_id")).select("set_id", "elem")
+    return rows.distinct() if distinct else rows
 
 
 def document_words(docs: DataFrame) -> DataFrame:
@@ -85,9 +86,10 @@ def strip_html(html: Column) -> Column:
     return F.trim(F.regexp_replace(F.regexp_replace(out, "&[a-zA-Z#0-9]+;", " "), "[ \\t\\r\\n]+", " "))
 
 
-def frequent(postings: DataFrame, n: int, most: int = 3000, least: int = 1) -> DataFrame:
-    """The postings of the n largest sets with least..most elements, ties by id."""
-    top = postings.groupBy("set_id").agg(F.count("*").alias("n")).where(F.col("n").between(least, most)).orderBy(F.desc("n"), "set_id").limit(n)
+def frequent(postings: DataFrame, n: int, most: int | None = None, least: int = 1) -> DataFrame:
+    """The postings of the n largest sets with at least ``least`` and, if given, at most ``most`` elements, ties by id: a choice of pairs for experiments."""
+    sizes = postings.groupBy("set_id").agg(F.count("*").alias("n")).where(F.col("n") >= least)
+    top = (sizes if most is None else sizes.where(F.col("n") <= most)).orderBy(F.desc("n"), "set_id").limit(n)
     return postings.join(F.broadcast(top.select("set_id")), "set_id")
 
 

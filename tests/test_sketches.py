@@ -255,3 +255,25 @@ def test_long_permutations_rank_alike(spark, monkeypatch):
     monkeypatch.setattr(permutations, "RANKED_IN_ONE", 10)
     got = {r.pos: r["rank"] for r in permutation(spark, "pi", 500, (9, 10)).where("seed = 9").collect()}
     assert [got[i] for i in range(500)] == list(md5_permutation("pi", 500, 9))
+
+
+def test_the_proposed_method_reads_and_deals_its_elements_once(spark, tiny):
+    """The plan that ran: one scan, and exchanges of the elements, the occupied bins and the reads."""
+    docs = T.load_table(spark, tiny, "documents")
+    sig = S.rotbin_minhash(T.word_postings(docs, distinct=False), SketchParams(1 << 10, 16, split="2u"))
+    sig.collect()
+    plan = sig._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+    assert "ReusedExchange" in plan
+    lines = [x for x in plan.splitlines() if "Exchange hashpartitioning" in x and "ReusedExchange" not in x]
+    assert len(lines) == 3, plan
+    assert sum("FileScan parquet" in x for x in plan.splitlines()) == 1
+
+
+def test_donors_of_many_bins_agree_with_the_bit_set(spark, monkeypatch):
+    rows = spark.createDataFrame([(s, (s * 7919 + e * 104729) % 4096) for s in range(40) for e in range(1 + s % 7)], "set_id long, elem long").distinct()
+    for donor in ("uniform", "clockwise", "two_way"):
+        p = SketchParams(4096, 128, donor=donor)
+        monkeypatch.setattr(S, "BIT_BINS", 4096)
+        one = sorted(map(tuple, S.rotbin_minhash(rows, p).collect()))
+        monkeypatch.setattr(S, "BIT_BINS", 1)
+        assert one == sorted(map(tuple, S.rotbin_minhash(rows, p).collect())) and len(one) == 40 * 128
