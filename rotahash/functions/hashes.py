@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ HALF = 1 << 20
 
 
 def mulmod(a: Column, x: Column, p: Column | int) -> Column:
-    """a*x mod p without leaving 63 bits, for x and p below 2^43: a goes in halves of 20 bits."""
+    """a*x mod p without leaving 63 bits, for a, x and p below 2^41: a goes in halves of 20 bits, whose products with x stay below 2^62."""
     p = p if isinstance(p, Column) else F.lit(p)
     high = F.pmod(F.pmod(F.shiftright(a, 20) * x, p) * F.lit(HALF), p)
     return F.pmod(high + F.pmod(a.bitwiseAND(F.lit(HALF - 1)) * x, p), p)
@@ -60,6 +62,23 @@ def feistel(x: Column, keys: list[int], bits: int) -> Column:
     return F.shiftleft(left, half).bitwiseOR(right)
 
 
+def walk(size: int) -> tuple[int, int]:
+    """Bits of the least domain of ``feistel`` that holds [0, size), and the steps after which a value is back inside but for a chance of 2^-60."""
+    bits = max(2, (size - 1).bit_length())
+    bits += bits % 2
+    outside = 1 - size / (1 << bits)
+    return bits, 0 if not outside else math.ceil(60 / -math.log2(outside))
+
+
+def feistel_walk(x: Column, keys: list[int], size: int) -> Column:
+    """A bijection of [0, size) for any size: the rounds are repeated while the value is outside."""
+    bits, steps = walk(size)
+    out = feistel(x, keys, bits)
+    if not steps:
+        return out
+    return F.aggregate(F.sequence(F.lit(1), F.lit(steps)), out, lambda v, _: F.when(v < size, v).otherwise(feistel(v, keys, bits)))
+
+
 def md5_key(*parts) -> Column:
     return F.md5(F.concat_ws(":", *[p if isinstance(p, Column) else F.lit(str(p)) for p in parts]))
 

@@ -75,8 +75,7 @@ def hashed(x: Column, kind: str, p: SketchParams, size: int, tag: str) -> Column
         bits = size.bit_length() - 1
         return per_seed(p, lambda s: hashes.mix_bijection(x, mix_constants(s, bits), bits))
     if kind == "feistel":
-        bits = size.bit_length() - 1
-        return per_seed(p, lambda s: hashes.feistel(x, feistel_keys(s), bits))
+        return per_seed(p, lambda s: hashes.feistel_walk(x, feistel_keys(s), size))
     if kind == "identity":
         return x
     raise ValueError(f"no such hash function: {kind}")

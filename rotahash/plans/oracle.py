@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from rotahash.functions.hashes import walk
 from rotahash.operators.permutations import feistel_keys, mix_constants
 from rotahash.params import SketchParams
 
@@ -55,17 +56,20 @@ def hashed(x: str, kind: str, p: SketchParams, size: int, tag: str) -> str:
 
         return by_seed(mix)
     if kind == "feistel":
+        bits, steps = walk(size)
         half = bits // 2
         mask = (1 << half) - 1
 
-        def rounds(s):
-            left, right = f"({x} >> {half})", f"({x} & {mask})"
+        def rounds(s, v):
+            left, right = f"({v} >> {half})", f"({v} & {mask})"
             for key in feistel_keys(s):
                 f = f"((((({right})::HUGEINT * {key % (1 << 30) | 1} + {key % 65521}) % {(1 << 61) - 1})::BIGINT >> 7) & {mask})"
                 left, right = right, f"xor({left}, {f})"
             return f"((({left}) << {half}) | ({right}))"
 
-        return by_seed(rounds)
+        if not steps:
+            return by_seed(lambda s: rounds(s, x))
+        return by_seed(lambda s: f"list_reduce(list_concat([{rounds(s, x)}], CAST(range({steps}) AS BIGINT[])), lambda v, i: CASE WHEN v < {size} THEN v ELSE {rounds(s, 'v')} END)")
     if kind == "murmur":
         # Spark's Murmur3 of an int and a long: rounds on 32-bit words, as fixed by that function
         return by_seed(lambda s: _pmod_signed(_murmur_long(x, _murmur_int(s, 42)), size))

@@ -152,6 +152,7 @@ def ids_sql(kind: str, size: int) -> str:
 for kind, size in (("2u", 1 << 40), ("4u", 1 << 40), ("mix", 1 << 20), ("feistel", 1 << 20)):
     label = {"2u": "two_universal_ids", "4u": "four_universal_ids", "mix": "mix_bijection_ids", "feistel": "feistel_ids"}[kind]
     add(label, ids(kind, size), ids_sql(kind, size))
+add("feistel_walk_ids", ids("feistel", 1_000_064), ids_sql("feistel", 1_000_064))
 add("murmur_ids", ids("murmur", 1 << 20), ids_sql("murmur", 1 << 20))
 
 

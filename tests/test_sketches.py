@@ -277,3 +277,12 @@ def test_donors_of_many_bins_agree_with_the_bit_set(spark, monkeypatch):
         one = sorted(map(tuple, S.rotbin_minhash(rows, p).collect()))
         monkeypatch.setattr(S, "BIT_BINS", 1)
         assert one == sorted(map(tuple, S.rotbin_minhash(rows, p).collect())) and len(one) == 40 * 128
+
+
+@pytest.mark.parametrize("size", [5, 64, 1000, 2048])
+def test_feistel_is_a_bijection_of_any_size(spark, size):
+    from rotahash.operators.permutations import hashed
+
+    p = SketchParams(size, 1)
+    got = sorted(r.y for r in spark.range(size).withColumn("seed", F.lit(42)).select(hashed(F.col("id"), "feistel", p, size, "pi").alias("y")).collect())
+    assert got == list(range(size))
