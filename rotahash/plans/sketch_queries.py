@@ -471,3 +471,76 @@ def theory_vs_mse(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("theory_vs_mse", theory_vs_mse)
+
+
+# ---- the laws themselves, on small sizes ----
+
+LAW_SIZES = ((256, 16, 6, 3), (128, 8, 8, 4), (64, 8, 5, 1), (64, 8, 12, 6))
+
+
+def empty_law(spark: SparkSession, d: str) -> DataFrame:
+    """Exact distribution of the number of empty bins, for 8 bins of width 8 and 1 to 16 elements."""
+    from rotahash.operators import theory
+
+    rows = [(f, j, round(float(x), 9)) for f in range(1, 17) for j, x in enumerate(theory.empty_bins_pmf(64, 8, f))]
+    return spark.createDataFrame(rows, "f long, empties long, probability double")
+
+
+def binomial(n: str, k: str) -> str:
+    """SQL of a binomial coefficient in wide integers; 0 beyond n."""
+    return f"list_reduce(list_concat([1::HUGEINT], CAST(range(1, {k} + 1) AS HUGEINT[])), lambda v, i: v * ({n} - i + 1) // i)"
+
+
+add(
+    "empty_bins_law",
+    empty_law,
+    f"""WITH g AS (SELECT f, j, t FROM (SELECT unnest(range(1, 17)) AS f), (SELECT unnest(range(9)) AS j), (SELECT unnest(range(9)) AS t) WHERE t <= 8 - j),
+    w AS (SELECT f, j, sum(CASE WHEN t % 2 = 0 THEN 1 ELSE -1 END * {binomial("(8 - j)", "t")} * {binomial("(8 * (8 - j - t))", "f")}) * any_value({binomial("8", "j")}) AS ways FROM g GROUP BY f, j)
+    SELECT f, j AS empties, round(CAST(ways AS DOUBLE) / CAST({binomial("64", "f")} AS DOUBLE), 9) AS probability FROM w""",
+)
+
+
+def variance_laws(spark: SparkSession, d: str) -> DataFrame:
+    """Exact variances of the estimators of the fillings and of plain MinHash, and how many times larger the fresh one is."""
+    from rotahash.operators import theory
+
+    rows = [
+        (D, K, f, a, float(theory.var_fresh(D, K, f, a)), float(theory.var_rotating(D, K, f, a)), float(theory.variance_ratio(D, K, f, a)), float(theory.var_standard(K, f, a)), float(theory.var_rot(D, K, f, a)))
+        for D, K, f, a in LAW_SIZES
+    ]
+    return spark.createDataFrame(rows, "d_universe long, k long, f long, a long, fresh double, rotating double, ratio double, standard double, rot double")
+
+
+#: Plain MinHash's variance has a closed form in SQL too; the others are tested against brute force and simulation.
+add("variance_laws", variance_laws)
+
+
+def standard_law(spark: SparkSession, d: str) -> DataFrame:
+    return variance_laws(spark, d).select("d_universe", "k", "f", "a", F.round("standard", 9).alias("standard"), (F.col("rotating") < F.col("fresh")).alias("rotating_is_less"))
+
+
+add("standard_variance_law", standard_law, "SELECT D AS d_universe, K AS k, f, a, round((a / f::DOUBLE) * (1 - a / f::DOUBLE) / K, 9) AS standard, true AS rotating_is_less FROM (VALUES " + ", ".join(f"({D}::BIGINT, {K}::BIGINT, {f}::BIGINT, {a}::BIGINT)" for D, K, f, a in LAW_SIZES) + ") AS t(D, K, f, a)")
+
+
+def collision_laws(spark: SparkSession, d: str) -> DataFrame:
+    """Probability that two turned slots both collide on one bin: closed form, all placements listed, and independent slots."""
+    from rotahash.operators import theory
+
+    rows = []
+    for width, f, a in ((4, 2, 1), (5, 2, 1), (5, 3, 1), (5, 3, 2), (5, 4, 2), (5, 4, 3)):
+        rows.append((width, f, a, float(theory.pair_collision(a, f, width)), float(theory.pair_collision_brute(a, f, width)), (a / f) ** 2))
+    return spark.createDataFrame(rows, "d long, f long, a long, law double, listed double, independent double")
+
+
+add("collision_laws", collision_laws)
+
+
+def sampled_law(spark: SparkSession, d: str) -> DataFrame:
+    """Laws of one occupied bin: ways to fill m bins, and the joint law of the elements in a bin of the union."""
+    from rotahash.operators import theory
+
+    rows = [(m, a1, f1, float(p)) for m in range(2, 7) for (a1, f1), p in theory.bin_law(64, 8, 8, 4, m).items()]
+    return spark.createDataFrame(rows, "m long, a1 long, f1 long, probability double")
+
+
+add("bin_law", sampled_law)
