@@ -39,7 +39,7 @@ from rotahash.operators.components import components
 BLOCKS, THRESHOLD = 8, 0.95
 SAMPLE, BOXES, HOME = 1 << 15, 1024, 8192
 TILE, SHOWN, LEAF = 16384, 32768, 256
-PAIRS = 1 << 16
+PAIRS, BROADCAST = 1 << 16, 1 << 17
 KINDS = "key long, home int, block int, id long, weight long, vector binary"
 
 
@@ -194,6 +194,9 @@ def _tiles(rows: DataFrame) -> DataFrame:
     """Rows of each pair of tiles. side: 2 a home tile with itself, 0 and 1 two home tiles, 3 and 4 home and shown."""
     sizes = rows.groupBy("key").agg(F.sum("home").alias("at_home"), F.sum(1 - F.col("home")).alias("shown")).where("at_home > 1 or (at_home > 0 and shown > 0)")
     sizes = sizes.select(F.col("key").alias("_key"), F.ceil(F.col("at_home") / TILE).cast("int").alias("h"), F.ceil(F.col("shown") / SHOWN).cast("int").alias("s"))
+    sizes = durable(sizes)
+    if sizes.count() <= BROADCAST:  # as many as the plan has boxes, unless there are many lengths
+        sizes = F.broadcast(sizes)
     spread = F.xxhash64("id", "key")
     rows = rows.join(sizes, F.col("key") == F.col("_key")).withColumn("own", F.pmod(spread, F.when(F.col("home") == 1, F.col("h")).otherwise(F.col("s"))).cast("int"))
     at_home, by_home = F.sequence(F.lit(0), F.col("h") - 1), F.when(F.col("s") > 0, F.sequence(F.lit(0), F.col("s") - 1)).otherwise(F.array().cast("array<int>"))
