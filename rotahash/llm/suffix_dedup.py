@@ -14,9 +14,10 @@ doc_id, or earlier in the same document).
    that precede the suffixes, and after h rounds the blocks of the interleaving are exactly the suffixes
    with h common symbols. No suffix of the union is sorted again, and suffixes alone in their block are
    settled and leave the refinement. After LENGTH rounds the blocks are the repeated strings.
-4. An anchor with more than ``CROWD`` different stretches in one task (a short line on very many
-   documents) would gather an unbounded group. Its strings are compared by 128-bit hash instead, one row per
-   distinct string and task, so a common line is spread over all tasks.
+4. An anchor with more than ``CROWD`` different stretches in one task, or more than ``WIDE`` in all tasks together
+   (a short line on very many documents), would gather an unbounded group. Its strings are compared by 128-bit
+   hash instead, one row per distinct string and task, so a common line is spread over all tasks and no group of
+   step 3 holds more than ``WIDE`` stretches, whatever the number of tasks.
 
 Defined results: null text is empty; a text shorter than LENGTH loses nothing; rows of equal doc_id are
 taken as one document (a string that two such rows share at one place is not repeated by that alone).
@@ -36,6 +37,8 @@ from rotahash.llm.bytesops import U, Windows, lean, mix, pack, raw, slices, unpa
 from rotahash.llm.durable import durable, partitions
 
 LENGTH, GRAM, CROWD = 100, 32, 64
+#: Different stretches of one anchor in all tasks together that are merged in one group.
+WIDE = 4096
 FLUSH, SHARD, CHUNK = 1 << 19, 1 << 18, 1 << 22
 PLACE = U((1 << 24) - 1)
 #: Of one stretch in a packed cell: hashes of anchor (within its bucket) and bytes, document, first start, number of starts.
@@ -192,7 +195,7 @@ def _scan(docs: DataFrame, buckets: int) -> DataFrame:
 
 
 def _meet(scanned: DataFrame) -> DataFrame:
-    """Step 2, by bucket: marks of equal stretches, boundary stretches, and those of anchors that are crowded in another task; other rows pass."""
+    """Step 2, by bucket: marks of equal stretches, boundary stretches, and those of anchors that are crowded in another task or in all together; other rows pass."""
 
     def meet(table):
         table = table.select(NAMES)
@@ -207,7 +210,7 @@ def _meet(scanned: DataFrame) -> DataFrame:
             again, keep = order[~new], order[new]
             key = anchor[keep].astype(np.int64)
             many = np.diff(np.append(np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])), len(key)))
-            several, crowd = np.repeat(many > 1, many), np.isin(key, hot)
+            several, crowd = np.repeat(many > 1, many), np.isin(key, hot) | np.repeat(many > WIDE, many)
             key |= np.int64(bucket) << 32
             for what, i, k in ((MARKED, again, None), (BOUNDARY, keep[several & ~crowd], key[several & ~crowd]), (CROWDED, keep[crowd], key[crowd])):
                 out += [pa.Table.from_batches([b]) for b in _ranges(what, doc[i], start[i], count[i], k)]
