@@ -41,7 +41,7 @@ def tile(item: np.ndarray, text: np.ndarray, min_tile: int = MIN_TILE) -> list[t
     """Tiles (item start, text start, length) of two arrays of word hashes, longest first and then leftmost."""
     tiles: list[tuple[int, int, int]] = []
     free_item, free_text = np.ones(len(item), bool), np.ones(len(text), bool)
-    s = max(min_tile, len(item) // 2)
+    s = max(min_tile, min(len(item), len(text)) // 2)
     while len(item) >= s and len(text) >= s:
         open_item = np.flatnonzero(np.convolve(free_item, np.ones(s), "valid") > s - 0.5)
         open_text = np.flatnonzero(np.convolve(free_text, np.ones(s), "valid") > s - 0.5)
