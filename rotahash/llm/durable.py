@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a temporary folder only where it is unset, as in local tests."""
+    """spark.checkpoint.dir of the session; a temporary folder only where it is unset on a local master, as in tests."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not where:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         where = getattr(spark.sparkContext, "_rotahash_dir", None) or tempfile.mkdtemp(prefix="rotahash-")
         spark.sparkContext._rotahash_dir = where
     return where
