@@ -61,6 +61,23 @@ def test_dedup_equals_brute_force(docs, texts, monkeypatch, crowd):
     check_dedup(docs.where("length(text) < 6000"), {k: v for k, v in texts.items() if len(v) < 6000})
 
 
+def test_dedup_of_an_anchor_wide_over_many_tasks(spark, monkeypatch):
+    """No task sees a crowd, but all together do: the strings leave the merge and the result stays."""
+    rng = np.random.default_rng(4)
+    line = "a notice of some sixty bytes that stands in all of the texts"
+    tails = ["".join(chr(97 + c) for c in rng.integers(0, 26, 80)) for _ in range(6)]
+    rows = {i: "".join(chr(97 + c) for c in rng.integers(0, 26, 40)) + line + tails[i % 6] for i in range(48)}
+    df = spark.createDataFrame(list(rows.items()), "doc_id long, text string").repartition(12)
+    kinds = []
+    for wide in (4, 4096):
+        monkeypatch.setattr(suffix_dedup, "WIDE", wide)
+        check_dedup(df, rows)
+        met = suffix_dedup._meet(suffix_dedup._scan(df, 4))
+        kinds.append({r.kind for r in met.select("kind").distinct().collect()})
+    assert suffix_dedup.CROWDED in kinds[0] and suffix_dedup.CROWDED not in kinds[1]
+    assert suffix_dedup.BOUNDARY in kinds[1]
+
+
 def test_dedup_periodic_overlapping_and_boundary(spark):
     rng = np.random.default_rng(1)
     base = "".join(chr(97 + c) for c in rng.integers(0, 26, 400))
@@ -212,6 +229,20 @@ def test_language_is_found_on_held_out_texts(docs, odd, empty):
     assert {r.lang_pred for r in language_id.identify(docs.selectExpr("doc_id", "text", "cast(null as string) lang").limit(5)).collect()} == {"und"}
 
 
+def test_language_scores_equal_brute_force(spark):
+    """One dictionary PPM a language, learned from the rows that are not held out, and equal priors."""
+    rng = np.random.default_rng(11)
+    letters = {"aa": "abcde ", "bb": "bcdef ", "cc": "cd\u00e9fg "}
+    rows = [(k, "x" + "".join(rng.choice(list(letters[x]), int(rng.integers(3, 30)))), x) for k, x in enumerate(["aa", "bb", "cc"] * 20)]
+    train = {x: [t.encode() for k, t, own in rows if own == x and zlib.crc32(str(k).encode()) % 5] for x in letters}
+    got = {r.doc_id: r for r in language_id.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    for k, t, _ in rows[:15]:
+        code = {x: naive_ppm(own, t.encode(), language_id.ORDER) for x, own in train.items()}
+        best = max(sorted(code), key=code.get)
+        assert got[k].lang_pred == best
+        assert math.isclose(got[k].score, 1 / sum(10 ** (c - code[best]) for c in code.values()), rel_tol=1e-6)
+
+
 # ---- n-gram Jaccard join ----
 
 
@@ -327,6 +358,25 @@ def test_tiling_covers_as_the_definition():
         assert sum(n for _, _, n in decontaminate.tile(item, text)) == naive_tiles(item.tolist(), text.tolist())
 
 
+def test_decontamination_equals_brute_force(spark):
+    """Every document tiled against every item by the definition, and the item that covers most."""
+    rng = np.random.default_rng(7)
+    items = {k: [f"w{x}" for x in rng.integers(0, 4, int(rng.integers(3, 24)))] for k in range(8)}
+    docs = {k: [f"w{x}" for x in rng.integers(0, 4, int(rng.integers(0, 40)))] for k in range(25)}
+    docs[25] = docs[3][:9] + items[2] + docs[4][:9]
+    table = lambda rows, name: spark.createDataFrame([(k, " ".join(w)) for k, w in rows.items()], f"{name} long, text string")
+    got = {r.doc_id: r for r in decontaminate.report(table(docs, "doc_id"), table(items, "item_id")).collect()}
+    assert got.keys() == docs.keys()
+    for k, text in docs.items():
+        cover = {i: naive_tiles(item, text) / len(item) for i, item in items.items()}
+        most = max(cover.values())
+        assert math.isclose(got[k].coverage, most, abs_tol=1e-12)
+        assert got[k].item_id == (min(i for i, c in cover.items() if c == most) if most else None)
+        assert got[k]["items"] == [i for i, c in cover.items() if c >= decontaminate.THRESHOLD]
+        assert got[k].contaminated == bool(got[k]["items"])
+    assert 2 in got[25]["items"]
+
+
 def test_decontamination(spark, docs, texts, tiny, odd, empty):
     bench = spark.read.parquet(f"{tiny}/benchmark.parquet")
     items = {r.item_id: r.text for r in bench.collect()}
@@ -418,6 +468,46 @@ def test_toxicity_held_out_accuracy(spark, odd, empty):
     assert len(none) == odd.count() and not any(r.rejected for r in none)
 
 
+def plain_fit(x, y, earlier, steps=600, decay=1e-5):
+    """Dense logistic regression on the words whose chi-square tells the classes apart; the chosen words and the weights."""
+    seen, expect = x.sum(0), x.sum(0) * y.mean()
+    use = (seen >= 4) & ((x.T @ y - expect) ** 2 > 4 * expect * (1 - y.mean()))
+    a = np.column_stack([x[:, use], earlier, np.ones(len(y))])
+    w = v = np.zeros(a.shape[1])
+    for t in range(steps):
+        grad = a.T @ ((1 / (1 + np.exp(-a @ v)) - y) / len(y)) + decay * np.append(v[:-1], 0)
+        step = v - 4 / (1 + x[:, use].sum() / len(y)) * grad
+        v, w = step + t / (t + 3) * (step - w), step
+    return use, w
+
+
+def plain_score(model, x, earlier):
+    use, w = model
+    return 1 / (1 + np.exp(-np.column_stack([x[:, use], earlier, np.ones(len(x))]) @ w))
+
+
+def test_toxicity_equals_a_plain_chain(spark):
+    """The chain refitted on dense words: the second model sees out-of-fold answers of the first."""
+    rng = np.random.default_rng(12)
+    x = (rng.random((400, 50)) < 0.15).astype(float)
+    good = ((x[:, 0] + x[:, 1] + rng.random(400) * 0.6) > 0.7).astype(float)
+    toxic = ((x[:, 2] + x[:, 3] - 0.5 * good + rng.random(400) * 0.5) > 0.5).astype(float)
+    docs = spark.createDataFrame([(k, " ".join(f"term{j}" for j in np.flatnonzero(row))) for k, row in enumerate(x)], "doc_id long, text string")
+    labels = spark.createDataFrame([(k, int(good[k]), int(toxic[k])) for k in range(300)], "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r for r in toxicity.classify(docs, labels).collect()}
+    fold = np.array([((k * 0x9E3779B97F4A7C15 & ((1 << 64) - 1)) >> 40) % 4 for k in range(300)])
+    fit, none = x[:300], np.zeros((400, 0))
+    first, out = plain_fit(fit, good[:300], none[:300]), np.zeros(300)
+    for f in range(4):
+        held = fold == f
+        out[held] = plain_score(plain_fit(fit[~held], good[:300][~held], none[: int((~held).sum())]), fit[held], none[: int(held.sum())])
+    second = plain_fit(fit, toxic[:300], out[:, None])
+    quality = plain_score(first, x, none)
+    want = plain_score(second, x, quality[:, None])
+    for k in range(400):
+        assert math.isclose(got[k].p_quality, quality[k], rel_tol=1e-6) and math.isclose(got[k].p_toxic, want[k], rel_tol=1e-6)
+
+
 # ---- mixing ----
 
 
