@@ -29,12 +29,15 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A row for each copy that the mix takes: documents the mix does not reach go, others stand up to three times.
 
-    Rows of equal doc_id share the least of their counts, so that repeated rows stay as many as they were.
+    Rows that repeat doc_id, source and text share the least of their counts, so that they stay as many as they were;
+    different texts of one doc_id, null among them, have counts of their own.
     """
     times = F.when(F.col("taken") > 0, F.expr("taken div size")).otherwise(0).cast("int")
-    key, count, copy = (free_name(docs, x) for x in ("key", "times", "copy"))
-    mixed = mixing.mix(mixing.sized(docs)).groupBy(F.col("doc_id").alias(key)).agg(F.min(times).alias(count)).where(F.col(count) > 0)
-    joined = docs.join(mixed, docs["doc_id"].eqNullSafe(mixed[key]))
+    own, key, print_, count, copy = (free_name(docs, x) for x in ("own", "key", "print", "times", "copy"))
+    docs_ = docs.withColumn(own, F.xxhash64("source", "text"))
+    sized = mixing.sized(docs_, ("doc_id", "source", own))
+    mixed = mixing.mix(sized).groupBy(F.col("doc_id").alias(key), F.col(own).alias(print_)).agg(F.min(times).alias(count)).where(F.col(count) > 0)
+    joined = docs_.join(mixed, docs_["doc_id"].eqNullSafe(mixed[key]) & (docs_[own] == mixed[print_]))
     return joined.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(count)))).select(*docs.columns)
 
 
