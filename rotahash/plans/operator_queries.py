@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -14,7 +13,7 @@ from rotahash.operators import sketches as S
 from rotahash.params import SketchParams
 from rotahash.plans import oracle as O
 from rotahash.plans.sketch_queries import ALL, BASKETS, PAIRS, W, baskets, frequent_sql, frequent_words, pairs_of, part_universe, suppliers, universe
-from rotahash.plans.storage import settled
+from rotahash.plans.storage import new_folder, settled
 from rotahash.sources import tables as T
 from rotahash.streaming import bins
 
@@ -53,7 +52,7 @@ add("write_bucketed_signatures", bucketed, O.ctes(O.binned({"post": "SELECT DIST
 
 def roundtrip(spark: SparkSession, d: str) -> DataFrame:
     """Benchmark words through CSV, JSON and ORC files; each gives the same postings."""
-    root = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/rotahash-io-{uuid.uuid4().hex}"
+    root = new_folder(spark, "io")
     rows = T.load_table(spark, d, "benchmark").select("item_id", F.explode(T.tokens(F.col("text"))).alias("word"))
     out = None
     for kind in ("csv", "json", "orc", "parquet"):
@@ -255,12 +254,20 @@ def sizes(spark: SparkSession, d: str) -> DataFrame:
     return lineitem(spark, d).groupBy(F.col("l_suppkey").alias("s")).agg(F.count_distinct("l_partkey").alias("n"))
 
 
-add("rank_suppliers", lambda s, d: sizes(s, d).select("s", "n", F.rank().over(Window.orderBy(F.desc("n"))).alias("r"), F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr")), SIZES + "SELECT s, n, CAST(rank() OVER (ORDER BY n DESC) AS INTEGER) AS r, CAST(dense_rank() OVER (ORDER BY n DESC) AS INTEGER) AS dr FROM n")
+def ranked(spark: SparkSession, d: str) -> DataFrame:
+    """Ranks read off the histogram of sizes: the window holds a row for each distinct size, not for each supplier."""
+    n = settled(sizes(spark, d))
+    w = Window.orderBy(F.desc("n"))
+    ranks = n.groupBy("n").agg(F.count("*").alias("c")).select("n", (F.sum("c").over(w) - F.col("c") + 1).cast("int").alias("r"), F.dense_rank().over(w).alias("dr"))
+    return n.join(ranks, "n").select("s", "n", "r", "dr")
+
+
+add("rank_suppliers", ranked, SIZES + "SELECT s, n, CAST(rank() OVER (ORDER BY n DESC) AS INTEGER) AS r, CAST(dense_rank() OVER (ORDER BY n DESC) AS INTEGER) AS dr FROM n")
 add("lag_sizes", lambda s, d: sizes(s, d).select("s", F.lag("n").over(Window.orderBy("n", "s")).alias("before"), F.lead("n").over(Window.orderBy("n", "s")).alias("after")), SIZES + "SELECT s, lag(n) OVER (ORDER BY n, s) AS before, lead(n) OVER (ORDER BY n, s) AS after FROM n")
 add("ntile_sizes", lambda s, d: sizes(s, d).select("s", F.ntile(4).over(Window.orderBy("n", "s")).alias("q"), F.round(F.percent_rank().over(Window.orderBy("n")), 6).alias("pr")), SIZES + "SELECT s, CAST(ntile(4) OVER (ORDER BY n, s) AS INTEGER) AS q, round(percent_rank() OVER (ORDER BY n), 6) AS pr FROM n")
 add("range_frame_daily", lambda s, d: events(s, d).select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_timestamp(F.col("ts").cast("timestamp"))).rangeBetween(-86400, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(date_trunc('second', ts)) RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS n FROM events")
 add("topk_similar_docs", lambda s, d: QUERIES["shuffle_hash_pairs"](s, d).orderBy(F.desc("inter"), "a", "b").limit(20), SQL["shuffle_hash_pairs"] + " ORDER BY inter DESC, 1, 2 LIMIT 20")
-add("sampled_pairs", lambda s, d: docs(s, d).select("doc_id").withColumn("r", F.row_number().over(Window.orderBy(F.md5(F.concat(F.lit("7:"), F.col("doc_id").cast("string"))), "doc_id"))).where("r <= 50").select("doc_id"), "SELECT doc_id FROM documents QUALIFY row_number() OVER (ORDER BY md5(concat('7:', doc_id)), doc_id) <= 50")
+add("sampled_pairs", lambda s, d: docs(s, d).select("doc_id").orderBy(F.md5(F.concat(F.lit("7:"), F.col("doc_id").cast("string"))), "doc_id").limit(50), "SELECT doc_id FROM documents QUALIFY row_number() OVER (ORDER BY md5(concat('7:', doc_id)), doc_id) <= 50")
 
 # ---- sets ----
 
@@ -358,11 +365,18 @@ add("sql_surface", sql_surface, O.ctes(SUPP | ALL | O.exact() | O.estimates(), "
 # ---- streams, each with the batch result as its SQL ----
 
 
+def arrivals(ordered: DataFrame) -> str:
+    """Home of a stream whose files (in the folder ``in``) hold ordered rows range by range, written by many tasks."""
+    home = new_folder(ordered.sparkSession, "stream")
+    ordered.write.option("maxRecordsPerFile", 4000).parquet(f"{home}/in")
+    bins.in_order(ordered.sparkSession, f"{home}/in")
+    return home
+
+
 def streamed(of, mode: str = "complete"):
     def run(spark: SparkSession, d: str) -> DataFrame:
         rows = events(spark, d)
-        home = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/rotahash-stream-{uuid.uuid4().hex}"
-        rows.orderBy("ts").coalesce(1).write.option("maxRecordsPerFile", 4000).parquet(f"{home}/in")
+        home = arrivals(rows.orderBy("ts"))
         name = f"rotahash_{uuid.uuid4().hex}"
         return bins.run_to_end(of(bins.read_events(spark, f"{home}/in", rows.schema)), name, mode, f"{home}/state")
 
@@ -394,8 +408,7 @@ add(
 def late(spark: SparkSession, d: str) -> DataFrame:
     """Windows of a stream whose files come in the wrong order: rows behind the watermark are dropped, so counts are at most those of the batch."""
     rows = events(spark, d)
-    home = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/rotahash-stream-{uuid.uuid4().hex}"
-    rows.orderBy(F.desc("ts")).coalesce(1).write.option("maxRecordsPerFile", 4000).parquet(f"{home}/in")
+    home = arrivals(rows.orderBy(F.desc("ts")))
     stream = bins.counted(bins.read_events(spark, f"{home}/in", rows.schema), F.window("ts", "1 hour"))
     return bins.run_to_end(stream, f"rotahash_{uuid.uuid4().hex}", "append", f"{home}/state")
 

@@ -1,6 +1,6 @@
 """Sketches of streams: per window and set the least value of each bin, which merges in any order.
 
-Only unfilled bins are state; fillings are made when a result is read, because a filling is not mergeable.
+Only unfilled bins are state, because a filling is not mergeable: it is made from the postings.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor
+from pyspark.sql.types import LongType, StructField, StructType
 
 from rotahash.operators.permutations import hashed
 from rotahash.params import SketchParams
@@ -49,11 +50,34 @@ def counted(events: DataFrame, window: Column, delay: str = "1 hour") -> DataFra
     return out.select(F.col("w.start").alias("start"), F.col("w.end").alias("stop"), "event_type", "n")
 
 
+def in_order(spark: SparkSession, folder: str) -> None:
+    """Gives the files of a folder times in the order of their names: the order in which a stream reads them."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    files = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    parts = sorted((f.getPath() for f in files.listStatus(path) if f.getPath().getName().startswith("part-")), key=lambda f: f.getName())
+    for k, part in enumerate(parts):
+        files.setTimes(part, 1_700_000_000_000 + 1000 * k, -1)
+
+
 def run_to_end(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """All that the files hold now, as a table in memory."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """All that the files hold now, as Parquet beside the checkpoint: a folder for each batch, so that a repeated one replaces itself.
+
+    In complete mode a batch holds the whole result, so the last one is read; nothing is gathered on the driver.
+    """
+    out, spark = f"{checkpoint}-{name}", stream.sparkSession
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch_={number}")
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    done = query.lastProgress
+    if done is None:
+        return spark.createDataFrame([], stream.schema)
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("batch_", LongType())])).parquet(out)
+    if mode == "complete":
+        rows = rows.where(F.col("batch_") == rows.agg(F.max("batch_")).first()[0])
+    return rows.drop("batch_")
 
 
 def merge_into(path: str) -> Callable[[DataFrame, int], None]:
