@@ -122,6 +122,8 @@ for shift in ("plain", "per_round", "per_cycle", "lcm"):
 signature("rotbin_baskets_sig", S.rotbin_minhash, O.binned, B, family="baskets")
 signature("rotbin_suppliers_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 15, 64, split="2u"), family="suppliers")
 signature("rotbin_shared_sig", S.rotbin_minhash, O.binned, B.with_(share=True), family="baskets")
+#: The sizes at which a stored permutation of the universe is out of reach: 2^40 positions, 2^10 bins, a computed inner bijection of 2^30.
+signature("rotbin_2u_d40_sig", S.rotbin_minhash, O.binned, SketchParams(1 << 40, 1 << 10, split="2u", inner="feistel", attempts=8), family="suppliers")
 signature("firstk_sig", S.firstk_sketch, O.firstk, V)
 
 # ---- primitives ----
@@ -365,6 +367,32 @@ with warnings.catch_warnings():  # the case without the extra shift is wanted he
     warnings.simplefilter("ignore")
     SHIFTS = {k: (S.sketch, O.binned, SketchParams(256, 16, M=64, seeds=tuple(range(1, 41)), shift=s)) for k, s in (("plain", "plain"), ("shifted", "lcm"))}
 simulated_errors("mse_synthetic_shift", 40, SHIFTS)
+for size in (1 << 8, 1 << 10, 1 << 12):  # other universes, and more slots than bins, on sets that leave bins empty
+    kinds = {f"{label}/m{M}": kind for M in (32, 64, 128) for label, kind in two(size, 32, M, SEEDS).items()}
+    simulated_errors(f"mse_synthetic_grid_d{size}", size // 8, kinds)
+
+
+def paired_gain(D: int, K: int, f: int, seeds: tuple[int, ...]):
+    """How much the squared error falls from fresh to rotating on the same seeds: the mean and its standard error."""
+    of_sets, sql = simulated(f)
+    kinds = {k: p.with_(attempts=16) for k, (_, _, p) in two(D, K, K, seeds, "plain").items()}
+
+    def of(spark: SparkSession, d: str) -> DataFrame:
+        pairs, post = of_sets(spark, d)
+        est = {k: E.estimate_pairs(S.sketch(post, p), pairs).select("seed", "id1", "id2", F.col("j_hat").alias(k)) for k, p in kinds.items()}
+        rows = est["fresh"].join(est["rotbin"], ["seed", "id1", "id2"]).join(E.exact_jaccard(post, pairs).select("id1", "id2", "j"), ["id1", "id2"])
+        errs = rows.select("id1", "id2", F.pow(F.col("fresh") - F.col("j"), 2).alias("fresh"), F.pow(F.col("rotbin") - F.col("j"), 2).alias("rotbin"))
+        gain = F.col("fresh") - F.col("rotbin")
+        return errs.groupBy("id1", "id2").agg(F.count("*").alias("n"), *(F.round(x + E.NUDGE, 6).alias(k) for k, x in (("mse_fresh", F.avg("fresh")), ("mse_rotating", F.avg("rotbin")), ("gain", F.avg(gain)), ("standard_error", F.stddev_samp(gain) / F.sqrt(F.count("*"))))))
+
+    est_sql = {k: O.ctes(O.binned(sql, p) | O.estimates(), "SELECT seed, id1, id2, j_hat FROM est") for k, p in kinds.items()}
+    text = f"""WITH f AS ({est_sql["fresh"]}), r AS ({est_sql["rotbin"]}), x AS ({O.ctes(sql | O.exact(), "SELECT id1, id2, j FROM exact")}),
+    e AS (SELECT x.id1, x.id2, pow(f.j_hat - j, 2) AS a, pow(r.j_hat - j, 2) AS b FROM f JOIN r USING (seed, id1, id2) JOIN x ON x.id1 = f.id1 AND x.id2 = f.id2)
+    SELECT id1, id2, count(*) AS n, round(avg(a) + 1e-10, 6) AS mse_fresh, round(avg(b) + 1e-10, 6) AS mse_rotating, round(avg(a - b) + 1e-10, 6) AS gain, round(stddev_samp(a - b) / sqrt(count(*)) + 1e-10, 6) AS standard_error FROM e GROUP BY 1, 2"""
+    return of, text
+
+
+add("paired_gain", *paired_gain(64, 8, 5, tuple(range(1, 4001))))
 CONTIGUOUS = SketchParams(1024, 32, seeds=SEEDS)
 simulated_errors("mse_contiguous_ids", 200, {k: (S.sketch, O.binned, CONTIGUOUS.with_(split=k)) for k in ("perm", "2u", "4u", "mix")})
 GRID = {}
