@@ -567,8 +567,17 @@ def sampled_law(spark: SparkSession, d: str) -> DataFrame:
     """Laws of one occupied bin: ways to fill m bins, and the joint law of the elements in a bin of the union."""
     from rotahash.operators import theory
 
-    rows = [(m, a1, f1, float(p)) for m in range(2, 7) for (a1, f1), p in theory.bin_law(64, 8, 8, 4, m).items()]
+    rows = [(m, a1, f1, round(float(p), 9)) for m in range(2, 7) for (a1, f1), p in theory.bin_law(64, 8, 8, 4, m).items()]
     return spark.createDataFrame(rows, "m long, a1 long, f1 long, probability double")
 
 
-add("bin_law", sampled_law)
+#: Ways to leave none of k bins of width 8 empty with n elements, by inclusion and exclusion.
+add(
+    "bin_law",
+    sampled_law,
+    f"""WITH g AS (SELECT k, n, t FROM (SELECT unnest(range(1, 7)) AS k), (SELECT unnest(range(9)) AS n), (SELECT unnest(range(7)) AS t) WHERE t <= k),
+    w AS (SELECT k, n, sum(CASE WHEN t % 2 = 0 THEN 1 ELSE -1 END * {binomial("k", "t")} * {binomial("(8 * (k - t))", "n")}) AS ways FROM g GROUP BY k, n),
+    p AS (SELECT a1, f1, {binomial("4", "a1")} * {binomial("4", "(f1 - a1)")} AS placed FROM (SELECT unnest(range(5)) AS a1), (SELECT unnest(range(1, 9)) AS f1) WHERE f1 BETWEEN a1 AND a1 + 4)
+    SELECT own.k AS m, a1, f1, round(CAST(placed * rest.ways AS DOUBLE) / CAST(own.ways AS DOUBLE), 9) AS probability
+    FROM w AS own JOIN w AS rest ON rest.k = own.k - 1 JOIN p ON rest.n = 8 - f1 WHERE own.n = 8 AND rest.ways > 0""",
+)
