@@ -62,3 +62,14 @@ def test_stateful_processor_plan(spark, tiny, tmp_path):
     batch = bins.bin_minima(rows.withColumn("ts", F.col("ts").cast("timestamp")), STREAM_P)
     least = got.groupBy("user_id", "bin").agg(F.min("v").alias("v"))
     assert sorted(map(tuple, least.collect())) == sorted(map(tuple, batch.collect()))
+
+
+def test_batches_do_not_grow_with_the_files(spark, tiny, tmp_path):
+    rows = load_table(spark, tiny, "events")
+    rows.repartition(30).write.parquet(str(tmp_path / "in"))
+    take = bins.in_order(spark, str(tmp_path / "in"))
+    stream = bins.counted(bins.read_events(spark, str(tmp_path / "in"), rows.schema, take), F.window("ts", "1 hour"))
+    got = bins.run_to_end(stream, "many", "complete", str(tmp_path / "state"))
+    batch = bins.counted(rows.withColumn("ts", F.col("ts").cast("timestamp")), F.window("ts", "1 hour"))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, batch.collect()))
+    assert 1 < len(list(tmp_path.glob("state-many/batch_=*"))) <= bins.BATCHES + 1
