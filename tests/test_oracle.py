@@ -41,3 +41,18 @@ def test_query_equals_sql(spark, tiny, duck, name):
 
 def test_sql_names_are_queries():
     assert set(SQL) <= set(QUERIES)
+
+
+@pytest.mark.parametrize("name", ["bin_split", "bin_minima_partial_final"])
+def test_ids_beyond_the_universe(spark, tmp_path, name):
+    rows = [(1 << 14, "a b"), (70_000, "b c"), (3, "a"), (None, "a")]
+    spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(1, 5), (1, 40_000), (2, 90_000)], "l_suppkey long, l_partkey long").coalesce(1).write.parquet(str(tmp_path / "lineitem.parquet"))
+    spark.createDataFrame([(90_000,)], "p_partkey long").coalesce(1).write.parquet(str(tmp_path / "part.parquet"))
+    c = duckdb.connect()
+    for t in ("documents", "lineitem", "part"):
+        c.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'" + (" WHERE doc_id IS NOT NULL" if t == "documents" else ""))
+    df = QUERIES[name](spark, str(tmp_path))
+    columns = ", ".join(df.columns)
+    mine = sorted(tuple(map(norm, r)) for r in df.collect())
+    assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
