@@ -56,3 +56,8 @@ def test_ids_beyond_the_universe(spark, tmp_path, name):
     columns = ", ".join(df.columns)
     mine = sorted(tuple(map(norm, r)) for r in df.collect())
     assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
+
+
+@pytest.mark.parametrize(("name", "table"), [("math_mod_bits", "events"), ("decimal_and_cast", "orders"), ("lateral_probe", "customer"), ("donor_first_attempt", "customer")])
+def test_rows_come_from_a_table(spark, tiny, name, table):
+    assert [os.path.basename(f) for f in QUERIES[name](spark, tiny).inputFiles()] == [f"{table}.parquet"]
