@@ -58,6 +58,6 @@ def test_ids_beyond_the_universe(spark, tmp_path, name):
     assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
 
 
-@pytest.mark.parametrize(("name", "table"), [("math_mod_bits", "events"), ("decimal_and_cast", "orders"), ("lateral_probe", "customer"), ("donor_first_attempt", "customer"), ("empty_bins_law", "lineitem")])
+@pytest.mark.parametrize(("name", "table"), [("math_mod_bits", "events"), ("decimal_and_cast", "orders"), ("lateral_probe", "customer"), ("donor_first_attempt", "customer"), ("empty_bins_law", "lineitem"), ("mse_contiguous_ids", "supplier"), ("mse_synthetic_fig3", "customer"), ("mse_synthetic_fig3_k128", "customer"), ("mse_synthetic_fig3_m_2k", "customer"), ("mse_synthetic_grid_d1024", "supplier")])
 def test_rows_come_from_a_table(spark, tiny, name, table):
     assert [os.path.basename(f) for f in QUERIES[name](spark, tiny).inputFiles()] == [f"{table}.parquet"]
