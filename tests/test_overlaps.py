@@ -8,6 +8,7 @@ import pytest
 
 from rotahash.operators import overlaps as V
 from rotahash.plans import app_queries
+from rotahash.plans.operator_queries import QUERIES
 
 
 def test_small_pieces_count_the_same(monkeypatch):
@@ -41,7 +42,7 @@ def test_overlaps_equal_brute_force(spark, monkeypatch, counters):
                 inter, uni = len(sets[a] & sets[b]), len(sets[a] | sets[b])
                 if a < b and inter and inter >= tau * uni:
                     want.add((a, b, inter, uni))
-        got = [tuple(r) for r in V.overlaps(post, tau).collect()]
+        got = [tuple(r) for r in V.overlaps(post, tau).drop("hits").collect()]
         assert len(got) == len(want) and set(got) == want
     assert V.overlaps(post.where("false")).count() == 0
 
@@ -49,3 +50,16 @@ def test_overlaps_equal_brute_force(spark, monkeypatch, counters):
 def test_similar_suppliers_joins_no_postings(spark, tiny):
     plan = app_queries.QUERIES["similar_suppliers"](spark, tiny)._jdf.queryExecution().executedPlan().toString()
     assert "Join" not in plan
+
+
+def test_sql_surface_equals_the_functions_of_pairs(spark, tiny):
+    """The functions of SQL text, pair by pair, give what the counts give; and the query sends no set for a pair."""
+    df = QUERIES["sql_surface"](spark, tiny)
+    assert "Join" not in df._jdf.queryExecution().executedPlan().toString()
+    got = sorted(map(tuple, df.collect()))
+    want = spark.sql(
+        """WITH sets AS (SELECT l_suppkey AS id, collect_set(l_partkey) AS e FROM rotahash_lines GROUP BY 1),
+        sigs AS (SELECT id, e, rh_rotbin_sig(e) AS s FROM sets)
+        SELECT a.id AS id1, b.id AS id2, round(rh_estimate(a.s, b.s), 6) AS j_hat, round(rh_jaccard(a.e, b.e), 6) AS j FROM sigs a JOIN sigs b ON a.id < b.id WHERE rh_jaccard(a.e, b.e) > 0"""
+    )
+    assert got == sorted(map(tuple, want.collect())) and got
