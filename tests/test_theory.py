@@ -96,3 +96,18 @@ def test_empty_bins_report_has_every_basket_size(spark, tmp_path):
     spark.range(1, 101).selectExpr("id p_partkey").write.parquet(f"{tmp_path}/part.parquet")
     spark.createDataFrame([(1, k) for k in range(1, 4)] + [(2, k) for k in range(1, 31)], "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
     assert sorted((r.f, r.sets) for r in empty_pmf(spark, str(tmp_path)).collect()) == [(3, 1), (30, 1)]
+
+
+def test_laws_of_bins_are_for_the_baskets_of_a_table(spark, tiny):
+    from rotahash.plans.sketch_queries import QUERIES
+    from rotahash.sources.tables import load_table
+
+    orders = load_table(spark, tiny, "lineitem").select("l_orderkey").distinct().count()
+    rows = QUERIES["bin_law"](spark, tiny).collect()
+    kinds = {(r["f"], r["a"], r["m"]): r["sets"] for r in rows}
+    assert sum(kinds.values()) == orders
+    for kind in kinds:
+        assert abs(sum(r["probability"] for r in rows if (r["f"], r["a"], r["m"]) == kind) - 1) < 1e-6
+    rows = QUERIES["collision_laws"](spark, tiny).collect()
+    assert {r["d"] for r in rows} == {4, 5} and all(abs(r["law"] - r["listed"]) < 1e-12 for r in rows)
+    assert sum(r["bins"] * r["f"] for r in rows if r["d"] == 4) > orders
