@@ -2,6 +2,7 @@
 
 import os
 
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -73,3 +74,27 @@ def test_batches_do_not_grow_with_the_files(spark, tiny, tmp_path):
     batch = bins.counted(rows.withColumn("ts", F.col("ts").cast("timestamp")), F.window("ts", "1 hour"))
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, batch.collect()))
     assert 1 < len(list(tmp_path.glob("state-many/batch_=*"))) <= bins.BATCHES + 1
+
+
+def test_users_share_a_call_of_the_state():
+    class Held(dict):
+        def getValue(self, key):
+            return self.get(key)
+
+        def updateValue(self, key, value):
+            self[key] = value
+
+    class Handle:
+        def getMapState(self, *kinds):
+            return held
+
+    held, state = Held(), bins.BinState()
+    state.init(Handle())
+
+    def call(*rows):
+        frames = state.handleInputRows((0,), iter([pd.DataFrame(rows, columns=["part", "user_id", "nobody", "bin", "q"])]), None)
+        return sorted((tuple(None if pd.isna(x) else int(x) for x in r) for f in frames for r in f.itertuples(index=False)), key=str)
+
+    assert call((0, 1, False, 3, 9), (0, 2, False, 3, 5), (0, 1, False, 3, 7), (0, 0, True, 4, 2)) == [(1, 3, 7), (2, 3, 5), (None, 4, 2)]
+    assert call((0, 1, False, 3, 8), (0, 2, False, 3, 4), (0, 2, False, 6, 1)) == [(2, 3, 4), (2, 6, 1)]
+    assert {k: dict(zip(*v)) for k, v in held.items()} == {(1, False): {3: 7}, (2, False): {3: 4, 6: 1}, (0, True): {4: 2}}
