@@ -98,3 +98,22 @@ def test_users_share_a_call_of_the_state():
     assert call((0, 1, False, 3, 9), (0, 2, False, 3, 5), (0, 1, False, 3, 7), (0, 0, True, 4, 2)) == [(1, 3, 7), (2, 3, 5), (None, 4, 2)]
     assert call((0, 1, False, 3, 8), (0, 2, False, 3, 4), (0, 2, False, 6, 1)) == [(2, 3, 4), (2, 6, 1)]
     assert {k: dict(zip(*v)) for k, v in held.items()} == {(1, False): {3: 7}, (2, False): {3: 4, 6: 1}, (0, True): {4: 2}}
+
+
+def test_state_has_the_partitions_that_its_rows_need(spark, tiny, tmp_path):
+    rows = load_table(spark, tiny, "events")
+    rows.coalesce(1).write.parquet(str(tmp_path / "in"))
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "40")
+    try:
+        wanted = bins.state_partitions(spark, rows.count())
+        assert wanted == spark.sparkContext.defaultParallelism and bins.state_partitions(spark, 10 * bins.STATE_ROWS) == 10
+        assert bins.state_partitions(spark, 10**9) == 40
+        stream = bins.counted(bins.read_events(spark, str(tmp_path / "in"), rows.schema), F.window("ts", "1 hour"))
+        got = bins.run_to_end(stream, "few", "complete", str(tmp_path / "state"), wanted)
+        assert spark.conf.get("spark.sql.shuffle.partitions") == "40"
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    batch = bins.counted(rows.withColumn("ts", F.col("ts").cast("timestamp")), F.window("ts", "1 hour"))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, batch.collect()))
+    assert len(list((tmp_path / "state" / "state" / "0").glob("[0-9]*"))) == wanted
