@@ -58,6 +58,26 @@ def test_ids_beyond_the_universe(spark, tmp_path, name):
     assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
 
 
+@pytest.mark.parametrize("name", ["bin_offset_map"])
+def test_universe_is_that_of_the_baskets(spark, tmp_path, name):
+    """Parts that no basket holds change nothing; an id that part lacks stays in its basket."""
+    lines = [(1, 5, 1), (1, 20_000, 1), (2, 32_767, 1), (3, None, 1), (4, 17, 1), (4, 17, 1)]
+    for folder, rows, top in (("more", lines, 90_000), ("less", [*lines, (5, 40_000, 1)], 32_767)):
+        spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_suppkey long").coalesce(1).write.parquet(str(tmp_path / folder / "lineitem.parquet"))
+        spark.createDataFrame([(top,)], "p_partkey long").coalesce(1).write.parquet(str(tmp_path / folder / "part.parquet"))
+    df = QUERIES[name](spark, str(tmp_path / "more"))
+    c = duckdb.connect()
+    c.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/more/lineitem.parquet/*.parquet'")
+    columns = ", ".join(df.columns)
+    mine = sorted(tuple(map(norm, r)) for r in df.collect())
+    assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
+    whole = QUERIES[name](spark, str(tmp_path / "less"))
+    if name == "empty_bin_profile":
+        assert whole.agg({"sets": "sum"}).first()[0] == 4
+    else:
+        assert sorted(r[0] for r in whole.select("set_id").distinct().collect()) == [1, 2, 4, 5]
+
+
 @pytest.mark.parametrize(("name", "table"), [("math_mod_bits", "events"), ("decimal_and_cast", "orders"), ("lateral_probe", "customer"), ("donor_first_attempt", "customer"), ("empty_bins_law", "lineitem"), ("mse_contiguous_ids", "supplier"), ("mse_synthetic_fig3", "customer"), ("mse_synthetic_fig3_k128", "customer"), ("mse_synthetic_fig3_m_2k", "customer"), ("mse_synthetic_grid_d1024", "supplier")])
 def test_rows_come_from_a_table(spark, tiny, name, table):
     assert [os.path.basename(f) for f in QUERIES[name](spark, tiny).inputFiles()] == [f"{table}.parquet"]
