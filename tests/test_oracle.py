@@ -58,7 +58,7 @@ def test_ids_beyond_the_universe(spark, tmp_path, name):
     assert mine == sorted(tuple(map(norm, r)) for r in c.execute(f"SELECT {columns} FROM ({SQL[name]})").fetchall()) and mine
 
 
-@pytest.mark.parametrize("name", ["bin_offset_map", "clockwise_fill", "copy_clockwise_sig", "copy_offset_sig", "copy_two_way_sig", "copy_uniform_baskets_sig", "donor_profile", "empty_bin_profile"])
+@pytest.mark.parametrize("name", ["bin_offset_map", "clockwise_fill", "copy_clockwise_sig", "copy_offset_sig", "copy_two_way_sig", "copy_uniform_baskets_sig", "donor_profile", "empty_bin_profile", "empty_slots_anti"])
 def test_universe_is_that_of_the_baskets(spark, tmp_path, name):
     """Parts that no basket holds change nothing; an id that part lacks stays in its basket."""
     lines = [(1, 5, 1), (1, 20_000, 1), (2, 32_767, 1), (3, None, 1), (4, 17, 1), (4, 17, 1)]
